@@ -27,12 +27,12 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, slices
+from .common import Scratch, narrow, slices
 from .tokens import VOCABULARY, encoder, vocabulary_path
 
 END_ID = 2
-BLOCK_IDS = 1 << 21
-PARTITION_BYTES = 16 << 20
+BLOCK_IDS = 1 << 20
+PARTITION_BYTES = 32 << 20
 _SAMPLE = 512
 
 BLOCK_SCHEMA = "part int, seq int, first_doc long, n_docs long, n_ids long, width int, doc_ids binary, bounds binary, ids binary"
@@ -133,11 +133,11 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str = VOCABULARY,
 
         for batch in batches:
             for piece in slices(batch):
-                for name, (first, later) in zip(piece.column("doc_id").to_pylist(), encode([x or "" for x in piece.column("text").to_pylist()]), strict=True):
+                for name, own in zip(piece.column("doc_id").to_pylist(), encode([x or "" for x in piece.column("text").to_pylist()]), strict=True):
                     if held >= 4 * BLOCK_IDS:
                         yield block()
                         ids, names, held, seq = [], [], 0, seq + 1
-                    ids.append(first + b"".join(later) + end)
+                    ids.append(own + end)
                     names.append(name)
                     held += len(ids[-1])
         if names:
@@ -146,29 +146,39 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str = VOCABULARY,
     ordered.mapInArrow(blocks, BLOCK_SCHEMA).write.mode("overwrite").parquet(path)
 
 
-def read_token_files(spark: SparkSession, path: str) -> DataFrame:
-    """doc_id, start, n_tokens, ids (binary, little-endian uint32) of every document, from the files alone."""
+def _placed(spark: SparkSession, path: str) -> DataFrame:
+    """The stored blocks, each with the number of ids in all blocks before it."""
     stored = spark.read.schema(BLOCK_SCHEMA).parquet(path)
-    # Ids before a block: totals of whole range partitions (one row each), then of the blocks inside its own.
+    # Totals of whole range partitions (one row each) first, then of the blocks inside the own partition.
     inside = stored.select("part", "seq", "n_ids").withColumn("before", F.sum("n_ids").over(Window.partitionBy("part").orderBy("seq")) - F.col("n_ids"))
     parts = inside.groupBy("part").agg(F.sum("n_ids").alias("n")).withColumn("part_start", F.sum("n").over(Window.orderBy("part")) - F.col("n")).drop("n")
     starts = inside.join(F.broadcast(parts), "part").select("part", "seq", (F.col("before") + F.col("part_start")).alias("block_start"))
+    return stored.join(narrow(starts), ["part", "seq"])
+
+
+def _documents(row: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, bytes]:
+    """(doc_ids, starts, bounds, ids as little-endian uint32 bytes) of a block."""
+    names = EliasFano.from_bytes(row["doc_ids"]).values() + row["first_doc"]
+    bounds = EliasFano.from_bytes(row["bounds"]).values()
+    ids = np.frombuffer(row["ids"], "<u4" if row["width"] == 4 else "<u2").astype("<u4")
+    return names, bounds[:-1] + row["block_start"], bounds, ids.tobytes()
+
+
+def read_token_files(spark: SparkSession, path: str) -> DataFrame:
+    """doc_id, start, n_tokens, ids (binary, little-endian uint32) of every document, from the files alone."""
 
     def unpacked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
-                names = EliasFano.from_bytes(row["doc_ids"]).values() + row["first_doc"]
-                bounds = EliasFano.from_bytes(row["bounds"]).values()
-                ids = np.frombuffer(row["ids"], "<u4" if row["width"] == 4 else "<u2").astype("<u4")
-                raw, n = ids.tobytes(), row["n_docs"]
-                for k in range(0, n, 4096):
-                    cut = bounds[k : min(k + 4096, n) + 1]
+                names, starts, bounds, raw = _documents(row)
+                for k in range(0, len(names), 1024):
+                    cut = bounds[k : k + 1025]
                     yield pa.record_batch({
-                        "doc_id": pa.array(names[k : k + len(cut) - 1], pa.int64()), "start": pa.array(cut[:-1] + row["block_start"], pa.int64()), "n_tokens": pa.array(np.diff(cut), pa.int64()),
+                        "doc_id": pa.array(names[k : k + 1024], pa.int64()), "start": pa.array(starts[k : k + 1024], pa.int64()), "n_tokens": pa.array(np.diff(cut), pa.int64()),
                         "ids": pa.array([raw[4 * a : 4 * b] for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary()),
                     })
 
-    return stored.join(F.broadcast(starts) if starts.count() <= 2_000_000 else starts, ["part", "seq"]).mapInArrow(unpacked, "doc_id long, start long, n_tokens long, ids binary")
+    return _placed(spark, path).mapInArrow(unpacked, "doc_id long, start long, n_tokens long, ids binary")
 
 
 def token_file_digests(docs: DataFrame, path: str | None = None, vocabulary: str = VOCABULARY) -> DataFrame:
@@ -179,7 +189,10 @@ def token_file_digests(docs: DataFrame, path: str | None = None, vocabulary: str
 
     def digested(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            crc = [zlib.crc32(x.as_buffer()) for x in batch.column("ids")]
-            yield pa.record_batch({"doc_id": batch.column("doc_id"), "start": batch.column("start"), "n_tokens": batch.column("n_tokens"), "ids_crc32": pa.array(crc, pa.int64())})
+            for row in batch.to_pylist():
+                names, starts, bounds, raw = _documents(row)
+                view = memoryview(raw)
+                crc = [zlib.crc32(view[4 * a : 4 * b]) for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
+                yield pa.record_batch({"doc_id": pa.array(names, pa.int64()), "start": pa.array(starts, pa.int64()), "n_tokens": pa.array(np.diff(bounds), pa.int64()), "ids_crc32": pa.array(crc, pa.int64())})
 
-    return read_token_files(spark, path).mapInArrow(digested, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return _placed(spark, path).mapInArrow(digested, "doc_id long, start long, n_tokens long, ids_crc32 long")

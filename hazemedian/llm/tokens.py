@@ -1,9 +1,10 @@
 """Token counts and token ids of whole texts, by the tokenizers library.
 
-A byte-level tokenizer never joins two pieces over a space between two visible characters: the space opens
-the next piece.  Texts are therefore cut there, every different piece is encoded by the library once for
-each worker, in batches balanced by bytes, and a text's ids are its pieces' ids in order.  This is exact
-(tests compare with whole-text encoding) and bounds what one call to the library sees, however long a text is.
+A byte-level tokenizer never joins two pieces over a single space or newline between two visible characters:
+the space opens the next piece, the newline is one by itself.  Nor does it join letters and a following mark.
+Texts are cut there, every different piece is encoded by the library, in batches balanced by bytes, and
+remembered by the worker; a text's ids are its pieces' ids in order.  This is exact (tests compare with
+whole-text encoding) and bounds what one call to the library sees, however long a text is.
 """
 
 from __future__ import annotations
@@ -20,12 +21,14 @@ from .common import slices
 
 VOCABULARY = "byte_bpe_50k.json"
 TOKEN_LIMIT = 512
-#: Pieces that one worker remembers; the memory is emptied when it is full.
-MOST_PIECES = 600_000
+#: Pieces in each of the two generations that a worker remembers.
+MOST_PIECES = 500_000
 BATCH_BYTES = 1 << 16
 
-_BESIDE_SPACE = re.compile(r"\s | \s|^ | $")
-_SAFE = re.compile(r"(?<=\S) (?=\S)")
+#: White space other than blank and newline, as Python takes it, which includes all that the library takes for it.
+_OTHER_SPACE = re.compile("[\t\x0b\x0c\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
+_SAFE_BLANK = re.compile(r"(?<=\S) (?=\S)")
+_MARKS = ".,;:!?"
 
 
 def vocabulary_path(name: str = VOCABULARY) -> str:
@@ -35,47 +38,115 @@ def vocabulary_path(name: str = VOCABULARY) -> str:
 
 
 class PieceEncoder:
-    """Encodes texts by remembered pieces.  `value` turns a piece's ids into what is kept of it."""
+    """Encodes texts by remembered pieces.
 
-    def __init__(self, path: str, value):
+    The piece "word" stands for " word" in a text and "\nword" for itself; values are token counts, or ids as
+    little-endian uint32 bytes.
+    """
+
+    def __init__(self, path: str, kind: str):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
-        self.value = value
-        self.first: dict = {}
-        self.later: dict = {}
-
-    def cut(self, text: str) -> list[str]:
-        """The pieces between safe spaces.  White space for Python includes all that the library takes for it."""
-        return _SAFE.split(text) if _BESIDE_SPACE.search(text) else text.split(" ")
-
-    def learn(self, known: dict, pieces: list[str], lead: str) -> None:
-        """Encodes new pieces in batches of about BATCH_BYTES."""
-        start = size = 0
-        for k, piece in enumerate(pieces):
-            size += len(piece) + 1
-            if size >= BATCH_BYTES or k == len(pieces) - 1:
-                part = pieces[start : k + 1]
-                encoded = self.library.encode_batch_fast([lead + x for x in part], add_special_tokens=False)
-                known.update(zip(part, (self.value(e.ids) for e in encoded), strict=True))
+        self.value = len if kind == "counts" else (lambda ids: np.asarray(ids, "<u4").tobytes())
+        self.unit = 1 if kind == "counts" else 4
+        size = self.library.get_vocab_size()
+        self.opens = np.zeros(size, bool)
+        newline = self.library.encode("\n", add_special_tokens=False).ids
+        self.opens[[k for word, k in self.library.get_vocab().items() if word.startswith("\u0120")] + newline] = True
+        #: Pieces are cut out of joined texts only for a vocabulary that opens pieces as said above.
+        self.joins = len(newline) == 1 and self.library.encode("a b", add_special_tokens=False).tokens[-1:] == ["\u0120b"]
+        self.marks = {x: self.encoded([x])[0] for x in _MARKS}
+        self.now: dict = {}
+        self.old: dict = {}
+
+    def encoded(self, texts: list[str]) -> list:
+        return [self.value(e.ids) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def cut(self, text: str) -> tuple[list[str], list[str]]:
+        """(pieces, stretches to be encoded by themselves) of a text."""
+        if not _OTHER_SPACE.search(text) and not ("  " in text or "\n\n" in text or " \n" in text or "\n " in text or text[0] in " \n" or text[-1] in " \n"):
+            return ("\n" + text).replace("\n", " \n")[1:].split(" "), []
+        pieces, odd = [], []
+        for k, piece in enumerate(_SAFE_BLANK.split(text)):
+            if k and piece.isalnum():
+                pieces.append(piece)
+            else:
+                odd.append(" " + piece if k else piece)
+        return pieces, odd
+
+    def learn(self, new: set[str]) -> None:
+        now, old, unknown, marked = self.now, self.old, [], []
+        for piece in new:
+            if piece in old:
+                now[piece] = old[piece]
+            elif piece[-1] in _MARKS and piece[1 if piece[0] == "\n" else 0 : -1].isalpha():
+                marked.append(piece)
+                base = piece[:-1]
+                if base not in now and base not in new:
+                    if base in old:
+                        now[base] = old[base]
+                    else:
+                        unknown.append(base)
+                        now[base] = None
+            else:
+                unknown.append(piece)
+        for k in range(0, len(unknown), 4096):
+            self.learn_joined(unknown[k : k + 4096])
+        for piece in marked:
+            now[piece] = now[piece[:-1]] + self.marks[piece[-1]]
+
+    def learn_joined(self, pieces: list[str]) -> None:
+        """Encodes pieces joined to texts of about BATCH_BYTES and cuts the ids where a piece opens."""
+        texts, start, size = [], 0, 0
+        spoken = [x if x[0] == "\n" else " " + x for x in pieces]
+        if not self.joins:
+            self.now.update(zip(pieces, self.encoded(spoken), strict=True))
+            return
+        for k, x in enumerate(spoken):
+            size += len(x)
+            if size >= BATCH_BYTES or k == len(spoken) - 1:
+                texts.append("".join(spoken[start : k + 1]))
                 start, size = k + 1, 0
-
-    def __call__(self, texts: list[str]) -> Iterator[tuple[object, list]]:
-        """For each text what is kept of its first piece, and of the later ones."""
-        cut = [self.cut(x) for x in texts]
-        if len(self.later) + len(self.first) > MOST_PIECES:
-            self.first, self.later = {}, {}
-        first, later = self.first, self.later
-        self.learn(first, list({x[0] for x in cut} - first.keys()), "")
+        ids = np.concatenate([np.asarray(e.ids, "<u4") for e in self.library.encode_batch_fast(texts, add_special_tokens=False)])
+        first = np.flatnonzero(self.opens[ids])
+        if len(first) != len(pieces):
+            raise ValueError("the vocabulary opens pieces otherwise than at blanks and newlines")
+        ends = np.r_[first[1:], len(ids)]
+        if self.unit == 1:
+            values = (ends - first).tolist()
+        else:
+            raw = ids.tobytes()
+            values = [raw[4 * a : 4 * b] for a, b in zip(first.tolist(), ends.tolist(), strict=True)]
+        self.now.update(zip(pieces, values, strict=True))
+
+    def __call__(self, texts: list[str]) -> Iterator:
+        """The value of each text."""
+        cut = [self.cut(x) if x else ([], []) for x in texts]
+        if len(self.now) > MOST_PIECES:
+            self.old, self.now = self.now, {}
         new: set = set()
-        for x in cut:
-            new.update(x[1:])
-        self.learn(later, list(new - later.keys()), " ")
-        get = later.__getitem__
-        for x in cut:
-            yield first[x[0]], list(map(get, x[1:]))
+        for pieces, _ in cut:
+            new.update(pieces)
+        self.learn(new - self.now.keys())
+        get = self.now.__getitem__
+        for text, (pieces, odd) in zip(texts, cut, strict=True):
+            if odd:
+                yield self.stretch(text)
+            elif self.unit == 1:
+                yield sum(map(get, pieces)) - 1 if pieces else 0
+            else:
+                yield b"".join(map(get, pieces))[4:]
+
+    def stretch(self, text: str):
+        """A text with unusual white space: its pieces in order, those with inner space encoded by themselves."""
+        pieces = _SAFE_BLANK.split(text)
+        odd = [k for k, x in enumerate(pieces) if not (k and x.isalnum())]
+        values = dict(zip(odd, self.encoded([" " + pieces[k] if k else pieces[k] for k in odd]), strict=True))
+        parts = [values[k] if k in values else self.now[x] for k, x in enumerate(pieces)]
+        return sum(parts) if self.unit == 1 else b"".join(parts)
 
 
 _encoders: dict = {}
@@ -84,8 +155,7 @@ _encoders: dict = {}
 def encoder(path: str, kind: str) -> PieceEncoder:
     """One for each worker process, so that later tasks find its pieces."""
     if (path, kind) not in _encoders:
-        value = len if kind == "counts" else (lambda ids: np.asarray(ids, "<u4").tobytes())
-        _encoders[path, kind] = PieceEncoder(path, value)
+        _encoders[path, kind] = PieceEncoder(path, kind)
     return _encoders[path, kind]
 
 
@@ -102,7 +172,7 @@ def count_tokens(docs: DataFrame, vocabulary: str = VOCABULARY, limit: int = TOK
         for batch in batches:
             for part in slices(batch):
                 texts = [x or "" for x in part.column("text").to_pylist()]
-                n = [a + sum(b) for a, b in encode(texts)]
+                n = list(encode(texts))
                 yield pa.record_batch({"doc_id": part.column("doc_id"), "n_bytes": pa.array([len(x.encode()) for x in texts], pa.int64()), "n_tokens": pa.array(n, pa.int64())})
 
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
