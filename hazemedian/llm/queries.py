@@ -3,23 +3,66 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
+from .chunks import repeated_passages
+from .jaccard import ngram_components
+from .langid import languages
+from .lines import line_components
+from .mixing import schedule
+from .syncmers import fingerprints
+from .tiling import contaminated_pairs
 from .token_files import token_file_digests
 from .tokens import count_tokens
+from .toxicity import toxicity
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet").select(*columns)
 
 
+def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contaminated_pairs(_table(spark, sf_dir, "documents", "doc_id", "text"), _table(spark, sf_dir, "benchmark", "item_id", "text"))
+
+
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity(_table(spark, sf_dir, "documents", "doc_id", "text"), _table(spark, sf_dir, "labels", "doc_id", "toxic"))
+
+
+def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeated_passages(_table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def op4_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_components(_table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return languages(_table(spark, sf_dir, "documents", "doc_id", "text", "lang"))
+
+
+def op6_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fingerprints(_table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_file_digests(_table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_components(_table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return schedule(_table(spark, sf_dir, "documents", "doc_id", "text", "source"))
+
+
 def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(_table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
-QUERIES = {f.__name__: f for f in (op7_token_files, op10_token_counts)}
+QUERIES = {
+    f.__name__: f
+    for f in (op1_decontamination, op2_toxicity, op3_substring_dedup, op4_ngram_jaccard, op5_language_id, op6_fingerprints, op7_token_files, op8_line_dedup, op9_mixing, op10_token_counts)
+}
+#: Trained models, rolling hashes, minimum hashes and tokenizers are out of SQL's reach; their tests are brute force.
 SQL: dict[str, str] = {}
