@@ -113,28 +113,28 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str = VOCABULARY,
     ordered = rows.repartitionByRange(max(1, -(-int(total) // PARTITION_BYTES)), "doc_id").sortWithinPartitions("doc_id", "text")
 
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode, end = encoder(vocabulary, "ids"), np.asarray([end_id], "<u4").tobytes()
-        wide = encode.library.get_vocab_size() > 1 << 16
+        encode = encoder(vocabulary, "ids")
+        unit, end = encode.unit, np.asarray([end_id], encode.kind).tobytes()
         part, seq = TaskContext.get().partitionId(), 0
         ids: list[bytes] = []
         names: list = []
         held = 0
 
         def block() -> pa.RecordBatch:
-            array = np.frombuffer(b"".join(ids), "<u4")
+            array = b"".join(ids)
             known = [x for x in names if x is not None]
             low = min(known, default=0) - (len(known) < len(names))
-            bounds = np.r_[0, np.cumsum([len(x) // 4 for x in ids])]
+            bounds = np.r_[0, np.cumsum([len(x) // unit for x in ids])]
             shifted = [0 if x is None else x - low for x in names]
             return pa.record_batch({
-                "part": pa.array([part], pa.int32()), "seq": pa.array([seq], pa.int32()), "first_doc": pa.array([low], pa.int64()), "n_docs": pa.array([len(names)], pa.int64()), "n_ids": pa.array([len(array)], pa.int64()),
-                "width": pa.array([4 if wide else 2], pa.int32()), "doc_ids": pa.array([EliasFano.encode(shifted).to_bytes()], pa.binary()), "bounds": pa.array([EliasFano.encode(bounds).to_bytes()], pa.binary()), "ids": pa.array([array.astype("<u4" if wide else "<u2").tobytes()], pa.binary()),
+                "part": pa.array([part], pa.int32()), "seq": pa.array([seq], pa.int32()), "first_doc": pa.array([low], pa.int64()), "n_docs": pa.array([len(names)], pa.int64()), "n_ids": pa.array([len(array) // unit], pa.int64()),
+                "width": pa.array([unit], pa.int32()), "doc_ids": pa.array([EliasFano.encode(shifted).to_bytes()], pa.binary()), "bounds": pa.array([EliasFano.encode(bounds).to_bytes()], pa.binary()), "ids": pa.array([array], pa.binary()),
             })
 
         for batch in batches:
             for piece in slices(batch):
                 for name, own in zip(piece.column("doc_id").to_pylist(), encode([x or "" for x in piece.column("text").to_pylist()]), strict=True):
-                    if held >= 4 * BLOCK_IDS:
+                    if held >= unit * BLOCK_IDS:
                         yield block()
                         ids, names, held, seq = [], [], 0, seq + 1
                     ids.append(own + end)

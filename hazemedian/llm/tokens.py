@@ -41,7 +41,7 @@ class PieceEncoder:
     """Encodes texts by remembered pieces.
 
     The piece "word" stands for " word" in a text and "\nword" for itself; values are token counts, or ids as
-    little-endian uint32 bytes.
+    little-endian bytes, of 16 bits each if the vocabulary allows, else 32.
     """
 
     def __init__(self, path: str, kind: str):
@@ -50,9 +50,10 @@ class PieceEncoder:
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
-        self.value = len if kind == "counts" else (lambda ids: np.asarray(ids, "<u4").tobytes())
-        self.unit = 1 if kind == "counts" else 4
         size = self.library.get_vocab_size()
+        self.kind = f"<u{2 if size <= 1 << 16 else 4}"
+        self.value = len if kind == "counts" else (lambda ids: np.asarray(ids, self.kind).tobytes())
+        self.unit = 1 if kind == "counts" else int(self.kind[-1])
         self.opens = np.zeros(size, bool)
         newline = self.library.encode("\n", add_special_tokens=False).ids
         self.opens[[k for word, k in self.library.get_vocab().items() if word.startswith("\u0120")] + newline] = True
@@ -110,7 +111,7 @@ class PieceEncoder:
             if size >= BATCH_BYTES or k == len(spoken) - 1:
                 texts.append("".join(spoken[start : k + 1]))
                 start, size = k + 1, 0
-        ids = np.concatenate([np.asarray(e.ids, "<u4") for e in self.library.encode_batch_fast(texts, add_special_tokens=False)])
+        ids = np.concatenate([np.asarray(e.ids, self.kind) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)])
         first = np.flatnonzero(self.opens[ids])
         if len(first) != len(pieces):
             raise ValueError("the vocabulary opens pieces otherwise than at blanks and newlines")
@@ -118,8 +119,8 @@ class PieceEncoder:
         if self.unit == 1:
             values = (ends - first).tolist()
         else:
-            raw = ids.tobytes()
-            values = [raw[4 * a : 4 * b] for a, b in zip(first.tolist(), ends.tolist(), strict=True)]
+            raw, unit = ids.tobytes(), self.unit
+            values = [raw[unit * a : unit * b] for a, b in zip(first.tolist(), ends.tolist(), strict=True)]
         self.now.update(zip(pieces, values, strict=True))
 
     def __call__(self, texts: list[str]) -> Iterator:
@@ -138,7 +139,7 @@ class PieceEncoder:
             elif self.unit == 1:
                 yield sum(map(get, pieces)) - 1 if pieces else 0
             else:
-                yield b"".join(map(get, pieces))[4:]
+                yield b"".join(map(get, pieces))[self.unit :]
 
     def stretch(self, text: str):
         """A text with unusual white space: its pieces in order, those with inner space encoded by themselves."""
