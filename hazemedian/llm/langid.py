@@ -25,7 +25,7 @@ from .common import held_out, slices
 
 MOST_DOCUMENTS = 6_000
 MOST_WORDS, MOST_GRAMS = 60_000, 30_000
-LEAST_WORD, LEAST_GRAM = 2, 2
+LEAST_WORD, LEAST_GRAM = 2, 1
 LONGEST = 5
 SMOOTHING = 0.1
 #: Unseen words whose scores a worker remembers.

@@ -59,7 +59,7 @@ def units_of(text: Column) -> Column:
 def anchor_hashes(text: Column) -> Column:
     """array<bigint>, in order of position: a text's anchors over words, for a short text then those over characters."""
     words = F.transform(anchors(units_of(text)), lambda a: a["hash"])
-    letters = F.transform(anchors(F.split(F.lower(text), ""), CHARACTER_K, CHARACTER_S), lambda a: F.xxhash64(a["hash"], F.lit("c")))
+    letters = F.transform(anchors(F.filter(F.split(F.lower(text), ""), lambda c: c != ""), CHARACTER_K, CHARACTER_S), lambda a: F.xxhash64(a["hash"], F.lit("c")))
     return F.when(F.char_length(text) > SHORT_TEXT, words).otherwise(F.concat(words, letters))
 
 

@@ -118,9 +118,10 @@ def train(docs: DataFrame, labels: DataFrame) -> dict | None:
     sample = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(F.broadcast(chosen[0].union(chosen[1])), "doc_id")
 
     def fitted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = pa.Table.from_batches(list(batches)).combine_chunks()
-        if not table.num_rows:
+        held = [batch for batch in batches if batch.num_rows]
+        if not held:
             return
+        table = pa.Table.from_batches(held)
         # One order for any arrival of the rows, so that a retried task fits the same model.
         order = pc.sort_indices(table, [("doc_id", "ascending"), ("text", "ascending")])
         table = table.take(order).combine_chunks()
