@@ -6,6 +6,7 @@ processed as one numpy buffer, so that no operator holds more than a slice of in
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -46,12 +47,18 @@ class Scratch:
         return f"{self.root}/{self.made:03d}-{label}"
 
     def keep(self, df: DataFrame, label: str) -> DataFrame:
+        self.release()
         path = self.path(label)
         df.write.mode("overwrite").parquet(path)
         kept = self.spark.read.schema(df.schema).parquet(path)
         kept.scratch_path = path
         return kept
 
+    def release(self) -> None:
+        """Lets Spark remove the shuffle files of steps whose plans nobody holds any more, before a new step writes."""
+        gc.collect()
+        self.spark._jvm.System.gc()
+
     def drop(self, *kept: DataFrame) -> None:
         """Deletes tables that no later step reads."""
         jvm = self.spark._jvm

@@ -79,6 +79,7 @@ def link_nodes(scratch: Scratch, postings: DataFrame, possible: Callable[[Column
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = scratch.keep(pairs, "pairs")
         tested = pairs if tested is None else tested.union(pairs)
+        del named, keys, by_label
         linked = verify(pairs)
         ends = linked.join(labels.select(F.col("node").alias("a"), F.col("label").alias("la")), "a").join(labels.select(F.col("node").alias("b"), F.col("label").alias("lb")), "b")
         joined = connected(scratch, ends.select(F.col("la").alias("a"), F.col("lb").alias("b")))

@@ -5,7 +5,8 @@
 2. A second pass orders each set by (counter, hash), rarest first, and posts only the prefix: of two sets with
    Jaccard >= 3/4 the first n - ceil(3n/4) + 1 elements must meet.  Equal sets count as one node, by digest.
 3. Keys that only one node has leave; the rest are joined with length filter (sizes within 3/4) and positional
-   filter (elements left on both sides must suffice); `link_nodes` says which pairs are met.
+   filter (elements left on both sides must suffice, first at the shared key, then from all that the prefixes share);
+   `link_nodes` says which pairs are met.
 4. Every pair is verified once: a suffix filter bounds the overlap from the sizes of eight ranges of the sorted
    hashes, then the intersection is counted in full.
 """
@@ -117,6 +118,15 @@ def possible(n, pos, other_n, other_pos):
     return (F.least(n, other_n) * WHOLE >= F.greatest(n, other_n) * SHARE) & (most >= least)
 
 
+def prefix_suffices(n, other_n, common):
+    """Positional filter of a pair whose prefixes have `common` elements in common.
+
+    The side whose prefix ends first has no other partner for its prefix, so beyond these only its suffix counts.
+    """
+    suffix = lambda m: F.ceil(m * SHARE / WHOLE) - 1
+    return common + F.greatest(suffix(n), suffix(other_n)) >= F.ceil((n + other_n) * SHARE / (SHARE + WHOLE))
+
+
 def enough(a: np.ndarray, b: np.ndarray) -> bool:
     """Whether two ascending sets link; the suffix filter first."""
     need = -(-SHARE * (len(a) + len(b)) // (SHARE + WHOLE))
@@ -181,9 +191,9 @@ def ngram_components(docs: DataFrame) -> DataFrame:
 
     postings = scratch.keep(shared_keys(rows.mapInArrow(blocks, "g long, block binary")), "postings")
 
-    nodes = postings.select("node").distinct()
-    kept = sized.join(nodes, "node", "left_semi").groupBy("node").agg(F.min("doc_id").alias("doc_id")).select("doc_id")
-    wanted = scratch.keep(kept, "wanted")
+    shared = postings.groupBy("node").agg(F.max("n").alias("n"), F.collect_list("key").alias("keys"))
+    shared = scratch.keep(shared, "shared")
+    firsts = scratch.keep(sized.join(shared.select("node"), "node", "left_semi").groupBy("node").agg(F.min("doc_id").alias("doc_id")), "firsts")
 
     def as_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -193,9 +203,19 @@ def ngram_components(docs: DataFrame) -> DataFrame:
                 ends = np.cumsum(size)
                 yield pa.record_batch({"node": pa.array(digest, pa.int64()), "items": pa.array([hashes[e - s : e].tobytes() for s, e in zip(size, ends, strict=True)], pa.binary())})
 
-    sets = scratch.keep(rows.join(narrow(wanted), "doc_id", "left_semi").mapInArrow(as_sets, "node long, items binary"), "sets")
-    labels = link_nodes(scratch, postings, possible, verify_by(sets))
-    scratch.drop(postings, sets)
+    def verify(pairs: DataFrame) -> DataFrame:
+        """The full sets are read only for pairs that pass the positional filter over all their shared prefix elements."""
+        left, right = (shared.select(F.col("node").alias(x), F.col("n").alias("n" + x), F.col("keys").alias("keys" + x)) for x in "ab")
+        met = scratch.keep(pairs.join(left, "a").join(right, "b").where(prefix_suffices(F.col("na"), F.col("nb"), F.size(F.array_intersect("keysa", "keysb")))).select("a", "b"), "met")
+        ends = met.select(F.col("a").alias("node")).union(met.select("b")).distinct()
+        wanted = scratch.keep(firsts.join(ends, "node", "left_semi").select("doc_id"), "wanted")
+        sets = scratch.keep(rows.join(narrow(wanted), "doc_id", "left_semi").mapInArrow(as_sets, "node long, items binary"), "sets")
+        linked = scratch.keep(verify_by(sets)(met), "linked")
+        scratch.drop(sets, wanted, met)
+        return linked
+
+    labels = link_nodes(scratch, postings, possible, verify)
+    scratch.drop(postings, shared)
 
     named = sized.join(labels, "node", "left").withColumn("label", F.when(F.col("n") > 0, F.coalesce("label", "node")))
     named = scratch.keep(named, "named")
