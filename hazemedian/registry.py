@@ -52,12 +52,12 @@ def centre_frame(spark: SparkSession, centres) -> DataFrame:
 
 # --- nodes -----------------------------------------------------------------------------------------------------------
 
-_POINT_SQL = "SELECT node_id, loc_id, round(c0, 6) AS c0, round(c1, 6) AS c1, round(c2, 6) AS c2, round(prob, 9) AS prob, weight FROM real"
-_LINE_SQL = "SELECT node_id, loc_id, round(c0, 6) AS c0, round(c1, 6) AS c1, round(c2, 6) AS c2, round(c3, 6) AS c3, round(prob, 9) AS prob, weight FROM real"
+_POINT_SQL = "SELECT node_id, loc_id, round(c0, 6) AS c0, round(c1, 6) AS c1, round(c2, 6) AS c2, round(prob, 11) AS prob, weight FROM real"
+_LINE_SQL = "SELECT node_id, loc_id, round(c0, 6) AS c0, round(c1, 6) AS c1, round(c2, 6) AS c2, round(c3, 6) AS c3, round(prob, 11) AS prob, weight FROM real"
 
 
 def _real(df: DataFrame, d: int) -> DataFrame:
-    return flat(df, "coords", d, "node_id", "loc_id", F.round("prob", 9).alias("prob"), "weight")
+    return flat(df, "coords", d, "node_id", "loc_id", F.round("prob", 11).alias("prob"), "weight")
 
 
 @query(o.TOWER + " " + _POINT_SQL)
@@ -123,9 +123,9 @@ def validate_nodes(spark, d):
     return nodes.validate_nodes(real)
 
 
-@query(o.ABSENT + " SELECT node_id, loc_id, round(prob, 9) AS prob, CAST(floor(round(weight * prob / (w_min * p_min * 0.5e0), 9)) AS BIGINT) AS copies FROM real, (SELECT min(prob) AS p_min, least(min(weight), 1e0) AS w_min FROM real)")
+@query(o.ABSENT + " SELECT node_id, loc_id, round(prob, 11) AS prob, CAST(floor(round(weight * prob / (w_min * p_min * 0.5e0), 9)) AS BIGINT) AS copies FROM real, (SELECT min(prob) AS p_min, least(min(weight), 1e0) AS w_min FROM real)")
 def copies_multiplicity(spark, d):
-    return nodes.with_copies(w.order_realisations(spark, d, True), 0.5).select("node_id", "loc_id", F.round("prob", 9).alias("prob"), "copies")
+    return nodes.with_copies(w.order_realisations(spark, d, True), 0.5).select("node_id", "loc_id", F.round("prob", 11).alias("prob"), "copies")
 
 
 @query(o.EVENTS + " SELECT event_id FROM pts WHERE pos >= (SELECT (count(*) - 7) // 10 * 10 FROM events) AND pos < (SELECT count(*) - 7 FROM events)")
