@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from .blocks import GROUP_BYTES, RECORD, group_of, pack, shared_keys
 from .common import LOWER, Scratch, mix, narrow, row_sets, slices, span_hashes, text_buffer, word_spans
 from .components import link_nodes
-from .jaccard import set_digests, verify_by
+from .jaccard import enough
 
 WIDTH = 8
 BANDS, BAND_BINS = 12, 3
@@ -45,23 +45,28 @@ def line_spans(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
     return seen[lo[full]], seen[hi[full] - 1] + 1, rows[full], number[full]
 
 
-def line_sets(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(shingle hash, line), ascending by line and hash, without repeats; a shorter line is its only shingle."""
+def line_shingles(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(shingle hash, line) in order of place; a shorter line is its only shingle."""
     opens = np.flatnonzero((data & 0xC0) != 0x80)
     lo, hi = np.searchsorted(opens, starts), np.searchsorted(opens, ends)
     count = np.maximum(hi - lo - WIDTH + 1, 1)
     line = np.repeat(np.arange(len(starts)), count)
-    at = np.arange(len(line)) - np.repeat(np.cumsum(count) - count, count) + lo[line]
-    stop = np.minimum(at + WIDTH, hi[line])
-    shut = np.r_[opens, len(data)][stop]
-    return row_sets(span_hashes(data, opens[at], np.minimum(shut, ends[line])), line)
+    at = np.arange(len(line)) + np.repeat(lo - np.cumsum(count) + count, count)
+    shut = np.r_[opens, len(data)][np.minimum(at + WIDTH, np.repeat(hi, count))]
+    return span_hashes(data, opens[at], np.minimum(shut, np.repeat(ends, count))), line
+
+
+def line_sets(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(shingle hash, line), ascending by line and hash, without repeats."""
+    return row_sets(*line_shingles(data, starts, ends))
 
 
 def signatures(hashes: np.ndarray, lines: np.ndarray, n: int) -> np.ndarray:
-    """n rows of BINS minima, every bin filled."""
+    """n rows of BINS minima, every bin filled; repeats of a shingle change nothing."""
     empty = np.uint64(2**64 - 1)
     out = np.full(n * BINS, empty, np.uint64)
-    np.minimum.at(out, lines * BINS + (hashes % np.uint64(BINS)).astype(np.int64), mix(hashes))
+    bins = (hashes & np.uint64(0xFFFFFFFF)) * np.uint64(BINS) >> np.uint64(32)
+    np.minimum.at(out, lines * BINS + bins.astype(np.int64), hashes >> np.uint64(16))
     out = out.reshape(n, BINS)
     filled = out != empty
     for turn in _BORROW:
@@ -90,6 +95,21 @@ def _lines(part: pa.RecordBatch):
     return data, starts, ends, rows, number, line_ids(data, starts, ends)
 
 
+def verified_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The pairs (a, b) whose lines (left, right) have sets of Jaccard 0.75 or more."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, 512):
+            part = batch.slice(at, 512)
+            sides = []
+            for name in ("left", "right"):
+                raw = [x.as_py() for x in part.column(name)]
+                ends = np.cumsum([len(x) for x in raw])
+                sets, line = line_sets(np.frombuffer(b"".join(raw), np.uint8), np.r_[0, ends[:-1]], ends)
+                sides.append(np.split(sets, np.cumsum(np.bincount(line, minlength=len(raw)))[:-1]))
+            keep = [enough(x, y) for x, y in zip(*sides, strict=True)]
+            yield part.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+
 def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for part in slices(batch):
@@ -124,11 +144,9 @@ def line_components(docs: DataFrame) -> DataFrame:
                     if not len(starts):
                         continue
                     once = _first_of_each(ids)
-                    sets, lines = line_sets(data, starts[once], ends[once])
-                    _, size, _ = set_digests(sets, lines)
-                    keys = band_keys(signatures(sets, lines, len(once)))
+                    keys = band_keys(signatures(*line_shingles(data, starts[once], ends[once]), len(once)))
                     records = np.zeros(keys.size, RECORD)
-                    records["key"], records["node"], records["n"] = keys.ravel().view(np.int64), np.repeat(ids[once], BANDS), np.repeat(size, BANDS)
+                    records["key"], records["node"] = keys.ravel().view(np.int64), np.repeat(ids[once], BANDS)
                     yield group_of(keys.ravel().view(np.int64), records["node"].copy(), groups), records
 
         return pack(parts())
@@ -138,27 +156,27 @@ def line_components(docs: DataFrame) -> DataFrame:
     firsts = scratch.keep(occurrences.groupBy("node").agg(F.min(F.struct("doc_id", "line_no")).alias("first"), F.count("*").alias("times")), "firsts")
     wanted = scratch.keep(firsts.join(postings.select("node").distinct(), "node", "left_semi").select("node", "first.doc_id"), "wanted")
 
-    def as_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def as_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch):
                 data, starts, ends, _, _, ids = _lines(part)
-                if len(starts):
-                    once = _first_of_each(ids)
-                    sets, lines = line_sets(data, starts[once], ends[once])
-                    stop = np.cumsum(np.bincount(lines, minlength=len(once)))
-                    for k in range(0, len(once), 2048):
-                        cut = np.r_[0, stop][k : k + 2049]
-                        yield pa.record_batch({"node": pa.array(ids[once[k : k + 2048]]), "items": pa.array([sets[a:b].tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary())})
+                once, raw = _first_of_each(ids), data.tobytes()
+                yield pa.record_batch({"node": pa.array(ids[once], pa.int64()), "items": pa.array([raw[a:b] for a, b in zip(starts[once].tolist(), ends[once].tolist(), strict=True)], pa.binary())})
 
     few = rows.join(narrow(wanted.select("doc_id").distinct()), "doc_id", "left_semi")
-    sets = few.mapInArrow(as_sets, "node long, items binary").join(narrow(wanted.select("node")), "node", "left_semi")
-    sets = scratch.keep(sets.dropDuplicates(["node"]), "sets")
+    texts = few.mapInArrow(as_lines, "node long, items binary").join(narrow(wanted.select("node")), "node", "left_semi")
+    texts = scratch.keep(texts.dropDuplicates(["node"]), "texts")
+
+    def possible(_n, _pos, _other_n, _other_pos):
+        return F.lit(True)
 
-    def possible(n, _pos, other_n, _other_pos):
-        return F.least(n, other_n) * 100 >= F.greatest(n, other_n) * 75
+    def verify(pairs: DataFrame) -> DataFrame:
+        left, right = (texts.select(F.col("node").alias(k), F.col("items").alias(name)) for k, name in (("a", "left"), ("b", "right")))
+        met = pairs.join(left, "a").join(right, "b").select("a", "b", "left", "right")
+        return scratch.keep(met.mapInArrow(verified_lines, "a long, b long"), "linked")
 
-    labels = link_nodes(scratch, postings, possible, verify_by(sets))
-    scratch.drop(postings, sets)
+    labels = link_nodes(scratch, postings, possible, verify)
+    scratch.drop(postings, texts)
     named = firsts.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     groups_ = named.groupBy("label").agg(F.min("first").alias("keep"), F.sum("times").alias("times")).where("times > 1")
     of = scratch.keep(named.join(groups_.select("label", "keep"), "label").select("node", "keep"), "of")
