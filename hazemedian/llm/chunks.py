@@ -3,7 +3,7 @@
 A gear rolling hash runs over the UTF-8 bytes; a chunk may end where the hash's top bits are zero, at least
 MIN_BYTES after the last end, and must end at MAX_BYTES.  Ends depend on the last bytes alone, so an insertion
 moves the ends near it and no others.  Equal chunks (16-byte digests) are repeats; neighbouring repeats are one
-passage.  Expected chunks of about 100 bytes let a passage of 50 words hold several whole chunks.
+passage.  Expected chunks of about 55 bytes let a passage of 50 words hold several whole chunks.
 """
 
 from __future__ import annotations
@@ -18,9 +18,9 @@ from pyspark.sql import functions as F
 
 from .common import Scratch, slices, text_buffer
 
-MIN_BYTES, MEAN_BITS, MAX_BYTES = 48, 5, 1024
+MIN_BYTES, MEAN_BITS, MAX_BYTES = 24, 5, 1024
 #: A passage is reported from so many repeated bytes.
-PASSAGE_BYTES = 160
+PASSAGE_BYTES = 64
 GEAR = np.random.Generator(np.random.PCG64(4242)).integers(0, 2**32, 256, dtype=np.uint32)
 _WINDOW = 32
 
@@ -35,15 +35,10 @@ def gear_hash(data: np.ndarray) -> np.ndarray:
 
 
 def chunk_ends(data: np.ndarray) -> list[int]:
-    """Ends of a text's chunks; the last may be short.
-
-    A candidate within the window's length of the text's start would see bytes of another text, but no chunk may
-    end before MIN_BYTES, which is more.
-    """
+    """Ends of a text's chunks; the last may be short.  In the first bytes the hash's window is that much shorter."""
     possible = np.flatnonzero(gear_hash(data) >> np.uint32(32 - MEAN_BITS) == 0) + 1
-    ends, last, k, n = [], 0, 0, len(data)
-    places = possible.tolist()
-    for at in places:
+    ends, last, n = [], 0, len(data)
+    for at in possible.tolist():
         while at - last > MAX_BYTES:
             last += MAX_BYTES
             ends.append(last)
