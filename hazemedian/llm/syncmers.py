@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, narrow
 
 K, S = 6, 2
 CHARACTER_K, CHARACTER_S = 12, 4
@@ -77,23 +77,33 @@ def likeness(a: Column, b: Column) -> Column:
 def _bucketed(docs: DataFrame) -> tuple[Column, int]:
     """(expression of a bucket that ascends with doc_id, number of buckets), about BUCKET_BYTES of text a bucket.
 
-    Ids are counted in CELLS equal ranges, and runs of cells are made buckets, so that gaps between ids don't matter.
+    Ids are counted in CELLS equal ranges.  Runs of thin ranges make one bucket, a dense one is cut into equal parts, so
+    that neither gaps between ids nor the size of the table matter.
     """
     low, high, total = docs.agg(F.min("doc_id"), F.max("doc_id"), F.sum(F.octet_length("text"))).first()
     if low is None:
         return F.lit(0), 1
+    shift = 2 if high - low >= 1 << 62 else 0  # differences of any two ids must be numbers of 64 bits
+    low, high = low >> shift, high >> shift
     width = (high - low) // CELLS + 1
-    cell = F.floor((F.col("doc_id") - F.lit(low)) / F.lit(width)).cast("int")
+    place = F.shiftright("doc_id", shift) - F.lit(low).cast("long")
+    cell = F.expr(f"(shiftright(doc_id, {shift}) - {low}L) div {width}L").cast("int")
     counts = {x["c"]: x["n"] for x in docs.groupBy(cell.alias("c")).agg(F.count("*").alias("n")).collect()}
     most = -(-sum(counts.values()) // max(1, -(-int(total or 0) // BUCKET_BYTES)))
-    of, bucket, held = [], 0, 0
+    of, steps, bucket, held = [], [], 0, 0
     for k in range(CELLS):
         n = counts.get(k, 0)
         if held and n and held + n > most:
             bucket, held = bucket + 1, 0
-        held += n
         of.append(bucket)
-    return F.get(F.lit(of), cell), bucket + 1
+        parts = max(1, -(-n // most))
+        steps.append(width // parts + 1)
+        if parts > 1:
+            bucket, held = bucket + parts, 0
+        else:
+            held += n
+    inside = F.call_function("div", place - cell.cast("long") * F.lit(width).cast("long"), F.get(F.lit(steps).cast("array<bigint>"), cell))
+    return F.get(F.lit(of), cell) + inside.cast("int"), bucket + 1
 
 
 def with_next(docs: DataFrame, carried: list[str]) -> DataFrame:
@@ -102,13 +112,11 @@ def with_next(docs: DataFrame, carried: list[str]) -> DataFrame:
     After the last comes the first.  One shuffle by ranges of doc_id; a range's last document finds the next range's first
     in a copy that is dealt to its own range.
     """
-    spark = docs.sparkSession
-    ids = docs.select("doc_id", "text")
-    bucket, n = _bucketed(ids)
-    heads = docs.select("doc_id", bucket.alias("b")).groupBy("b").agg(F.max("doc_id").alias("doc_id")).orderBy("b").collect()
-    # One row a bucket: as many as the partitions of the shuffle.
-    to = [(x["doc_id"], heads[(k + 1) % len(heads)]["b"]) for k, x in enumerate(heads)]
-    copies = docs.join(F.broadcast(spark.createDataFrame(to, "doc_id long, bucket int")), "doc_id").withColumn("copy", F.lit(1))
+    bucket, _ = _bucketed(docs.select("doc_id", "text"))
+    heads = docs.select("doc_id", bucket.cast("int").alias("b")).groupBy("b").agg(F.max("doc_id").alias("doc_id"))
+    after = F.coalesce(F.lead("b").over(Window.orderBy("b")), F.min("b").over(Window.partitionBy()))
+    to = Scratch(docs.sparkSession).keep(heads.select("doc_id", after.alias("bucket")), "heads")  # one row a bucket
+    copies = docs.join(narrow(to), "doc_id").withColumn("copy", F.lit(1))
     rows = docs.withColumn("bucket", bucket.cast("int")).withColumn("copy", F.lit(0)).unionByName(copies)
     order = Window.partitionBy("bucket").orderBy("copy", F.col("doc_id").desc(), "text")
     return rows.select("*", *(F.lead(c).over(order).alias(f"next_{c}") for c in carried)).where("copy = 0").drop("copy", "bucket")
