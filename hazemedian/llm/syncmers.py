@@ -3,11 +3,14 @@
 A text's units are its words (runs of letters and digits, lower-cased; each Han or kana character by itself).
 A k-mer of units is an anchor if the smallest hash among its s-mers stands first or last in it.  Whether it is one
 depends on its own units alone, so equal passages have equal anchors wherever they stand, and every k - s
-neighbouring k-mers hold one.  A text of fewer than k units has one anchor, its whole.  Texts of at most
-SHORT_TEXT characters get anchors of single characters too, for words are few there.
+neighbouring k-mers hold one.  A text of fewer than k units has one anchor, its whole.
 
-The fingerprint is the sequence of anchor hashes in order of position; the likeness of two texts is the Jaccard
-similarity of their anchor sets.
+A text is short if it has at most SHORT_TEXT characters or fewer than FEW_UNITS units.  The likeness of two texts is
+the Jaccard similarity of their sets of word anchors; where either is short, words are few, and anchors of single
+characters are added on both sides, so that the two sets always hold the same kinds.
+
+The fingerprint is the sequence of word anchors in order of position; a short text's character anchors follow after
+a hyphen, so that fingerprints can be compared by the kinds that both have.
 """
 
 from __future__ import annotations
@@ -20,6 +23,8 @@ from .common import Scratch, narrow
 K, S = 6, 2
 CHARACTER_K, CHARACTER_S = 12, 4
 SHORT_TEXT = 400
+#: From so many units a word anchor is certain.
+FEW_UNITS = 2 * K - S - 1
 CELLS = 4096
 BUCKET_BYTES = 16 << 20
 _UNIT = r"[\p{IsHan}\p{IsHiragana}\p{IsKatakana}]|[\p{L}\p{N}]+"
@@ -56,11 +61,14 @@ def units_of(text: Column) -> Column:
     return F.regexp_extract_all(F.lower(text), F.lit(_UNIT), F.lit(0))
 
 
-def anchor_hashes(text: Column) -> Column:
-    """array<bigint>, in order of position: a text's anchors over words, for a short text then those over characters."""
-    words = F.transform(anchors(units_of(text)), lambda a: a["hash"])
-    letters = F.transform(anchors(F.filter(F.split(F.lower(text), ""), lambda c: c != ""), CHARACTER_K, CHARACTER_S), lambda a: F.xxhash64(a["hash"], F.lit("c")))
-    return F.when(F.char_length(text) > SHORT_TEXT, words).otherwise(F.concat(words, letters))
+def words_of(text: Column) -> Column:
+    """struct<hashes array<bigint>, short boolean>: a text's word anchors in order of position, and whether it is short."""
+    return _let(units_of(text), lambda u: F.struct(F.transform(anchors(u), lambda a: a["hash"]).alias("hashes"), ((F.char_length(text) <= SHORT_TEXT) | (F.size(u) < FEW_UNITS)).alias("short")))
+
+
+def letters_of(text: Column) -> Column:
+    """array<bigint>: a text's anchors over characters, in order of position."""
+    return F.transform(anchors(F.filter(F.split(F.lower(text), ""), lambda c: c != ""), CHARACTER_K, CHARACTER_S), lambda a: F.xxhash64(a["hash"], F.lit("c")))
 
 
 def fingerprint_of(hashes: Column) -> Column:
@@ -133,13 +141,26 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     rows = docs.select(F.col("doc_id").cast("long"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).where("doc_id is not null")
     if rows.isEmpty():
         return rows.select("doc_id", F.lit(0).cast("long").alias("n_chars"), *(F.lit("").alias(c) for c in ("edited_sha256", "fingerprint", "edited_fingerprint")), *(F.lit(0.0).alias(c) for c in ("near_edited", "near_next")))
-    rows = with_next(rows.withColumn("own", anchor_hashes(F.col("text"))), ["text", "own"])
+    rows = rows.withColumn("words", words_of(F.col("text"))).select("doc_id", "text", F.col("words.hashes").alias("own"), F.col("words.short").alias("short"))
+    rows = with_next(rows, ["text", "own", "short"])
     n = F.char_length("text").cast("long")
     half = F.floor(n / 2).cast("int")
     edited = F.concat(F.substring("text", F.lit(1), (n - half).cast("int")), F.substring("next_text", F.lit(1), half))
-    rows = rows.select("doc_id", n.alias("n_chars"), "own", "next_own", edited.alias("edited"))
-    rows = rows.withColumn("other", anchor_hashes(F.col("edited")))
-    return rows.select(
-        "doc_id", "n_chars", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), fingerprint_of(F.col("own")).alias("fingerprint"), fingerprint_of(F.col("other")).alias("edited_fingerprint"),
-        likeness(F.col("own"), F.col("other")).alias("near_edited"), likeness(F.col("own"), F.col("next_own")).alias("near_next"),
+    rows = rows.withColumn("n_chars", n).withColumn("edited", edited).withColumn("words", words_of(F.col("edited")))
+    rows = rows.withColumn("by_letters", F.col("short") | F.col("words.short")).withColumn("next_by_letters", F.col("short") | F.col("next_short"))
+    rows = rows.select(
+        "doc_id", "n_chars", "edited", "own", "next_own", F.col("words.hashes").alias("other"), "short", F.col("words.short").alias("other_short"), "by_letters", "next_by_letters",
+        F.when(F.col("by_letters") | F.col("next_by_letters"), letters_of(F.col("text"))).alias("own_letters"),
+        F.when(F.col("by_letters"), letters_of(F.col("edited"))).alias("other_letters"),
+        F.when(F.col("next_by_letters"), letters_of(F.col("next_text"))).alias("next_letters"),
     )
+
+    def alike(name: str, by_letters: str) -> Column:
+        words, both = ((F.col("own"), F.col(name)), (F.concat("own", "own_letters"), F.concat(name, f"{name.removesuffix('_own')}_letters")))
+        return F.when(F.col(by_letters), likeness(*both)).otherwise(likeness(*words))
+
+    def printed(name: str) -> Column:
+        letters, short = F.col(f"{name}_letters"), F.col("short" if name == "own" else f"{name}_short")
+        return F.concat(fingerprint_of(F.col(name)), F.when(short & (F.size(letters) > 0), F.concat(F.lit("-"), fingerprint_of(letters))).otherwise(F.lit("")))
+
+    return rows.select("doc_id", "n_chars", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), printed("own").alias("fingerprint"), printed("other").alias("edited_fingerprint"), alike("other", "by_letters").alias("near_edited"), alike("next_own", "next_by_letters").alias("near_next"))

@@ -90,6 +90,22 @@ def test_fingerprints(frame, words):
     assert one["near_next"] == 1 and one["edited_sha256"] == hashlib.sha256(edited_text([(5, words(40, 1))], 0).encode()).hexdigest()
 
 
+def test_near_copies_astride_the_short_text_limit_stay_alike(frame, words):
+    def text(n, seed):
+        return (words(90, seed)[: n - 1]).rstrip().ljust(n - 1, "a") + "z"
+
+    base, solid = text(395, 1), "".join(random.Random(2).choices("abcdefgh", k=395))
+    for short, long in ((base, base + " new words"), (solid, solid + "0123456789")):
+        assert (len(short), len(long)) == (395, 405)
+        got = {r["doc_id"]: r for r in fingerprints(frame([(2, short), (1, long)])).collect()}
+        assert got[2]["near_next"] == got[1]["near_next"] > 0.8
+        assert "-" in got[2]["fingerprint"]
+    assert "-" not in fingerprints(frame([(1, base + " new words")])).first()["fingerprint"]
+    # The edited form of a text of 760 characters has 380 + 10: half of its anchors of both kinds are its own.
+    got = {r["doc_id"]: r for r in fingerprints(frame([(2, words(300, 4)[:760]), (1, "0123456789")])).collect()}
+    assert 0.4 < got[2]["near_edited"] < 0.6 and got[2]["near_next"] < 0.1
+
+
 def brute_syncmers(units, k, s):
     """Positions whose least inner s-mer (by the given hashes) stands at an edge."""
     inner = [units[i : i + s] for i in range(len(units) - s + 1)]
