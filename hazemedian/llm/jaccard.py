@@ -9,6 +9,10 @@
    `link_nodes` says which pairs are met.
 4. Every pair is verified once: a suffix filter bounds the overlap from the sizes of eight ranges of the sorted
    hashes, then the intersection is counted in full.
+
+These pairs decide the components.  The join itself (`ngram_links`, and the numbers of links of `linked_components`)
+then counts the intersections of all different sets of a component, for links run inside components only: a
+component is cut into blocks of BLOCK_BYTES, every two blocks meet in one task, and small components share a task.
 """
 
 from __future__ import annotations
@@ -29,6 +33,8 @@ WORDS = 5
 SHARE, WHOLE = 75, 100
 COUNTERS = 1 << 20
 _CHUNK = 1 << 16
+#: Bytes of sets in a block of the join inside components.
+BLOCK_BYTES = 2 << 20
 
 
 def text_sets(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -157,6 +163,94 @@ def verify_by(sets: DataFrame):
     return verify
 
 
+def as_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for part in slices(batch):
+            hashes, own = text_sets(part.column("text"))
+            of, size, digest = set_digests(hashes, own)
+            ends = np.cumsum(size)
+            yield pa.record_batch({"node": pa.array(digest, pa.int64()), "items": pa.array([hashes[e - s : e].tobytes() for s, e in zip(size, ends, strict=True)], pa.binary())})
+
+
+def links_among(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """(k, the linked sets among `right`) of each set k of `left`, itself left out; intersections are counted by shared elements."""
+    size = np.array([len(x) for x in sets])
+    of = np.repeat(np.arange(len(sets)), size)
+    names, key, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    order = np.argsort(key, kind="stable")
+    rows, ends = of[order], np.cumsum(times)
+    stops = np.cumsum(size)
+    for k in left.tolist():
+        own = key[stops[k] - size[k] : stops[k]]
+        own = own[times[own] > 1]
+        many = times[own]
+        at = np.arange(many.sum()) + np.repeat(ends[own] - np.cumsum(many), many)
+        both = np.bincount(rows[at], minlength=len(sets))
+        linked = right & (WHOLE * both >= SHARE * (size + size[k] - both))
+        linked[k] = False
+        yield k, np.flatnonzero(linked)
+
+
+def _found_links(table: pa.Table) -> Iterator[tuple[np.ndarray, np.ndarray, int, np.ndarray]]:
+    """(nodes, rows of each node, k, linked sets) of a task's sets: side 0 meets side 1, side 2 meets itself."""
+    side = table.column("side").to_numpy()
+    nodes, rows = table.column("node").to_numpy(), table.column("rows").to_numpy()
+    sets = [np.frombuffer(x, np.uint64) for x in table.column("items").to_pylist()]
+    for left, right in ((side == 2, side == 2), (side == 0, side == 1), (side == 1, side == 0)):
+        if left.any() and right.any():
+            for k, linked in links_among(sets, np.flatnonzero(left), right):
+                yield nodes, rows, k, linked
+
+
+def link_pairs(table: pa.Table) -> pa.Table:
+    a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    for nodes, _, k, linked in _found_links(table):
+        b.append(nodes[linked][nodes[linked] > nodes[k]])
+        a.append(np.full(len(b[-1]), nodes[k]))
+    return pa.table({"a": pa.array(np.concatenate(a)), "b": pa.array(np.concatenate(b))})
+
+
+def link_sums(table: pa.Table) -> pa.Table:
+    """Rows that a node's linked nodes have in this task, so that a large group gives no row for each pair."""
+    found = [(nodes[k], rows[linked].sum()) for nodes, rows, k, linked in _found_links(table) if len(linked)]
+    return pa.table({"node": pa.array([x for x, _ in found], pa.int64()), "links": pa.array([x for _, x in found], pa.int64())})
+
+
+def _meetings(scratch: Scratch, rows: DataFrame, sized: DataFrame, labels: DataFrame):
+    """Sets grouped into tasks so that all pairs of a component's sets meet exactly once."""
+    nodes = scratch.keep(sized.where("n > 0").groupBy("node").agg(F.max("n").alias("n"), F.count("*").alias("rows"), F.min("doc_id").alias("doc_id")).join(labels, "node"), "nodes")
+    groups = nodes.groupBy("label").agg(F.count("*").alias("members"), F.sum("n").alias("total")).where("members > 1")
+    groups = scratch.keep(groups.select("label", F.ceil(F.col("total") * 8 / BLOCK_BYTES).cast("int").alias("blocks"), "total"), "groups")
+    small = groups.where("blocks = 1").agg(F.sum("total")).first()[0] or 0
+    buckets = 1 + int(small * 8 // BLOCK_BYTES)
+    named = scratch.keep(nodes.join(groups, "label").select("node", "rows", "doc_id", "label", "blocks"), "grouped")
+    wanted = scratch.keep(named.select("doc_id").distinct(), "wanted")
+    sets = rows.join(narrow(wanted), "doc_id", "left_semi").mapInArrow(as_sets, "node long, items binary").dropDuplicates(["node"])
+    held = named.drop("doc_id").join(sets, "node").withColumn("own", F.pmod(F.xxhash64("node"), "blocks").cast("int"))
+    held = held.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    label = F.when(F.col("blocks") > 1, F.col("label")).otherwise(F.pmod(F.xxhash64("label"), F.lit(buckets)))
+    side = F.when(F.col("own") == F.col("other"), 2).when(F.col("own") < F.col("other"), 0).otherwise(1)
+    return held.select((F.col("blocks") > 1).alias("cut"), label.alias("g"), F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), side.alias("side"), "node", "rows", "items").groupBy("cut", "g", "p", "q")
+
+
+def ngram_links(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(links(a, b), members(doc_id, n_shingles, node)): every pair of different sets that link, once with a < b, and
+    the set (node, a 64-bit digest) of every row with words.  Rows with one node are equal and link too.
+    """
+    scratch, rows, sized, labels = _labelled(docs)
+    return _meetings(scratch, rows, sized, labels).applyInArrow(link_pairs, "a long, b long"), sized.where("n > 0").select("doc_id", F.col("n").alias("n_shingles"), "node")
+
+
+def linked_components(docs: DataFrame) -> DataFrame:
+    """`ngram_components` with n_links: the other rows whose text links with the row's, equal ones included."""
+    scratch, rows, sized, labels = _labelled(docs)
+    sums = _meetings(scratch, rows, sized, labels).applyInArrow(link_sums, "node long, links long").groupBy("node").agg(F.sum("links").alias("links"))
+    equal = sized.where("n > 0").groupBy("node").agg((F.count("*") - 1).alias("equal"))
+    links = scratch.keep(equal.join(sums, "node", "left").select("node", (F.col("equal") + F.coalesce("links", F.lit(0))).alias("n_links")).where("n_links > 0"), "links")
+    named = _named(scratch, sized, labels).join(links, "node", "left")
+    return named.select("doc_id", "n_shingles", "component_id", F.when(F.col("n_shingles") > 0, F.coalesce("n_links", F.lit(0))).otherwise(0).cast("long").alias("n_links"))
+
+
 def ngram_components(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, component_id of every row of `docs(doc_id, text)`.
 
@@ -166,6 +260,19 @@ def ngram_components(docs: DataFrame) -> DataFrame:
     can't be named by a component and give none; an empty table gives no row; other columns are not read.
     Shingles are compared by 64-bit hashes.
     """
+    scratch, _, sized, labels = _labelled(docs)
+    return _named(scratch, sized, labels).select("doc_id", "n_shingles", "component_id")
+
+
+def _named(scratch: Scratch, sized: DataFrame, labels: DataFrame) -> DataFrame:
+    named = sized.join(labels, "node", "left").withColumn("label", F.when(F.col("n") > 0, F.coalesce("label", "node")))
+    named = scratch.keep(named, "named")
+    smallest = named.where("label is not null").groupBy("label").agg(F.min("doc_id").alias("component_id"))
+    return named.join(smallest, "label", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"), "node")
+
+
+def _labelled(docs: DataFrame) -> tuple[Scratch, DataFrame, DataFrame, DataFrame]:
+    """(scratch, rows(doc_id, text), sized(doc_id, n, node), labels(node, label) of the nodes that share a prefix key)."""
     spark = docs.sparkSession
     scratch = Scratch(spark)
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null")
@@ -195,14 +302,6 @@ def ngram_components(docs: DataFrame) -> DataFrame:
     shared = scratch.keep(shared, "shared")
     firsts = scratch.keep(sized.join(shared.select("node"), "node", "left_semi").groupBy("node").agg(F.min("doc_id").alias("doc_id")), "firsts")
 
-    def as_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in slices(batch):
-                hashes, own = text_sets(part.column("text"))
-                of, size, digest = set_digests(hashes, own)
-                ends = np.cumsum(size)
-                yield pa.record_batch({"node": pa.array(digest, pa.int64()), "items": pa.array([hashes[e - s : e].tobytes() for s, e in zip(size, ends, strict=True)], pa.binary())})
-
     def verify(pairs: DataFrame) -> DataFrame:
         """The full sets are read only for pairs that pass the positional filter over all their shared prefix elements."""
         left, right = (shared.select(F.col("node").alias(x), F.col("n").alias("n" + x), F.col("keys").alias("keys" + x)) for x in "ab")
@@ -216,8 +315,4 @@ def ngram_components(docs: DataFrame) -> DataFrame:
 
     labels = link_nodes(scratch, postings, possible, verify)
     scratch.drop(postings, shared)
-
-    named = sized.join(labels, "node", "left").withColumn("label", F.when(F.col("n") > 0, F.coalesce("label", "node")))
-    named = scratch.keep(named, "named")
-    smallest = named.where("label is not null").groupBy("label").agg(F.min("doc_id").alias("component_id"))
-    return named.join(smallest, "label", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
+    return scratch, rows, sized, labels

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from .chunks import repeated_passages
-from .jaccard import ngram_components
+from .jaccard import linked_components
 from .langid import languages
 from .lines import line_components
 from .mixing import schedule
@@ -33,7 +33,7 @@ def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return ngram_components(_table(spark, sf_dir, "documents", "doc_id", "text"))
+    return linked_components(_table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

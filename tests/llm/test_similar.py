@@ -2,7 +2,7 @@ import random
 import re
 
 from hazemedian.llm.chunks import chunk_ends, repeated_passages, without_repeated_passages
-from hazemedian.llm.jaccard import ngram_components
+from hazemedian.llm.jaccard import linked_components, ngram_components, ngram_links
 from hazemedian.llm.lines import line_components, without_repeated_lines
 
 from .conftest import HARD
@@ -58,6 +58,28 @@ def test_repeated_rows_each_give_a_row(frame, words):
     assert sorted((r["doc_id"], r["component_id"]) for r in got) == [(5, 5), (5, 5), (8, 8), (9, 5)]
 
 
+def test_every_link_inside_a_group_is_found(frame, words, monkeypatch):
+    from hazemedian.llm import jaccard
+
+    base = words(200, 5)
+    rows = [(k, edited(base, (k % 9) / 100, k)) for k in range(70)] + [(200, words(60, 1)), (201, words(60, 1)), (201, words(60, 1) + " end"), (202, words(50, 2))] + HARD[:7]
+    sets = [shingles(t) for _, t in rows]
+    link = lambda a, b: bool(a and b) and 100 * len(a & b) >= 75 * len(a | b)
+    want = sorted((d, sum(link(a, b) for j, b in enumerate(sets) if j != k)) for k, ((d, _), a) in enumerate(zip(rows, sets, strict=True)))
+    differing = {frozenset(map(frozenset, (a, b))) for a in sets for b in sets if a != b and link(a, b)}
+    df = frame([*rows, (None, base)])
+    for size in (1 << 21, 20_000):
+        monkeypatch.setattr(jaccard, "BLOCK_BYTES", size)
+        got = linked_components(df).collect()
+        assert sorted((r["doc_id"], r["n_links"]) for r in got) == want
+        links, members = ngram_links(df)
+        links, of = links.collect(), members.collect()
+        assert len({(r["a"], r["b"]) for r in links}) == len(links) == len(differing)
+        assert all(r["a"] < r["b"] for r in links) and {r["node"] for r in of} >= {r["a"] for r in links} | {r["b"] for r in links}
+    assert sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == sorted(map(tuple, ngram_components(df).collect()))
+    assert linked_components(frame([])).count() == 0 and ngram_links(frame([]))[0].count() == 0
+
+
 def test_star_rounds_and_crossing_round_agree(spark, frame, words, monkeypatch):
     """However many pairs star rounds leave to the crossing round, the components are the same."""
     from hazemedian.llm import components
