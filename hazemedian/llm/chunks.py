@@ -78,7 +78,8 @@ def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def repeated_passages(docs: DataFrame, passage_bytes: int = PASSAGE_BYTES) -> DataFrame:
     """Every passage of at least `passage_bytes` UTF-8 bytes whose chunks all occur more than once:
     doc_id, begin, stop (byte offsets), chunks, first_doc_id (smallest document of the chunks' first
-    occurrences), removed_bytes (bytes of it that an earlier occurrence stands for).
+    occurrences), removed_bytes (bytes of it that an earlier occurrence stands for), removed (array of their
+    (begin, stop) in order, touching ones joined).
 
     Occurrences are ordered by doc_id and offset, the first of each chunk is kept.  Null and empty texts have
     no chunk; repeated rows are taken as copies; rows with a null doc_id are left out; an empty table gives no
@@ -100,22 +101,28 @@ def repeated_passages(docs: DataFrame, passage_bytes: int = PASSAGE_BYTES) -> Da
                 run: list = []
                 for c in [*row["c"], None]:
                     if run and (c is None or c["begin"] != run[-1]["stop"]):
-                        gone = sum(x["stop"] - x["begin"] for x in run if not x["kept"])
-                        out.append((row["doc_id"], run[0]["begin"], run[-1]["stop"], len(run), min(x["first_doc"] for x in run), gone))
+                        gone: list = []
+                        for x in run:
+                            if not x["kept"]:
+                                touches = gone and gone[-1]["stop"] == x["begin"]
+                                begin = gone.pop()["begin"] if touches else x["begin"]
+                                gone.append({"begin": begin, "stop": x["stop"]})
+                        out.append((row["doc_id"], run[0]["begin"], run[-1]["stop"], len(run), min(x["first_doc"] for x in run), sum(x["stop"] - x["begin"] for x in gone), gone))
                         run = []
                     if c is not None:
                         run.append(c)
             names = ("doc_id", "begin", "stop", "chunks", "first_doc_id", "removed_bytes")
-            yield pa.record_batch({name: pa.array([x[k] for x in out], pa.int64()) for k, name in enumerate(names)})
+            removed = pa.array([x[-1] for x in out], pa.list_(pa.struct([("begin", pa.int64()), ("stop", pa.int64())])))
+            yield pa.record_batch({name: pa.array([x[k] for x in out], pa.int64()) for k, name in enumerate(names)} | {"removed": removed})
 
-    found = of.mapInArrow(runs, "doc_id long, begin long, stop long, chunks long, first_doc_id long, removed_bytes long")
+    found = of.mapInArrow(runs, "doc_id long, begin long, stop long, chunks long, first_doc_id long, removed_bytes long, removed array<struct<begin:long,stop:long>>")
     return found.where(F.col("stop") - F.col("begin") >= passage_bytes)
 
 
 def without_repeated_passages(docs: DataFrame, passage_bytes: int = PASSAGE_BYTES) -> DataFrame:
-    """`docs` with the passages cut out whose bytes all repeat an earlier occurrence."""
-    gone = repeated_passages(docs, passage_bytes).where("removed_bytes = stop - begin")
-    spans = gone.groupBy("doc_id").agg(F.sort_array(F.collect_set(F.struct("begin", "stop"))).alias("_spans"))
+    """`docs` with the parts of repeated passages cut out that an earlier occurrence stands for, to whole characters."""
+    gone = repeated_passages(docs, passage_bytes).select("doc_id", F.explode("removed").alias("span"))
+    spans = gone.groupBy("doc_id").agg(F.sort_array(F.collect_set("span")).alias("_spans"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -124,8 +131,13 @@ def without_repeated_passages(docs: DataFrame, passage_bytes: int = PASSAGE_BYTE
                 if text is not None and gaps:
                     raw, kept, last = text.encode(), [], 0
                     for gap in gaps:
-                        kept.append(raw[last : gap["begin"]])
-                        last = gap["stop"]
+                        begin, stop = gap["begin"], gap["stop"]
+                        while begin < stop and raw[begin] & 0xC0 == 0x80:
+                            begin += 1
+                        while stop < len(raw) and raw[stop] & 0xC0 == 0x80:
+                            stop -= 1
+                        kept.append(raw[last:begin])
+                        last = max(begin, stop)
                     text = b"".join([*kept, raw[last:]]).decode(errors="ignore")
                 texts.append(text)
             at = batch.schema.get_field_index("text")

@@ -166,3 +166,14 @@ def test_repeated_passages_are_found_and_cut(frame, words):
     clean = {r["doc_id"]: r["text"] for r in without_repeated_passages(frame(rows)).collect()}
     assert clean[1] == rows[0][1] and len(clean[2]) < len(rows[1][1]) - 200 and clean[3] == rows[2][1] and clean[4] is None and clean[7] == rows[6][1] and len(clean[8]) < 60
     assert repeated_passages(frame([])).count() == 0
+
+
+def test_a_repeat_beside_a_first_occurrence_is_cut(frame, words):
+    p, q, own = words(120, 60), words(120, 61), words(60, 62)
+    rows = [(1, p), (2, p + " " + q), (3, p + " " + q), (4, own + " " + own.upper() + " " + own)]
+    clean = {r["doc_id"]: r["text"] for r in without_repeated_passages(frame(rows)).collect()}
+    assert clean[1] == p and len(clean[3]) < 60
+    assert clean[2].endswith(q) and len(clean[2]) < len(q) + 120
+    assert clean[4].startswith(own) and len(clean[4]) < len(rows[3][1]) - 150
+    for r in repeated_passages(frame(rows)).collect():
+        assert sum(x["stop"] - x["begin"] for x in r["removed"]) == r["removed_bytes"]
