@@ -24,6 +24,8 @@ ENTROPY_SHARE = 0.97
 MOST_EPOCHS = 2.0
 BLOCK_DOCUMENTS = 256
 SEED = 1
+#: Names a row where doc_ids may be null or repeated.
+ROW_KEY = "row_key"
 
 
 def weights_at(tokens: dict, alpha: float) -> dict:
@@ -70,13 +72,18 @@ def token_count(text):
     return F.coalesce(F.regexp_count(text, F.lit(r"\S+")), F.lit(0)).cast("long")
 
 
-def plan(docs: DataFrame, target_entropy: float | None = None, most_epochs: float = MOST_EPOCHS, budget: float | None = None) -> tuple[DataFrame, list[dict]]:
+def keyed(docs: DataFrame) -> DataFrame:
+    """`docs` with a row_key, written to the shared folder if it has none yet."""
+    return docs if ROW_KEY in docs.columns else Scratch(docs.sparkSession).keep(docs.withColumn(ROW_KEY, F.monotonically_increasing_id()), "keyed")
+
+
+def plan(docs: DataFrame, target_entropy: float | None = None, most_epochs: float = MOST_EPOCHS, budget: float | None = None, carried: tuple[str, ...] = ()) -> tuple[DataFrame, list[dict]]:
     """(doc_id, source, n_tokens of every row, written to the shared folder; the sources' figures).
 
     The figures are a row for each source with a token: tokens, share, weight, budget, epochs, alpha.
     """
     scratch = Scratch(docs.sparkSession)
-    sized = scratch.keep(docs.select(F.col("doc_id").cast("long"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("source"), token_count(F.col("text").cast("string")).alias("n_tokens")), "sized")
+    sized = scratch.keep(docs.select(F.col("doc_id").cast("long"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("source"), token_count(F.col("text").cast("string")).alias("n_tokens"), *carried), "sized")
     found = sized.groupBy("source").agg(F.sum("n_tokens").alias("t")).where("t > 0").orderBy("source").collect()
     tokens = {x["source"]: float(x["t"]) for x in found}
     if not tokens:
@@ -95,24 +102,30 @@ def schedule(docs: DataFrame, target_entropy: float | None = None, most_epochs:
     without tokens are taken once; rows with a null doc_id and repeated rows are rows like others; an empty table gives no row; other columns
     are not read.
     """
+    return _scheduled(docs, target_entropy, most_epochs, budget, seed)
+
+
+def _scheduled(docs: DataFrame, target_entropy: float | None = None, most_epochs: float = MOST_EPOCHS, budget: float | None = None, seed: int = SEED, carried: tuple[str, ...] = ()) -> DataFrame:
+    """`schedule` with further columns of `docs`; the first of them orders the rows without a doc_id."""
     spark = docs.sparkSession
     scratch = Scratch(spark)
-    sized, figures = plan(docs, target_entropy, most_epochs, budget)
+    sized, figures = plan(docs, target_entropy, most_epochs, budget, carried)
+    name = F.coalesce("doc_id", *carried[:1])
     if not figures:
-        return sized.select("doc_id", "source", "n_tokens", F.lit(0).alias("epoch"), F.xxhash64("doc_id", F.lit(seed)).alias("order_key"))
+        return sized.select("doc_id", "source", "n_tokens", F.lit(0).alias("epoch"), F.xxhash64(name, F.lit(seed)).alias("order_key"), *carried)
     # One row a source: as many as the sources named in the data, a mixture's own size.
     per = spark.createDataFrame([(x["source"], x["budget"] // x["tokens"], x["budget"] % x["tokens"]) for x in figures], "source string, whole long, rest long")
     count = sized.groupBy("source").agg(F.greatest(F.lit(1), F.ceil(F.count("*") / BLOCK_DOCUMENTS)).cast("long").alias("n_blocks"))
     rows = sized.join(F.broadcast(per.join(count, "source", "right")), "source").withColumns({"whole": F.coalesce("whole", F.lit(1)), "rest": F.coalesce("rest", F.lit(0))})
 
     def key(epoch):
-        return F.xxhash64("doc_id", F.lit(seed), epoch)
+        return F.xxhash64(name, F.lit(seed), epoch)
 
-    whole = rows.select("doc_id", "source", "n_tokens", F.explode(F.sequence(F.lit(0), F.greatest(F.col("whole"), F.lit(1)).cast("int") - 1)).alias("epoch"), "whole").where("epoch < whole")
-    whole = whole.select("doc_id", "source", "n_tokens", "epoch", key(F.col("epoch")).alias("order_key"))
+    whole = rows.select("doc_id", "source", "n_tokens", *carried, F.explode(F.sequence(F.lit(0), F.greatest(F.col("whole"), F.lit(1)).cast("int") - 1)).alias("epoch"), "whole").where("epoch < whole")
+    whole = whole.select("doc_id", "source", "n_tokens", "epoch", key(F.col("epoch")).alias("order_key"), *carried)
 
-    part = rows.where("rest > 0").select("doc_id", "source", "n_tokens", "rest", F.col("whole").cast("int").alias("epoch"), "n_blocks")
-    part = part.withColumn("order_key", key(F.col("epoch"))).withColumn("block", F.pmod(F.xxhash64("doc_id", F.lit(seed + 7919), "epoch"), "n_blocks")).withColumn("block_key", F.xxhash64("block", F.lit(seed), "epoch"))
+    part = rows.where("rest > 0").select("doc_id", "source", "n_tokens", *carried, "rest", F.col("whole").cast("int").alias("epoch"), "n_blocks")
+    part = part.withColumn("order_key", key(F.col("epoch"))).withColumn("block", F.pmod(F.xxhash64(name, F.lit(seed + 7919), "epoch"), "n_blocks")).withColumn("block_key", F.xxhash64("block", F.lit(seed), "epoch"))
     sums = part.groupBy("source", "block", "block_key", "rest").agg(F.sum("n_tokens").alias("t"))
     # Running sums over blocks: first over runs of blocks with the same leading bits, then inside the runs.
     sums = sums.withColumn("run", F.shiftright("block_key", 52))
@@ -122,16 +135,15 @@ def schedule(docs: DataFrame, target_entropy: float | None = None, most_epochs:
     taken = scratch.keep(sums.where("before < rest").select("source", "block", "before", (F.col("before") + F.col("t") <= F.col("rest")).alias("all")), "blocks")
     held = part.join(taken, ["source", "block"])
     ends = held.where("not all")
-    ends = ends.withColumn("upto", F.col("before") + F.sum("n_tokens").over(Window.partitionBy("source", "block").orderBy("order_key", "doc_id", "n_tokens").rowsBetween(Window.unboundedPreceding, 0))).where("upto <= rest")
-    columns = ["doc_id", "source", "n_tokens", "epoch", "order_key"]
+    ends = ends.withColumn("upto", F.col("before") + F.sum("n_tokens").over(Window.partitionBy("source", "block").orderBy("order_key", "doc_id", "n_tokens", *carried).rowsBetween(Window.unboundedPreceding, 0))).where("upto <= rest")
+    columns = ["doc_id", "source", "n_tokens", "epoch", "order_key", *carried]
     return whole.unionByName(held.where("all").select(columns)).unionByName(ends.select(columns))
 
 
 def mixed(docs: DataFrame, **options) -> DataFrame:
-    """`docs` with every row as often as the schedule takes its document."""
-    times = schedule(docs, **options).where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("_times"))
-    rows = docs.select("doc_id").groupBy("doc_id").agg(F.count("*").alias("_rows"))
-    each = times.join(rows, "doc_id").select("doc_id", F.ceil(F.col("_times") / F.col("_rows")).cast("int").alias("_times"))
+    """`docs` with every row as often as the schedule takes it, whether its doc_id is null, repeated or neither."""
+    rows = keyed(docs)
+    each = _scheduled(rows, **options, carried=(ROW_KEY,)).groupBy(ROW_KEY).agg(F.count("*").cast("int").alias("_times"))
     each = Scratch(docs.sparkSession).keep(each, "times")
-    repeated = docs.join(narrow(each), "doc_id").withColumn("_k", F.explode(F.sequence(F.lit(1), F.col("_times"))))
+    repeated = rows.join(narrow(each), ROW_KEY).withColumn("_k", F.explode(F.sequence(F.lit(1), F.col("_times"))))
     return repeated.select(docs.columns)

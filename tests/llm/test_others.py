@@ -163,3 +163,17 @@ def test_pipeline_runs_on_a_small_table(spark, tmp_path, frame, words):
     spark.createDataFrame([(k, 0) for k in range(10)], "doc_id long, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
     got = {r["doc_id"] for r in corpus_pipeline.run(spark, str(tmp_path)).collect()}
     assert got == {d for d, _ in rows} - {100, 200}
+
+
+def test_pipeline_keeps_null_and_repeated_ids(spark, tmp_path, frame, words):
+    import corpus_pipeline
+
+    item = words(40, 1)
+    rows = [(k, words(60, 100 + k)) for k in range(20)] + [(None, words(60, 500)), (None, words(60, 501)), (None, words(60, 100)), (None, None)]
+    rows += [(50, words(60, 600)), (50, words(60, 600)), (60, words(60, 601)), (60, words(60, 101)), (70, words(60, 602)), (70, words(30, 7) + " " + item)]
+    frame(rows).coalesce(1).write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(1, item)], BENCH).write.parquet(str(tmp_path / "benchmark.parquet"))
+    spark.createDataFrame([(k, 0) for k in range(10)], "doc_id long, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    want = [*range(20), 50, 60, 70, -1, -1, -1]  # token files write a null doc_id as -1
+    got = [r["doc_id"] for r in corpus_pipeline.run(spark, str(tmp_path)).collect()]
+    assert sorted(got) == sorted(want)
