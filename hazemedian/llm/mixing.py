@@ -1,24 +1,28 @@
 """Mixing sources to target weights by temperature, realised as budgeted block permutations.
 
-Weights are the sources' token shares to the power alpha, normalised.  alpha in [0, 1] is bisected to the largest value
+Weights are the sources' token shares (ids of the vocabulary that the token files use) to the power alpha, normalised.  alpha in [0, 1] is bisected to the largest value
 whose weights reach a target entropy, then raised if a source would otherwise be repeated more than MOST_EPOCHS times.
 Smaller alpha is flatter: entropy falls and the most repeated source's epochs fall as alpha grows, so both bounds are one-sided.
 
 The budget (tokens of the whole mixture) is by default the smallest that takes every document at least once.
 A source with budget b and t tokens is taken floor(b / t) times whole, and one more time in part: its
 documents are dealt by a seeded hash to blocks, blocks and documents inside them stand in hashed order, another order each epoch, and the
-part is the longest run of documents whose tokens stay within the rest of the budget.  Sums of blocks decide
-which blocks are whole; only the block at the end is summed document by document, so no task sees a source.
+part is the longest run of blocks whose tokens stay within the rest of the budget, and of the block after it the
+documents, in order, that still fit, with one exchange of two that fills it best.  Sums of blocks decide which blocks are whole; only the block at the end is
+summed document by document, so no task sees a source.
 """
 
 from __future__ import annotations
 
 import math
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import Scratch, narrow
+from .tokens import count_tokens
 
 ENTROPY_SHARE = 0.97
 MOST_EPOCHS = 2.0
@@ -67,11 +71,6 @@ def bisect_alpha(tokens: dict, target_entropy: float | None = None, most_epochs:
     return alpha
 
 
-def token_count(text):
-    """Words between white space, the measure of shares and budgets here."""
-    return F.coalesce(F.regexp_count(text, F.lit(r"\S+")), F.lit(0)).cast("long")
-
-
 def keyed(docs: DataFrame) -> DataFrame:
     """`docs` with a row_key, written to the shared folder if it has none yet."""
     return docs if ROW_KEY in docs.columns else Scratch(docs.sparkSession).keep(docs.withColumn(ROW_KEY, F.monotonically_increasing_id()), "keyed")
@@ -83,7 +82,8 @@ def plan(docs: DataFrame, target_entropy: float | None = None, most_epochs: floa
     The figures are a row for each source with a token: tokens, share, weight, budget, epochs, alpha.
     """
     scratch = Scratch(docs.sparkSession)
-    sized = scratch.keep(docs.select(F.col("doc_id").cast("long"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("source"), token_count(F.col("text").cast("string")).alias("n_tokens"), *carried), "sized")
+    rows = docs.select("doc_id", "text", F.coalesce(F.col("source").cast("string"), F.lit("")).alias("source"), *carried)
+    sized = scratch.keep(count_tokens(rows, carried=("source", *carried)).select("doc_id", "source", "n_tokens", *carried), "sized")
     found = sized.groupBy("source").agg(F.sum("n_tokens").alias("t")).where("t > 0").orderBy("source").collect()
     tokens = {x["source"]: float(x["t"]) for x in found}
     if not tokens:
@@ -135,8 +135,28 @@ def _scheduled(docs: DataFrame, target_entropy: float | None = None, most_epochs
     taken = scratch.keep(sums.where("before < rest").select("source", "block", "before", (F.col("before") + F.col("t") <= F.col("rest")).alias("all")), "blocks")
     held = part.join(taken, ["source", "block"])
     ends = held.where("not all")
-    ends = ends.withColumn("upto", F.col("before") + F.sum("n_tokens").over(Window.partitionBy("source", "block").orderBy("order_key", "doc_id", "n_tokens", *carried).rowsBetween(Window.unboundedPreceding, 0))).where("upto <= rest")
     columns = ["doc_id", "source", "n_tokens", "epoch", "order_key", *carried]
+    ends = ends.select(*columns, "block", (F.col("rest") - F.col("before")).alias("left"))
+
+    def filled(table: pa.Table) -> pa.Table:
+        """The documents of an end block, in order, that fit into what is left, and at last the one exchange of two that fills it best."""
+        order = ["order_key", "doc_id", "n_tokens", *carried]
+        table, taken = table.sort_by([(c, "ascending") for c in order]), []
+        left = table.column("left")[0].as_py()
+        for n in table.column("n_tokens").to_pylist():
+            taken.append(n <= left)
+            left -= n if taken[-1] else 0
+        sizes, chosen = table.column("n_tokens").to_numpy(), np.array(taken)
+        out, into = np.flatnonzero(chosen), np.flatnonzero(~chosen)
+        if left and len(out) and len(into):
+            into = into[np.argsort(sizes[into], kind="stable")]
+            at = np.searchsorted(sizes[into], sizes[out] + left, side="right") - 1
+            more = np.where(at >= 0, sizes[into[at]] - sizes[out], 0)
+            if more.max() > 0:
+                taken[out[more.argmax()]], taken[into[at[more.argmax()]]] = False, True
+        return table.filter(pa.array(taken, pa.bool_())).select(columns)
+
+    ends = ends.groupBy("source", "block").applyInArrow(filled, ends.select(columns).schema)
     return whole.unionByName(held.where("all").select(columns)).unionByName(ends.select(columns))
 
 

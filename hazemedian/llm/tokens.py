@@ -16,6 +16,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import slices
 
@@ -160,8 +161,8 @@ def encoder(path: str, kind: str) -> PieceEncoder:
     return _encoders[path, kind]
 
 
-def count_tokens(docs: DataFrame, vocabulary: str = VOCABULARY, limit: int = TOKEN_LIMIT) -> DataFrame:
-    """doc_id, n_bytes, n_tokens, over_limit of every row of `docs`.
+def count_tokens(docs: DataFrame, vocabulary: str = VOCABULARY, limit: int = TOKEN_LIMIT, carried: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, n_bytes, n_tokens, over_limit and the `carried` columns of every row of `docs`.
 
     A null text counts as empty (0 bytes, 0 tokens); a null doc_id stays null; repeated rows each give a row;
     an empty table gives no row; other columns are not read, whatever their names.
@@ -174,7 +175,8 @@ def count_tokens(docs: DataFrame, vocabulary: str = VOCABULARY, limit: int = TOK
             for part in slices(batch):
                 texts = [x or "" for x in part.column("text").to_pylist()]
                 n = list(encode(texts))
-                yield pa.record_batch({"doc_id": part.column("doc_id"), "n_bytes": pa.array([len(x.encode()) for x in texts], pa.int64()), "n_tokens": pa.array(n, pa.int64())})
+                yield pa.record_batch({"doc_id": part.column("doc_id"), "n_bytes": pa.array([len(x.encode()) for x in texts], pa.int64()), "n_tokens": pa.array(n, pa.int64())} | {c: part.column(c) for c in carried})
 
-    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    return rows.mapInArrow(counted, "doc_id long, n_bytes long, n_tokens long").withColumn("over_limit", F.col("n_tokens") > limit)
+    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), *carried)
+    schema = T.StructType([T.StructField(c, T.LongType()) for c in ("doc_id", "n_bytes", "n_tokens")] + [rows.schema[c] for c in carried])
+    return rows.mapInArrow(counted, schema).withColumn("over_limit", F.col("n_tokens") > limit)

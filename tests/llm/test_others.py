@@ -177,3 +177,16 @@ def test_pipeline_keeps_null_and_repeated_ids(spark, tmp_path, frame, words):
     want = [*range(20), 50, 60, 70, -1, -1, -1]  # token files write a null doc_id as -1
     got = [r["doc_id"] for r in corpus_pipeline.run(spark, str(tmp_path)).collect()]
     assert sorted(got) == sorted(want)
+
+
+def test_shares_are_of_tokens_not_of_words(frame, words):
+    from hazemedian.llm.tokens import count_tokens
+
+    solid = [(k, words(300, k).replace(" ", "")) for k in range(8)]
+    docs = frame(solid, source="solid").union(frame([(100 + k, words(40, k)) for k in range(8)], source="spaced"))
+    n = {r["doc_id"]: r["n_tokens"] for r in count_tokens(docs).collect()}
+    sized, figures = plan(docs)
+    assert {r["doc_id"]: r["n_tokens"] for r in sized.collect()} == n
+    tokens = {f["source"]: f["tokens"] for f in figures}
+    assert tokens == {"solid": sum(n[k] for k in range(8)), "spaced": sum(n[100 + k] for k in range(8))}
+    assert tokens["solid"] > 4 * tokens["spaced"]
