@@ -1,14 +1,20 @@
 """Token counts and token ids of whole texts, by the tokenizers library.
 
-A byte-level tokenizer never joins two pieces over a single space or newline between two visible characters:
-the space opens the next piece, the newline is one by itself.  Nor does it join letters and a following mark.
-Texts are cut there, every different piece is encoded by the library, in batches balanced by bytes, and
-remembered by the worker; a text's ids are its pieces' ids in order.  This is exact (tests compare with
-whole-text encoding) and bounds what one call to the library sees, however long a text is.
+A byte-level tokenizer's pattern never matches across a change from a visible character to white space, nor from a letter
+or digit to a mark, and looks no further back.  Texts are cut there into pieces, a run of white space with the run of
+letters after it, or marks, so that a piece's ids are the same in any text.  Pieces are found and hashed (64 bits) with array operations over a whole slice of
+texts; a table of SLOTS places remembers the value of the last piece of each place, and only pieces that it doesn't hold go
+to the library, each once a slice, in batches balanced by bytes.  A worker thus holds a table of fixed size and one
+slice of at most WINDOW_BYTES (or one longer piece).  A longer piece than LONG_BYTES is a single run without such a place; its merges may span it all, so that no
+method that gives the library's ids can cut it, and the library gets it whole.
+
+Vocabularies of another kind (other patterns, normalisers, strings that take white space with them, sentencepiece
+models) get whole texts.
 """
 
 from __future__ import annotations
 
+import json
 import re
 from collections.abc import Iterator
 
@@ -18,18 +24,25 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import slices
+from .common import slices, span_hashes, text_buffer
 
 VOCABULARY = "byte_bpe_50k.json"
 TOKEN_LIMIT = 512
-#: Pieces in each of the two generations that a worker remembers.
-MOST_PIECES = 500_000
+#: Places of a worker's table (14 bytes each at most), ids that its store holds, bytes of the longest piece remembered.
+SLOT_BITS = 21
+STORE_IDS = 8 << 20
+REMEMBERED_BYTES = 64
+LONG_BYTES = 4096
 BATCH_BYTES = 1 << 16
+WINDOW_BYTES = 1 << 20
 
-#: White space other than blank and newline, as Python takes it, which includes all that the library takes for it.
-_OTHER_SPACE = re.compile("[\t\x0b\x0c\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
-_SAFE_BLANK = re.compile(r"(?<=\S) (?=\S)")
-_MARKS = ".,;:!?"
+_BLANK = np.zeros(256, bool)
+_BLANK[[9, 10, 11, 12, 13, 32]] = True
+_VISIBLE = np.zeros(256, bool)
+_VISIBLE[33:127] = True
+_LETTER = np.zeros(256, bool)
+_LETTER[48:58] = _LETTER[65:91] = _LETTER[97:123] = True
+_MARK = _VISIBLE & ~_LETTER
 
 
 def vocabulary_path(name: str = VOCABULARY) -> str:
@@ -38,144 +51,194 @@ def vocabulary_path(name: str = VOCABULARY) -> str:
     return public_tokenizers.path(name)
 
 
-class PieceEncoder:
-    """Encodes texts by remembered pieces.
+_SOLID = _VISIBLE | (np.arange(256) >= 128)
 
-    The piece "word" stands for " word" in a text and "\nword" for itself; values are token counts, or ids as
-    little-endian bytes, of 16 bits each if the vocabulary allows, else 32.
-    """
 
-    def __init__(self, path: str, kind: str):
-        from tokenizers import Tokenizer
+def piece_starts(data: np.ndarray, offsets: np.ndarray, marks: bool = True) -> np.ndarray:
+    """Where pieces start in concatenated texts: at each text, at ASCII white space after a visible character, and with
+    `marks` at an ASCII mark after an ASCII letter or digit or a letter of the Latin-1 supplement.
 
-        self.library = Tokenizer.from_file(path)
-        self.library.no_truncation()
-        self.library.no_padding()
-        size = self.library.get_vocab_size()
-        self.kind = f"<u{2 if size <= 1 << 16 else 4}"
-        self.value = len if kind == "counts" else (lambda ids: np.asarray(ids, self.kind).tobytes())
-        self.unit = 1 if kind == "counts" else int(self.kind[-1])
-        self.opens = np.zeros(size, bool)
-        newline = self.library.encode("\n", add_special_tokens=False).ids
-        self.opens[[k for word, k in self.library.get_vocab().items() if word.startswith("\u0120")] + newline] = True
-        #: Pieces are cut out of joined texts only for a vocabulary that opens pieces as said above.
-        self.joins = len(newline) == 1 and self.library.encode("a b", add_special_tokens=False).tokens[-1:] == ["\u0120b"]
-        self.marks = {x: self.encoded([x])[0] for x in _MARKS}
-        self.now: dict = {}
-        self.old: dict = {}
-
-    def encoded(self, texts: list[str]) -> list:
-        return [self.value(e.ids) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
-
-    def cut(self, text: str) -> tuple[list[str], list[str]]:
-        """(pieces, stretches to be encoded by themselves) of a text."""
-        if not _OTHER_SPACE.search(text) and not ("  " in text or "\n\n" in text or " \n" in text or "\n " in text or text[0] in " \n" or text[-1] in " \n"):
-            return ("\n" + text).replace("\n", " \n")[1:].split(" "), []
-        pieces, odd = [], []
-        for k, piece in enumerate(_SAFE_BLANK.split(text)):
-            if k and piece.isalnum():
-                pieces.append(piece)
-            else:
-                odd.append(" " + piece if k else piece)
-        return pieces, odd
-
-    def learn(self, new: set[str]) -> None:
-        now, old, unknown, marked = self.now, self.old, [], []
-        for piece in new:
-            if piece in old:
-                now[piece] = old[piece]
-            elif piece[-1] in _MARKS and piece[1 if piece[0] == "\n" else 0 : -1].isalpha():
-                marked.append(piece)
-                base = piece[:-1]
-                if base not in now and base not in new:
-                    if base in old:
-                        now[base] = old[base]
-                    else:
-                        unknown.append(base)
-                        now[base] = None
-            else:
-                unknown.append(piece)
-        for k in range(0, len(unknown), 4096):
-            self.learn_joined(unknown[k : k + 4096])
-        for piece in marked:
-            now[piece] = now[piece[:-1]] + self.marks[piece[-1]]
-
-    def learn_joined(self, pieces: list[str]) -> None:
-        """Encodes pieces joined to texts of about BATCH_BYTES and cuts the ids where a piece opens."""
-        texts, start, size = [], 0, 0
-        spoken = [x if x[0] == "\n" else " " + x for x in pieces]
-        if not self.joins:
-            self.now.update(zip(pieces, self.encoded(spoken), strict=True))
+    After a byte of a longer character a cut at white space is left out if that could be a space of its own.
+    """
+    flags = np.zeros(len(data), bool)
+    if len(data):
+        flags[1:] = _BLANK[data[1:]] & _SOLID[data[:-1]]
+        wide = np.flatnonzero(flags[1:] & (data[:-1] >= 128)) + 1
+        if len(wide):
+            last, middle, first = data[wide - 1], data[wide - 2], data[np.maximum(wide - 3, 0)]
+            space = (middle == 0xC2) & np.isin(last, (0x85, 0xA0))
+            space |= (first == 0xE1) & np.isin(middle, (0x9A, 0xA0)) | (first == 0xE3) & (middle == 0x80) & (last == 0x80)
+            space |= (first == 0xE2) & (middle == 0x80) & ((last < 0x90) | (last >= 0xA8) & (last < 0xB0)) | (first == 0xE2) & (middle == 0x81)
+            flags[wide[space]] = False
+        if marks:
+            at = np.flatnonzero(_MARK[data[1:]]) + 1
+            last = data[at - 1]
+            latin = (data[np.maximum(at - 2, 0)] == 0xC3) & (last >= 0x80) & (last != 0x97) & (last != 0xB7)
+            flags[at[_LETTER[last] | latin]] = True
+        flags[offsets[:-1][np.diff(offsets) > 0]] = True
+    return np.flatnonzero(flags)
+
+
+_ONE_BLANK = re.compile(rb" [^\s]{1,%d}" % LONG_BYTES).fullmatch
+
+
+class Library:
+    """The installed library behind a vocabulary file, and what its pattern allows."""
+
+    def __init__(self, path: str):
+        self.cuts, self.added = False, []
+        if path.endswith(".model"):
+            import sentencepiece
+
+            model = sentencepiece.SentencePieceProcessor(model_file=path)
+            self.size = model.vocab_size()
+            self.encode = lambda texts: model.encode(texts, num_threads=1)
             return
-        for k, x in enumerate(spoken):
-            size += len(x)
-            if size >= BATCH_BYTES or k == len(spoken) - 1:
-                texts.append("".join(spoken[start : k + 1]))
+        from tokenizers import Tokenizer
+
+        library = Tokenizer.from_file(path)
+        library.no_truncation()
+        library.no_padding()
+        self.size = library.get_vocab_size()
+        self.encode = lambda texts: [e.ids for e in library.encode_batch_fast(texts, add_special_tokens=False)]
+        told = json.loads(library.to_str())
+        kind, added = told["pre_tokenizer"] or {}, told["added_tokens"]
+        plain = all(not (x["lstrip"] or x["rstrip"] or x["single_word"] or any(map(str.isspace, x["content"]))) for x in added)
+        self.cuts = told["normalizer"] is None and kind.get("type") == "ByteLevel" and kind.get("use_regex", True) and not kind.get("add_prefix_space") and plain
+        self.opens = np.zeros(self.size, bool)
+        self.opens[[k for word, k in library.get_vocab().items() if word.startswith("Ġ")]] = True
+        self.added = [x["content"].encode() for x in added]
+
+
+class PieceEncoder:
+    """Encodes slices of texts; with `ids` it gives ids, else counts alone."""
+
+    def __init__(self, path: str, ids: bool):
+        self.library, self.ids = Library(path), ids
+        self.kind = np.dtype("<u2" if self.library.size <= 1 << 16 else "<u4")
+        self.keys = np.zeros(1 << SLOT_BITS, np.uint64)
+        self.counts = np.zeros(1 << SLOT_BITS, np.uint16)
+        self.forget()
+
+    def forget(self) -> None:
+        self.keys[:] = 0
+        if self.ids:
+            self.at = np.zeros(1 << SLOT_BITS, np.int32)
+            self.store, self.used = np.zeros(STORE_IDS, self.kind), 0
+
+    def encoded(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, number of ids of each piece)."""
+        counts, parts = np.zeros(len(pieces), np.int64), [np.zeros(0, self.kind)] * len(pieces)
+        simple = np.array([self.library.cuts and x[0] == 32 and _ONE_BLANK(x) is not None for x in pieces], bool)
+        start, size, chosen = 0, 0, np.flatnonzero(simple)
+        texts = []
+        for k, at in enumerate(chosen.tolist()):  # one long text of many pieces, cut where a token opens with a blank
+            size += len(pieces[at])
+            if size >= BATCH_BYTES or k == len(chosen) - 1:
+                texts.append(b"".join([pieces[x] for x in chosen[start : k + 1]]).decode())
                 start, size = k + 1, 0
-        ids = np.concatenate([np.asarray(e.ids, self.kind) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)])
-        first = np.flatnonzero(self.opens[ids])
-        if len(first) != len(pieces):
-            raise ValueError("the vocabulary opens pieces otherwise than at blanks and newlines")
-        ends = np.r_[first[1:], len(ids)]
-        if self.unit == 1:
-            values = (ends - first).tolist()
-        else:
-            raw, unit = ids.tobytes(), self.unit
-            values = [raw[unit * a : unit * b] for a, b in zip(first.tolist(), ends.tolist(), strict=True)]
-        self.now.update(zip(pieces, values, strict=True))
-
-    def __call__(self, texts: list[str]) -> Iterator:
-        """The value of each text."""
-        cut = [self.cut(x) if x else ([], []) for x in texts]
-        if len(self.now) > MOST_PIECES:
-            self.old, self.now = self.now, {}
-        new: set = set()
-        for pieces, _ in cut:
-            new.update(pieces)
-        self.learn(new - self.now.keys())
-        get = self.now.__getitem__
-        for text, (pieces, odd) in zip(texts, cut, strict=True):
-            if odd:
-                yield self.stretch(text)
-            elif self.unit == 1:
-                yield sum(map(get, pieces)) - 1 if pieces else 0
-            else:
-                yield b"".join(map(get, pieces))[self.unit :]
-
-    def stretch(self, text: str):
-        """A text with unusual white space: its pieces in order, those with inner space encoded by themselves."""
-        pieces = _SAFE_BLANK.split(text)
-        odd = [k for k, x in enumerate(pieces) if not (k and x.isalnum())]
-        values = dict(zip(odd, self.encoded([" " + pieces[k] if k else pieces[k] for k in odd]), strict=True))
-        parts = [values[k] if k in values else self.now[x] for k, x in enumerate(pieces)]
-        return sum(parts) if self.unit == 1 else b"".join(parts)
+        if texts:
+            own = np.concatenate([np.asarray(x, self.kind) for x in self.library.encode(texts)])
+            first = np.flatnonzero(self.library.opens[own])
+            if len(first) == len(chosen) and first[0] == 0:
+                ends = np.r_[first[1:], len(own)]
+                counts[chosen] = ends - first
+                for at, a, b in zip(chosen.tolist(), first.tolist(), ends.tolist(), strict=True):
+                    parts[at] = own[a:b]
+            else:  # a string that the vocabulary adds stands beside a blank: each piece by itself
+                simple[:] = False
+        rest = np.flatnonzero(~simple).tolist()
+        for k in range(0, len(rest), 1024):
+            block = rest[k : k + 1024]
+            for at, found in zip(block, self.library.encode([pieces[at].decode() for at in block]), strict=True):
+                parts[at], counts[at] = np.asarray(found, self.kind), len(found)
+        return np.concatenate([np.zeros(0, self.kind), *parts]) if self.ids else np.zeros(0, self.kind), counts
+
+    def window(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray | None]:
+        """(number of ids of each piece, all their ids)."""
+        keys = span_hashes(data[starts[0] : ends[-1]], starts - starts[0], ends - starts[0]) | np.uint64(1)
+        slot = (keys >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
+        counts = self.counts[slot].astype(np.int64)
+        at = self.at[slot].astype(np.int64) if self.ids else None
+        missed = np.flatnonzero(self.keys[slot] != keys)
+        fresh = np.zeros(0, self.kind)
+        if len(missed):
+            _, first, which = np.unique(keys[missed], return_index=True, return_inverse=True)
+            chosen = missed[first]
+            raw, base = data[starts[0] : ends[-1]].tobytes(), int(starts[0])
+            fresh, found = self.encoded([raw[a - base : b - base] for a, b in zip(starts[chosen].tolist(), ends[chosen].tolist(), strict=True)])
+            counts[missed] = found[which]
+            begin = np.cumsum(found) - found
+            if self.ids:  # new ids are read behind the store
+                at[missed] = STORE_IDS + begin[which]
+        total = None
+        if self.ids:
+            place = np.repeat(at - (np.cumsum(counts) - counts), counts) + np.arange(int(counts.sum()))
+            new = place >= STORE_IDS
+            total = self.store[np.where(new, 0, place)]
+            total[new] = fresh[place[new] - STORE_IDS]
+        if len(missed):
+            keep = np.flatnonzero((ends[chosen] - starts[chosen] <= REMEMBERED_BYTES) & (found > 0))
+            if self.ids:
+                size = int(found[keep].sum())
+                if self.used + size > STORE_IDS:
+                    self.forget()
+                if size <= STORE_IDS:
+                    own = np.cumsum(found[keep]) - found[keep]
+                    self.store[self.used : self.used + size] = fresh[np.repeat(begin[keep] - own, found[keep]) + np.arange(size)]
+                    self.at[slot[chosen[keep]]] = self.used + own
+                    self.used += size
+                else:
+                    keep = keep[:0]
+            self.keys[slot[chosen[keep]]] = keys[chosen[keep]]
+            self.counts[slot[chosen[keep]]] = found[keep]
+        return counts, total
+
+    def __call__(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray | None]:
+        """(number of ids of each text, all their ids or None)."""
+        data, offsets = text_buffer(column)
+        per, parts = np.zeros(len(offsets) - 1, np.int64), [np.zeros(0, self.kind)]
+        if self.library.cuts:  # inside a string that the vocabulary adds, letters and marks belong together
+            raw = data.tobytes()
+            marks = not any(x in raw for x in self.library.added)
+        starts = piece_starts(data, offsets, marks) if self.library.cuts else offsets[:-1][np.diff(offsets) > 0]
+        ends = np.r_[starts[1:], len(data)] if len(starts) else starts
+        row, first = np.searchsorted(offsets, starts, side="right") - 1, 0
+        while first < len(starts):
+            stop = max(first + 1, int(np.searchsorted(ends, starts[first] + WINDOW_BYTES, side="right")))
+            counts, total = self.window(data, starts[first:stop], ends[first:stop])
+            per += np.bincount(row[first:stop], counts, minlength=len(per)).astype(np.int64)
+            parts.append(total)
+            first = stop
+        return per, np.concatenate(parts) if self.ids else None
 
 
 _encoders: dict = {}
 
 
-def encoder(path: str, kind: str) -> PieceEncoder:
-    """One for each worker process, so that later tasks find its pieces."""
-    if (path, kind) not in _encoders:
-        _encoders[path, kind] = PieceEncoder(path, kind)
-    return _encoders[path, kind]
+def encoder(path: str, ids: bool) -> PieceEncoder:
+    """One for each worker process, so that later tasks find its pieces; another kind takes its place."""
+    if (path, ids) not in _encoders:
+        _encoders.clear()
+        _encoders[path, ids] = PieceEncoder(path, ids)
+    return _encoders[path, ids]
 
 
 def count_tokens(docs: DataFrame, vocabulary: str = VOCABULARY, limit: int = TOKEN_LIMIT, carried: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, n_bytes, n_tokens, over_limit and the `carried` columns of every row of `docs`.
 
     A null text counts as empty (0 bytes, 0 tokens); a null doc_id stays null; repeated rows each give a row;
-    an empty table gives no row; other columns are not read, whatever their names.
+    a very long text is counted in windows of WINDOW_BYTES; an empty table gives no row; other columns are not read,
+    whatever their names.
     """
     path = vocabulary_path(vocabulary)
 
     def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = encoder(path, "counts")
+        encode = encoder(path, False)
         for batch in batches:
             for part in slices(batch):
-                texts = [x or "" for x in part.column("text").to_pylist()]
-                n = list(encode(texts))
-                yield pa.record_batch({"doc_id": part.column("doc_id"), "n_bytes": pa.array([len(x.encode()) for x in texts], pa.int64()), "n_tokens": pa.array(n, pa.int64())} | {c: part.column(c) for c in carried})
+                sizes = np.diff(text_buffer(part.column("text"))[1])
+                yield pa.record_batch({"doc_id": part.column("doc_id"), "n_bytes": pa.array(sizes, pa.int64()), "n_tokens": pa.array(encode(part.column("text"))[0], pa.int64())} | {c: part.column(c) for c in carried})
 
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), *carried)
     schema = T.StructType([T.StructField(c, T.LongType()) for c in ("doc_id", "n_bytes", "n_tokens")] + [rows.schema[c] for c in carried])
