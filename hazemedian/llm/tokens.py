@@ -15,6 +15,7 @@ models) get whole texts.
 from __future__ import annotations
 
 import json
+import os
 import re
 from collections.abc import Iterator
 
@@ -33,8 +34,8 @@ SLOT_BITS = 21
 STORE_IDS = 8 << 20
 REMEMBERED_BYTES = 64
 LONG_BYTES = 4096
-BATCH_BYTES = 1 << 16
-WINDOW_BYTES = 1 << 20
+BATCH_BYTES = 1 << 13
+WINDOW_BYTES = 1 << 18
 
 _BLANK = np.zeros(256, bool)
 _BLANK[[9, 10, 11, 12, 13, 32]] = True
@@ -94,6 +95,7 @@ class Library:
             self.size = model.vocab_size()
             self.encode = lambda texts: model.encode(texts, num_threads=1)
             return
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # tasks are the parallel part; threads of the library would each hold memory
         from tokenizers import Tokenizer
 
         library = Tokenizer.from_file(path)
@@ -138,7 +140,7 @@ class PieceEncoder:
                 texts.append(b"".join([pieces[x] for x in chosen[start : k + 1]]).decode())
                 start, size = k + 1, 0
         if texts:
-            own = np.concatenate([np.asarray(x, self.kind) for x in self.library.encode(texts)])
+            own = np.concatenate([np.asarray(x, self.kind) for k in range(0, len(texts), 8) for x in self.library.encode(texts[k : k + 8])])
             first = np.flatnonzero(self.library.opens[own])
             if len(first) == len(chosen) and first[0] == 0:
                 ends = np.r_[first[1:], len(own)]
@@ -148,8 +150,8 @@ class PieceEncoder:
             else:  # a string that the vocabulary adds stands beside a blank: each piece by itself
                 simple[:] = False
         rest = np.flatnonzero(~simple).tolist()
-        for k in range(0, len(rest), 1024):
-            block = rest[k : k + 1024]
+        for k in range(0, len(rest), 256):
+            block = rest[k : k + 256]
             for at, found in zip(block, self.library.encode([pieces[at].decode() for at in block]), strict=True):
                 parts[at], counts[at] = np.asarray(found, self.kind), len(found)
         return np.concatenate([np.zeros(0, self.kind), *parts]) if self.ids else np.zeros(0, self.kind), counts
