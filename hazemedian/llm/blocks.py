@@ -1,9 +1,8 @@
-"""Fixed-size records moved through one shuffle as packed blocks, and the keys that several nodes share.
+"""Keys that several nodes share, found with packed blocks instead of rows.
 
-A record is (key, node, n, pos).  Map tasks pack records into one binary block for each key group, so a
-shuffle moves bytes instead of rows.  A group's task sorts its records and lets only keys pass that at least two
-different nodes have.  The number of groups follows the data; keys that a bound on their frequency marks as
-hot skip the test (they are shared for certain) and are spread over groups by their node.
+Map tasks pack the elements (key, node) of bounded flushes into one binary block for each key group, so that a shuffle
+moves bytes instead of rows.  A group's task sorts its elements and lets only keys pass that at least two different
+nodes have.  The number of groups follows the data.
 """
 
 from __future__ import annotations
@@ -14,55 +13,89 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-RECORD = np.dtype([("key", "<i8"), ("node", "<i8"), ("n", "<i4"), ("pos", "<i4")])
 GROUP_BYTES = 8 << 20
-FLUSH_BYTES = 8 << 20
-POSTING_SCHEMA = "key long, node long, n int, pos int"
+#: Elements that a map task holds before it packs them.
+FLUSH_ELEMENTS = 1 << 19
+#: Elements of one node beside each other in a block: the node, the size of its set, and how many follow.
+RUN = np.dtype([("node", "<i8"), ("n", "<i4"), ("count", "<i4")])
 
 
-def packed(groups: np.ndarray, records: np.ndarray) -> Iterator[pa.RecordBatch]:
+def sorted_runs(*columns: np.ndarray) -> np.ndarray:
+    """First places of the runs of equal rows of columns that lie in order."""
+    if not len(columns[0]):
+        return np.zeros(0, np.int64)
+    new = np.ones(len(columns[0]), bool)
+    new[1:] = np.logical_or.reduce([x[1:] != x[:-1] for x in columns])
+    return np.flatnonzero(new)
+
+
+def packed(groups: np.ndarray, nodes: np.ndarray, sizes: np.ndarray, *values: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """One block (g, block) for each group: number of runs, RUNs, then each array of values."""
+    if not len(groups):
+        return
     order = np.argsort(groups, kind="stable")
-    groups, records = groups[order], records[order]
-    cut = np.flatnonzero(np.r_[True, groups[1:] != groups[:-1]])
-    ends = np.r_[cut[1:], len(groups)]
+    groups, nodes, sizes = groups[order], nodes[order], sizes[order]
+    values = tuple(x[order] for x in values)
+    first = sorted_runs(groups, nodes)
+    runs = np.empty(len(first), RUN)
+    runs["node"], runs["n"], runs["count"] = nodes[first], sizes[first], np.diff(np.r_[first, len(nodes)])
+    cut = sorted_runs(groups)
+    ends, run_cut = np.r_[cut[1:], len(groups)], np.searchsorted(first, np.r_[cut, len(groups)])
+    blocks = [np.int64(d - c).tobytes() + runs[c:d].tobytes() + b"".join(x[a:b].tobytes() for x in values) for a, b, c, d in zip(cut.tolist(), ends.tolist(), run_cut[:-1].tolist(), run_cut[1:].tolist(), strict=True)]
     for k in range(0, len(cut), 512):
-        yield pa.record_batch({"g": pa.array(groups[cut[k : k + 512]], pa.int64()), "block": pa.array([records[a:b].tobytes() for a, b in zip(cut[k : k + 512], ends[k : k + 512], strict=True)], pa.binary())})
+        yield pa.record_batch({"g": pa.array(groups[cut[k : k + 512]], pa.int64()), "block": pa.array(blocks[k : k + 512], pa.binary())})
 
 
-def pack(parts: Iterator[tuple[np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
-    """Blocks of the (groups, records) of a task, some FLUSH_BYTES at a time."""
+def pack(parts: Iterator[tuple[np.ndarray, ...]]) -> Iterator[pa.RecordBatch]:
+    """Blocks of a task's (groups, nodes, sizes, values ...), some FLUSH_ELEMENTS at a time."""
     held: list = []
     size = 0
-    for groups, records in parts:
-        held.append((groups, records))
-        size += records.nbytes
-        if size >= FLUSH_BYTES:
+    for part in parts:
+        held.append(part)
+        size += len(part[0])
+        if size >= FLUSH_ELEMENTS:
             yield from packed(*(np.concatenate(x) for x in zip(*held, strict=True)))
             held, size = [], 0
     if size:
         yield from packed(*(np.concatenate(x) for x in zip(*held, strict=True)))
 
 
-def group_of(keys: np.ndarray, nodes: np.ndarray, groups: int, hot: np.ndarray | None = None) -> np.ndarray:
-    out = ((keys.view(np.uint64) >> np.uint64(20)) % np.uint64(groups)).astype(np.int64)
-    if hot is not None and hot.any():
-        out[hot] = -1 - (nodes[hot].view(np.uint64) % np.uint64(groups)).astype(np.int64)
-    return out
+def unpacked(blocks: pa.ChunkedArray, *kinds: str) -> list[np.ndarray]:
+    """[nodes, sizes, values ...] of the elements of blocks."""
+    out: list[list] = [[np.zeros(0, np.int64)], [np.zeros(0, np.int32)], *([np.zeros(0, k)] for k in kinds)]
+    for chunk in blocks.chunks:
+        for x in chunk:
+            raw = x.as_buffer()
+            runs = np.frombuffer(raw, RUN, int(np.frombuffer(raw, np.int64, 1)[0]), 8)
+            out[0].append(np.repeat(runs["node"], runs["count"]))
+            out[1].append(np.repeat(runs["n"], runs["count"]))
+            at, count = 8 + runs.nbytes, int(runs["count"].sum())
+            for k, kind in enumerate(kinds):
+                out[2 + k].append(np.frombuffer(raw, kind, count, at))
+                at += out[2 + k][-1].nbytes
+    return [np.concatenate(x) for x in out]
+
+
+def group_of(keys: np.ndarray, groups: int) -> np.ndarray:
+    return ((keys.view(np.uint64) >> np.uint64(20)) % np.uint64(groups)).astype(np.int64)
+
+
+def several(keys: np.ndarray, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(places, in order of key and node, of the elements whose key at least two nodes have, each (key, node) once; nodes of their key)."""
+    order = np.lexsort((nodes, keys))
+    order = order[sorted_runs(keys[order], nodes[order])]
+    first = sorted_runs(keys[order])
+    count = np.diff(np.r_[first, len(order)])
+    count = np.repeat(count, count)
+    return order[count > 1], count[count > 1]
 
 
 def shared_keys(blocks: DataFrame) -> DataFrame:
-    """The postings of keys that at least two nodes have, each (key, node) once; hot groups (below 0) pass."""
+    """(key, node, n) of the keys that at least two nodes have, each (key, node) once."""
 
     def shared(table: pa.Table) -> pa.Table:
-        records = np.frombuffer(b"".join(x.as_py() for x in table.column("block")), RECORD)
-        order = np.lexsort((records["node"], records["key"]))
-        records = records[order]
-        new_key = np.r_[True, records["key"][1:] != records["key"][:-1]]
-        records = records[new_key | np.r_[True, records["node"][1:] != records["node"][:-1]]]
-        if table.column("g")[0].as_py() >= 0:
-            first = np.flatnonzero(np.r_[True, records["key"][1:] != records["key"][:-1]])
-            count = np.diff(np.r_[first, len(records)])
-            records = records[np.repeat(count > 1, count)]
-        return pa.table({name: pa.array(np.ascontiguousarray(records[name])) for name in RECORD.names})
-
-    return blocks.groupBy("g").applyInArrow(shared, POSTING_SCHEMA)
+        nodes, sizes, keys = unpacked(table.column("block"), "<i8")
+        keep, _ = several(keys, nodes)
+        return pa.table({"key": pa.array(keys[keep]), "node": pa.array(nodes[keep]), "n": pa.array(sizes[keep])})
+
+    return blocks.groupBy("g").applyInArrow(shared, "key long, node long, n int")

@@ -3,7 +3,7 @@
 `link_nodes` gets postings (key, node, n, pos): two nodes may be linked only if they share a key.  Rounds of
 star candidates (every node of a key against one pivot of the key, another pivot each round) join most
 members of large groups by few verified pairs; keys whose nodes all have one label need no further pair and
-leave.  A last round verifies every pair that still crosses labels inside a key, so no link between
+leave for good.  When few pairs are left that cross labels inside a key, all of these are verified, so no link between
 components is lost, while pairs inside a component, whose verification could change nothing, are never made.
 """
 
@@ -18,24 +18,15 @@ from pyspark.sql import functions as F
 
 from .common import Scratch
 
-STAR_ROUNDS = 5
+STAR_ROUNDS = 12
 #: Crossing pairs a posting at which star rounds stop paying.
 FEW_PAIRS = 4
+#: Edges that a task contracts before they are shuffled by node.
+EDGES_A_TASK = 1_000_000
 
 
-#: Up to so many edges (16 bytes each) one task finds the components; beyond, all tasks do, with the same result.
-TASK_EDGES = 1_000_000
-
-
-def _in_one_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Smallest labels along edges, with jumps to the label's label, until nothing changes."""
-    parts = [(x.column("v").to_numpy(), x.column("m").to_numpy()) for x in batches if x.num_rows]
-    if not parts:
-        return
-    a, b = (np.concatenate(x) for x in zip(*parts, strict=True))
-    names = np.unique(np.r_[a, b])
-    a, b = np.searchsorted(names, a), np.searchsorted(names, b)
-    label = np.arange(len(names))
+def smallest_labels(a: np.ndarray, b: np.ndarray, label: np.ndarray) -> np.ndarray:
+    """Smallest labels along the edges (a, b), with jumps to the label's label, until nothing changes."""
     while True:
         low, new = np.minimum(label[a], label[b]), label.copy()
         for ends in (a, b):
@@ -43,26 +34,51 @@ def _in_one_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             np.minimum.at(new, label[ends], low)
         new = new[new]
         if (new == label).all():
-            break
+            return label
         label = new
-    yield pa.record_batch({"node": pa.array(names), "label": pa.array(names[label])})
 
 
-def _state(edges: DataFrame) -> tuple:
-    return tuple(edges.agg(F.count("*"), F.bit_xor(F.xxhash64("v", "m"))).first())
+def _contracted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A task's edges as stars: (v, m) of each node v and the smallest node m that it reaches by them."""
+    held: list = []
+
+    def stars() -> pa.RecordBatch:
+        a, b = (np.concatenate(x) for x in zip(*held, strict=True))
+        names, ends = np.unique(np.r_[a, b], return_inverse=True)
+        label = smallest_labels(ends[: len(a)], ends[len(a) :], np.arange(len(names)))
+        keep = np.flatnonzero(label != np.arange(len(names)))
+        return pa.record_batch({"v": pa.array(names[keep]), "m": pa.array(names[label[keep]])})
+
+    size = 0
+    for batch in batches:
+        held.append((batch.column("v").to_numpy(), batch.column("m").to_numpy()))
+        size += batch.num_rows
+        if size >= 2 * EDGES_A_TASK:
+            yield stars()
+            held, size = [], 0
+    if size:
+        yield stars()
+
+
+def _are_stars(edges: DataFrame) -> bool:
+    """Whether each v has one m, and no m has a smaller node itself."""
+    ends = edges.select(F.col("v").alias("x"), "m").union(edges.select("m", F.lit(None).cast("long")))
+    met = ends.groupBy("x").agg(F.min("m").alias("low"), F.max("m").alias("high"), F.max(F.col("m").isNull()).alias("centre"))
+    return met.where((F.col("low") != F.col("high")) | (F.col("low").isNotNull() & F.col("centre"))).isEmpty()
 
 
 def connected(scratch: Scratch, edges: DataFrame) -> DataFrame:
     """(node, label) of every node of `edges(a, b)`; label is the smallest node of the component.
 
-    Alternates two contractions, each a grouped minimum and a join on nodes: larger neighbours move to a
-    node's smallest neighbour, then smaller neighbours do; stars remain after a logarithmic number of rounds.
+    Tasks contract their own edges first.  Where these don't make stars already, two contractions alternate, each a grouped
+    minimum and a join on nodes: larger neighbours move to a node's smallest neighbour, then smaller neighbours do;
+    stars remain after a logarithmic number of rounds.
     """
-    now = scratch.keep(edges.select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("m")).where("v <> m").distinct(), "edges")
-    state = _state(now)
-    if state[0] <= TASK_EDGES:
-        return scratch.keep(now.repartition(1).mapInArrow(_in_one_task, "node long, label long"), "components")
-    while True:
+    whole = scratch.keep(edges.select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("m")).where("v <> m"), "edges")
+    tasks = -(-whole.count() // EDGES_A_TASK)
+    now = scratch.keep(whole.repartition(max(1, tasks)).mapInArrow(_contracted, "v long, m long"), "edges")
+    scratch.drop(whole)
+    while not _are_stars(now):
         both = now.union(now.select(F.col("m").alias("v"), F.col("v").alias("m")))
         low = both.groupBy("v").agg(F.min("m").alias("low"))
         large = both.where("m > v").join(low, "v").select(F.col("m").alias("v"), F.least("low", "v").alias("m")).distinct()
@@ -70,24 +86,24 @@ def connected(scratch: Scratch, edges: DataFrame) -> DataFrame:
         small = large.join(low, "v").where("m <> low").select(F.col("m").alias("v"), F.col("low").alias("m")).union(low).distinct()
         new = scratch.keep(small, "edges")
         scratch.drop(now)
-        now, before, state = new, state, _state(new)
-        if state == before:
-            break
-    return now.select(F.col("v").alias("node"), F.col("m").alias("label")).union(now.select("m", "m").distinct())
+        now = new
+    return now.select(F.col("v").alias("node"), F.col("m").alias("label")).distinct().union(now.select("m", "m").distinct())
 
 
 def link_nodes(scratch: Scratch, postings: DataFrame, possible: Callable[[Column, Column, Column, Column], Column], verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """(node, label) of every node of `postings(key, node, n, pos)`.
+    """(node, label) of the nodes of `postings(key, node, n, pos)` that are linked with another; label is the smallest node.
 
     possible(n, pos, other n, other pos) is a condition that every linked pair meets at each shared key;
-    verify(pairs(a, b)) returns those that are linked.
+    verify(pairs(a, b)) returns those that are linked, written to the shared folder.
     """
-    labels = scratch.keep(postings.select("node", F.col("node").alias("label")).distinct(), "labels")
-    tested = None
+    open_, tested, linked, labels = postings, None, None, None
     for turn in range(STAR_ROUNDS + 1):
-        named = postings.join(labels, "node")
+        named = open_.withColumn("label", F.col("node")) if labels is None else open_.select("key", "node", "n", "pos").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
         keys = named.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("h"), "node", "n", "pos", "label")).alias("pivot")).where("lo <> hi").drop("lo", "hi")
-        open_ = scratch.keep(named.join(keys, "key"), "open")
+        still = scratch.keep(named.join(keys, "key"), "open")
+        if turn:
+            scratch.drop(open_)
+        open_ = still
         rows = open_.count()
         if not rows:
             break
@@ -97,7 +113,7 @@ def link_nodes(scratch: Scratch, postings: DataFrame, possible: Callable[[Column
         if last:
             a, b = (open_.select("key", *(F.col(c).alias(c + x) for c in ("label", "node", "n", "pos"))) for x in "ab")
             la, lb = (by_label.select("key", F.col("label").alias("label" + x)) for x in "ab")
-            across = la.join(lb, "key").where("labela < labelb")
+            across = la.join(lb, (la["key"] == lb["key"]) & (F.col("labela") < F.col("labelb"))).select(la["key"], "labela", "labelb")
             met = across.join(a, ["key", "labela"]).join(b, ["key", "labelb"]).where(possible(F.col("na"), F.col("posa"), F.col("nb"), F.col("posb")))
             pairs = met.select(F.least("nodea", "nodeb").alias("a"), F.greatest("nodea", "nodeb").alias("b"))
         else:
@@ -108,14 +124,12 @@ def link_nodes(scratch: Scratch, postings: DataFrame, possible: Callable[[Column
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = scratch.keep(pairs, "pairs")
         tested = pairs if tested is None else tested.union(pairs)
+        found = verify(pairs)
+        linked = found if linked is None else linked.union(found)
         del named, keys, by_label
-        linked = verify(pairs)
-        ends = linked.join(labels.select(F.col("node").alias("a"), F.col("label").alias("la")), "a").join(labels.select(F.col("node").alias("b"), F.col("label").alias("lb")), "b")
-        joined = connected(scratch, ends.select(F.col("la").alias("a"), F.col("lb").alias("b")))
-        moved = labels.join(joined.select(F.col("node").alias("label"), F.col("label").alias("new")), "label", "left").select("node", F.coalesce("new", "label").alias("label"))
-        new = scratch.keep(moved, "labels")
-        scratch.drop(labels, open_)
-        labels = new
         if last:
             break
-    return labels
+        labels = scratch.keep(connected(scratch, linked), "labels")
+    if linked is None:
+        return postings.select("node", F.col("node").alias("label")).limit(0)
+    return scratch.keep(connected(scratch, linked), "labels")

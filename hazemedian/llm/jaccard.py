@@ -1,14 +1,19 @@
 """N-gram Jaccard self-join by rare-first prefix filtering.
 
-1. A pass over the texts hashes every 5-word shingle (64 bits), keeps each document's set size and digest, and
-   counts shingles in a fixed table of 2^20 counters, an upper bound of every shingle's document frequency.
-2. A second pass orders each set by (counter, hash), rarest first, and posts only the prefix: of two sets with
-   Jaccard >= 3/4 the first n - ceil(3n/4) + 1 elements must meet.  Equal sets count as one node, by digest.
-3. Keys that only one node has leave; the rest are joined with length filter (sizes within 3/4) and positional
-   filter (elements left on both sides must suffice, first at the shared key, then from all that the prefixes share);
-   `link_nodes` says which pairs are met.
-4. Every pair is verified once: a suffix filter bounds the overlap from the sizes of eight ranges of the sorted
-   hashes, then the intersection is counted in full.
+1. A pass over the texts hashes every 5-word shingle (64 bits) and keeps each document's set size and digest.  Equal
+   sets count as one node, by digest.  It also counts shingles in a fixed table of 2^20 counters, an upper bound of
+   every shingle's document frequency, which only tells hot shingles, those that would make one group's task too large.
+2. A second pass sends each set's shingles, packed, to the task of their key group, which counts how many nodes have
+   each exactly; hot ones are spread by node and count as most frequent.  Shingles of one node leave, the others go on
+   to the task of their node with the class of their frequency.
+3. A node's task knows how many shingles it shares with any other.  Nodes that share fewer than 3/4 of their set link
+   with none and leave.  The others order their sets by (class, hash), rarest first, and post the prefix: of two sets
+   with Jaccard >= 3/4 the first n - ceil(3n/4) + 1 elements must meet.  Shingles that no other node has come first and
+   need no posting, so a document of which more than a quarter is its own posts nothing.
+4. Postings are joined with length filter (sizes within 3/4) and positional filter (elements left on both sides
+   must suffice); `link_nodes` says which pairs are met.
+5. Every pair is verified once, on the shared shingles of both: a suffix filter bounds the overlap from the sizes of
+   eight ranges of the sorted hashes, then the intersection is counted in full.
 
 These pairs decide the components.  The join itself (`ngram_links`, and the numbers of links of `linked_components`)
 then counts the intersections of all different sets of a component, for links run inside components only: a
@@ -24,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blocks import GROUP_BYTES, RECORD, group_of, pack, shared_keys
+from .blocks import GROUP_BYTES, group_of, pack, packed, several, sorted_runs, unpacked
 from .common import LOWER, SPACE, Scratch, mix, narrow, row_sets, shingle_hashes, slices, span_hashes, text_buffer, word_spans
 from .components import link_nodes
 
@@ -32,6 +37,8 @@ WORDS = 5
 #: Similarity as a fraction of integers: SHARE / WHOLE.
 SHARE, WHOLE = 75, 100
 COUNTERS = 1 << 20
+#: Class of hot shingles; others have eight times the logarithm (base 2) of the number of their nodes, below this.
+HOT = 255
 _CHUNK = 1 << 16
 #: Bytes of sets in a block of the join inside components.
 BLOCK_BYTES = 2 << 20
@@ -97,24 +104,56 @@ def frequency_table(rows: DataFrame) -> np.ndarray:
     return counts
 
 
-def prefix_records(column: pa.Array, counts: np.ndarray) -> np.ndarray:
-    """The prefix postings of every different set of the column."""
+def set_elements(column: pa.Array, counts: np.ndarray, hot: int, groups: int) -> tuple[np.ndarray, ...]:
+    """(group, node, set size, shingle) of every different set of a column; hot shingles go to groups below 0, by node."""
     hashes, rows = text_sets(column)
     own, size, digest = set_digests(hashes, rows)
-    if not len(own):
-        return np.zeros(0, RECORD)
-    order = np.lexsort((hashes, counts[hashes & np.uint64(COUNTERS - 1)], rows))
-    hashes = hashes[order]
-    first = np.r_[0, np.cumsum(size)[:-1]]
-    place = np.arange(len(hashes)) - np.repeat(first, size)
-    prefix = size - (SHARE * size + WHOLE - 1) // WHOLE + 1
     once = np.zeros(len(own), bool)
     once[np.unique(digest, return_index=True)[1]] = True
-    inside = place < np.repeat(np.where(once, prefix, 0), size)
-    records = np.empty(int(inside.sum()), RECORD)
-    records["key"], records["pos"] = hashes[inside].view(np.int64), place[inside]
-    records["node"], records["n"] = np.repeat(digest, size)[inside], np.repeat(size, size)[inside]
-    return records
+    keep = np.repeat(once, size)
+    hashes, nodes, sizes = hashes[keep].view(np.int64), np.repeat(digest[once], size[once]), np.repeat(size[once], size[once])
+    group = group_of(hashes, groups)
+    often = counts[hashes & (COUNTERS - 1)] > hot
+    group[often] = -1 - group_of(nodes[often], groups)
+    return group, nodes, sizes.astype(np.int32), hashes
+
+
+def shared_elements(groups: int):
+    """The task of a key group: its shingles that several nodes have, packed for the tasks of their nodes."""
+
+    def shared(table: pa.Table) -> pa.Table:
+        nodes, sizes, hashes = unpacked(table.column("block"), "<i8")
+        if table.column("g")[0].as_py() >= 0:
+            keep, count = several(hashes, nodes)
+            nodes, sizes, hashes = nodes[keep], sizes[keep], hashes[keep]
+            classes = np.minimum(8 * np.log2(count), HOT - 1).astype(np.uint8)
+            order = np.argsort(nodes, kind="stable")
+            nodes, sizes, hashes, classes = nodes[order], sizes[order], hashes[order], classes[order]
+        else:
+            classes = np.full(len(hashes), HOT, np.uint8)
+        found = list(packed(group_of(nodes, groups), nodes, sizes, hashes, classes))
+        return pa.Table.from_batches(found) if found else table.slice(0, 0)
+
+    return shared
+
+
+def prefixes(table: pa.Table) -> pa.Table:
+    """The task of a group of nodes: (node, n, items, first, keys) of the nodes that share enough to link.
+
+    items: all shared shingles, ascending; keys: those in the prefix, rarest first, whose first stands at place `first`.
+    """
+    nodes, sizes, hashes, classes = unpacked(table.column("block"), "<i8", "u1")
+    order = np.lexsort((hashes.view(np.uint64), classes, nodes))
+    order = order[sorted_runs(nodes[order], hashes[order])]
+    nodes, sizes, hashes = nodes[order], sizes[order].astype(np.int64), hashes[order]
+    cut = sorted_runs(nodes)
+    n, count = sizes[cut], np.diff(np.r_[cut, len(nodes)])
+    least = (SHARE * n + WHOLE - 1) // WHOLE
+    first, prefix = n - count, n - least + 1
+    keep = np.flatnonzero(count >= least)
+    items = [np.sort(hashes[a : a + c].view(np.uint64)).tobytes() for a, c in zip(cut[keep].tolist(), count[keep].tolist(), strict=True)]
+    keys = [hashes[a : a + max(p, 0)] for a, p in zip(cut[keep].tolist(), np.minimum(prefix - first, count)[keep].tolist(), strict=True)]
+    return pa.table({"node": pa.array(nodes[cut[keep]]), "n": pa.array(n[keep]), "items": pa.array(items, pa.binary()), "first": pa.array(first[keep]), "keys": pa.array(keys, pa.list_(pa.int64()))})
 
 
 def possible(n, pos, other_n, other_pos):
@@ -124,56 +163,45 @@ def possible(n, pos, other_n, other_pos):
     return (F.least(n, other_n) * WHOLE >= F.greatest(n, other_n) * SHARE) & (most >= least)
 
 
-def prefix_suffices(n, other_n, common):
-    """Positional filter of a pair whose prefixes have `common` elements in common.
-
-    The side whose prefix ends first has no other partner for its prefix, so beyond these only its suffix counts.
-    """
-    suffix = lambda m: F.ceil(m * SHARE / WHOLE) - 1
-    return common + F.greatest(suffix(n), suffix(other_n)) >= F.ceil((n + other_n) * SHARE / (SHARE + WHOLE))
-
-
-def enough(a: np.ndarray, b: np.ndarray) -> bool:
-    """Whether two ascending sets link; the suffix filter first."""
-    need = -(-SHARE * (len(a) + len(b)) // (SHARE + WHOLE))
+def enough(a: np.ndarray, b: np.ndarray, n: int, m: int) -> bool:
+    """Whether sets of n and m elements link, whose common elements are among the ascending a and b; the suffix filter first."""
+    need = -(-SHARE * (n + m) // (SHARE + WHOLE))
     if min(len(a), len(b)) < need:
         return False
     pivots = a[len(a) // 8 :: max(1, len(a) // 8)]
     cuts = np.diff(np.r_[0, np.searchsorted(a, pivots), len(a)]), np.diff(np.r_[0, np.searchsorted(b, pivots), len(b)])
     if int(np.minimum(*cuts).sum()) < need:
         return False
-    both = int((b[np.minimum(np.searchsorted(b, a), len(b) - 1)] == a).sum())
-    return WHOLE * both >= SHARE * (len(a) + len(b) - both)
+    merged = np.concatenate((a, b))
+    merged.sort()
+    both = int((merged[1:] == merged[:-1]).sum())
+    return WHOLE * both >= SHARE * (n + m - both)
 
 
 def verified(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         left, right = batch.column("left"), batch.column("right")
-        keep = [enough(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)) for x, y in zip(left, right, strict=True)]
+        n, m = batch.column("n").to_pylist(), batch.column("m").to_pylist()
+        keep = [enough(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64), *z) for x, y, *z in zip(left, right, n, m, strict=True)]
         yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
 
-def verify_by(sets: DataFrame):
-    """Pairs (a, b) checked on the sets (node, items) of both ends."""
+def verify_by(scratch: Scratch, sets: DataFrame):
+    """Pairs (a, b) checked on the sets (node, n, items) of both ends."""
 
     def verify(pairs: DataFrame) -> DataFrame:
-        left, right = (sets.select(F.col("node").alias(k), F.col("items").alias(name)) for k, name in (("a", "left"), ("b", "right")))
-        return pairs.join(left, "a").join(right, "b").select("a", "b", "left", "right").mapInArrow(verified, "a long, b long")
+        left, right = (sets.select(F.col("node").alias(k), F.col("n").alias(size), F.col("items").alias(name)) for k, size, name in (("a", "n", "left"), ("b", "m", "right")))
+        met = pairs.join(left, "a").join(right, "b").select("a", "b", "n", "m", "left", "right")
+        return scratch.keep(met.mapInArrow(verified, "a long, b long"), "linked")
 
     return verify
 
 
-def as_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for part in slices(batch):
-            hashes, own = text_sets(part.column("text"))
-            of, size, digest = set_digests(hashes, own)
-            ends = np.cumsum(size)
-            yield pa.record_batch({"node": pa.array(digest, pa.int64()), "items": pa.array([hashes[e - s : e].tobytes() for s, e in zip(size, ends, strict=True)], pa.binary())})
+def links_among(sets: list[np.ndarray], whole: np.ndarray, left: np.ndarray, right: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """(k, the linked sets among `right`) of each set k of `left`, itself left out; intersections are counted by shared elements.
 
-
-def links_among(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
-    """(k, the linked sets among `right`) of each set k of `left`, itself left out; intersections are counted by shared elements."""
+    whole: the sizes of the sets, of which `sets` may leave out elements that are in no other.
+    """
     size = np.array([len(x) for x in sets])
     of = np.repeat(np.arange(len(sets)), size)
     names, key, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
@@ -186,7 +214,7 @@ def links_among(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) ->
         many = times[own]
         at = np.arange(many.sum()) + np.repeat(ends[own] - np.cumsum(many), many)
         both = np.bincount(rows[at], minlength=len(sets))
-        linked = right & (WHOLE * both >= SHARE * (size + size[k] - both))
+        linked = right & (WHOLE * both >= SHARE * (whole + whole[k] - both))
         linked[k] = False
         yield k, np.flatnonzero(linked)
 
@@ -194,11 +222,11 @@ def links_among(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) ->
 def _found_links(table: pa.Table) -> Iterator[tuple[np.ndarray, np.ndarray, int, np.ndarray]]:
     """(nodes, rows of each node, k, linked sets) of a task's sets: side 0 meets side 1, side 2 meets itself."""
     side = table.column("side").to_numpy()
-    nodes, rows = table.column("node").to_numpy(), table.column("rows").to_numpy()
+    nodes, rows, whole = (table.column(c).to_numpy() for c in ("node", "rows", "n"))
     sets = [np.frombuffer(x, np.uint64) for x in table.column("items").to_pylist()]
     for left, right in ((side == 2, side == 2), (side == 0, side == 1), (side == 1, side == 0)):
         if left.any() and right.any():
-            for k, linked in links_among(sets, np.flatnonzero(left), right):
+            for k, linked in links_among(sets, whole, np.flatnonzero(left), right):
                 yield nodes, rows, k, linked
 
 
@@ -216,38 +244,37 @@ def link_sums(table: pa.Table) -> pa.Table:
     return pa.table({"node": pa.array([x for x, _ in found], pa.int64()), "links": pa.array([x for _, x in found], pa.int64())})
 
 
-def _meetings(scratch: Scratch, rows: DataFrame, sized: DataFrame, labels: DataFrame):
+def _meetings(scratch: Scratch, sized: DataFrame, sets: DataFrame, labels: DataFrame):
     """Sets grouped into tasks so that all pairs of a component's sets meet exactly once."""
-    nodes = scratch.keep(sized.where("n > 0").groupBy("node").agg(F.max("n").alias("n"), F.count("*").alias("rows"), F.min("doc_id").alias("doc_id")).join(labels, "node"), "nodes")
-    groups = nodes.groupBy("label").agg(F.count("*").alias("members"), F.sum("n").alias("total")).where("members > 1")
-    groups = scratch.keep(groups.select("label", F.ceil(F.col("total") * 8 / BLOCK_BYTES).cast("int").alias("blocks"), "total"), "groups")
+    nodes = scratch.keep(sized.where("n > 0").groupBy("node").agg(F.count("*").alias("rows")).join(labels, "node"), "nodes")
+    held = scratch.keep(sets.select("node", "n", "items").join(nodes, "node"), "held")
+    groups = held.groupBy("label").agg(F.count("*").alias("members"), F.sum(F.octet_length("items")).alias("total")).where("members > 1")
+    groups = scratch.keep(groups.select("label", F.ceil(F.col("total") / BLOCK_BYTES).cast("int").alias("blocks"), "total"), "groups")
     small = groups.where("blocks = 1").agg(F.sum("total")).first()[0] or 0
-    buckets = 1 + int(small * 8 // BLOCK_BYTES)
-    named = scratch.keep(nodes.join(groups, "label").select("node", "rows", "doc_id", "label", "blocks"), "grouped")
-    wanted = scratch.keep(named.select("doc_id").distinct(), "wanted")
-    sets = rows.join(narrow(wanted), "doc_id", "left_semi").mapInArrow(as_sets, "node long, items binary").dropDuplicates(["node"])
-    held = named.drop("doc_id").join(sets, "node").withColumn("own", F.pmod(F.xxhash64("node"), "blocks").cast("int"))
+    buckets = 1 + int(small // BLOCK_BYTES)
+    held = held.join(narrow(groups.drop("total")), "label").withColumn("own", F.pmod(F.xxhash64("node"), "blocks").cast("int"))
     held = held.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     label = F.when(F.col("blocks") > 1, F.col("label")).otherwise(F.pmod(F.xxhash64("label"), F.lit(buckets)))
     side = F.when(F.col("own") == F.col("other"), 2).when(F.col("own") < F.col("other"), 0).otherwise(1)
-    return held.select((F.col("blocks") > 1).alias("cut"), label.alias("g"), F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), side.alias("side"), "node", "rows", "items").groupBy("cut", "g", "p", "q")
+    return held.select((F.col("blocks") > 1).alias("cut"), label.alias("g"), F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), side.alias("side"), "node", "rows", "n", "items").groupBy("cut", "g", "p", "q")
 
 
 def ngram_links(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(links(a, b), members(doc_id, n_shingles, node)): every pair of different sets that link, once with a < b, and
     the set (node, a 64-bit digest) of every row with words.  Rows with one node are equal and link too.
+    Edge cases are as in `ngram_components`.
     """
-    scratch, rows, sized, labels = _labelled(docs)
-    return _meetings(scratch, rows, sized, labels).applyInArrow(link_pairs, "a long, b long"), sized.where("n > 0").select("doc_id", F.col("n").alias("n_shingles"), "node")
+    scratch, sized, sets, labels = _labelled(docs)
+    return _meetings(scratch, sized, sets, labels).applyInArrow(link_pairs, "a long, b long"), sized.where("n > 0").select("doc_id", F.col("n").alias("n_shingles"), "node")
 
 
 def linked_components(docs: DataFrame) -> DataFrame:
     """`ngram_components` with n_links: the other rows whose text links with the row's, equal ones included."""
-    scratch, rows, sized, labels = _labelled(docs)
-    sums = _meetings(scratch, rows, sized, labels).applyInArrow(link_sums, "node long, links long").groupBy("node").agg(F.sum("links").alias("links"))
+    scratch, sized, sets, labels = _labelled(docs)
+    sums = _meetings(scratch, sized, sets, labels).applyInArrow(link_sums, "node long, links long").groupBy("node").agg(F.sum("links").alias("links"))
     equal = sized.where("n > 0").groupBy("node").agg((F.count("*") - 1).alias("equal"))
     links = scratch.keep(equal.join(sums, "node", "left").select("node", (F.col("equal") + F.coalesce("links", F.lit(0))).alias("n_links")).where("n_links > 0"), "links")
-    named = _named(scratch, sized, labels).join(links, "node", "left")
+    named = _named(scratch, sized, labels).join(narrow(links), "node", "left")
     return named.select("doc_id", "n_shingles", "component_id", F.when(F.col("n_shingles") > 0, F.coalesce("n_links", F.lit(0))).otherwise(0).cast("long").alias("n_links"))
 
 
@@ -260,19 +287,20 @@ def ngram_components(docs: DataFrame) -> DataFrame:
     can't be named by a component and give none; an empty table gives no row; other columns are not read.
     Shingles are compared by 64-bit hashes.
     """
-    scratch, _, sized, labels = _labelled(docs)
+    scratch, sized, _, labels = _labelled(docs)
     return _named(scratch, sized, labels).select("doc_id", "n_shingles", "component_id")
 
 
 def _named(scratch: Scratch, sized: DataFrame, labels: DataFrame) -> DataFrame:
-    named = sized.join(labels, "node", "left").withColumn("label", F.when(F.col("n") > 0, F.coalesce("label", "node")))
+    named = sized.join(narrow(labels), "node", "left").withColumn("label", F.when(F.col("n") > 0, F.coalesce("label", "node")))
     named = scratch.keep(named, "named")
-    smallest = named.where("label is not null").groupBy("label").agg(F.min("doc_id").alias("component_id"))
-    return named.join(smallest, "label", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"), "node")
+    smallest = named.where("label is not null").groupBy("label").agg(F.min("doc_id").alias("component_id"), F.count("*").alias("rows")).where("rows > 1").drop("rows")
+    smallest = scratch.keep(smallest, "smallest")
+    return named.join(narrow(smallest), "label", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"), "node")
 
 
 def _labelled(docs: DataFrame) -> tuple[Scratch, DataFrame, DataFrame, DataFrame]:
-    """(scratch, rows(doc_id, text), sized(doc_id, n, node), labels(node, label) of the nodes that share a prefix key)."""
+    """(scratch, sized(doc_id, n, node), sets(node, n, items, ...) of the nodes that may link, labels(node, label) of those that do)."""
     spark = docs.sparkSession
     scratch = Scratch(spark)
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null")
@@ -280,39 +308,16 @@ def _labelled(docs: DataFrame) -> tuple[Scratch, DataFrame, DataFrame, DataFrame
     sized = first.where(F.col("counts").isNull()).select("doc_id", "n", "node")
     counts = frequency_table(first)
     total = sized.agg(F.sum("n")).first()[0] or 0
-    groups = max(1, int(total * RECORD.itemsize // 4 // GROUP_BYTES))
+    groups = max(1, int(total * 8 // GROUP_BYTES))
     hot = 4 * int(total // COUNTERS) + 4096
     sent = spark.sparkContext.broadcast(counts)
 
-    def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def elements(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = sent.value
+        return pack(set_elements(part.column("text"), table, hot, groups) for batch in batches for part in slices(batch))
 
-        def parts():
-            for batch in batches:
-                for part in slices(batch):
-                    records = prefix_records(part.column("text"), table)
-                    if len(records):
-                        yield group_of(records["key"].copy(), records["node"].copy(), groups, table[records["key"] & (COUNTERS - 1)] > hot), records
-
-        return pack(parts())
-
-    postings = scratch.keep(shared_keys(rows.mapInArrow(blocks, "g long, block binary")), "postings")
-
-    shared = postings.groupBy("node").agg(F.max("n").alias("n"), F.collect_list("key").alias("keys"))
-    shared = scratch.keep(shared, "shared")
-    firsts = scratch.keep(sized.join(shared.select("node"), "node", "left_semi").groupBy("node").agg(F.min("doc_id").alias("doc_id")), "firsts")
-
-    def verify(pairs: DataFrame) -> DataFrame:
-        """The full sets are read only for pairs that pass the positional filter over all their shared prefix elements."""
-        left, right = (shared.select(F.col("node").alias(x), F.col("n").alias("n" + x), F.col("keys").alias("keys" + x)) for x in "ab")
-        met = scratch.keep(pairs.join(left, "a").join(right, "b").where(prefix_suffices(F.col("na"), F.col("nb"), F.size(F.array_intersect("keysa", "keysb")))).select("a", "b"), "met")
-        ends = met.select(F.col("a").alias("node")).union(met.select("b")).distinct()
-        wanted = scratch.keep(firsts.join(ends, "node", "left_semi").select("doc_id"), "wanted")
-        sets = scratch.keep(rows.join(narrow(wanted), "doc_id", "left_semi").mapInArrow(as_sets, "node long, items binary"), "sets")
-        linked = scratch.keep(verify_by(sets)(met), "linked")
-        scratch.drop(sets, wanted, met)
-        return linked
-
-    labels = link_nodes(scratch, postings, possible, verify)
-    scratch.drop(postings, shared)
-    return scratch, rows, sized, labels
+    shared = rows.mapInArrow(elements, "g long, block binary").groupBy("g").applyInArrow(shared_elements(groups), "g long, block binary")
+    sets = shared.groupBy("g").applyInArrow(prefixes, "node long, n long, items binary, first long, keys array<long>")
+    sets = scratch.keep(sets, "sets")
+    postings = sets.select("node", "n", "first", F.posexplode("keys").alias("place", "key")).select("key", "node", "n", (F.col("first") + F.col("place")).alias("pos"))
+    return scratch, sized, sets, link_nodes(scratch, postings, possible, verify_by(scratch, sets))
