@@ -10,6 +10,7 @@ import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
+from time import monotonic
 
 import numpy as np
 import pyarrow as pa
@@ -20,15 +21,19 @@ from pyspark.sql import functions as F
 #: A side is broadcast only up to this many rows of one or two numbers; beyond it a shuffled join is used.
 BROADCAST_ROWS = 2_000_000
 SLICE_BYTES = 1 << 20
+#: Time between two clean-ups of shuffle files that no plan needs.
+RELEASE_SECONDS = 8
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder that all executors share; a folder of our own only where none is set (tests)."""
+    """The folder that all executors share; a folder of our own only in local mode (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         set_dir = spark.sparkContext._jsc.sc().getCheckpointDir()
         root = set_dir.get() if set_dir.isDefined() else None
     if not root:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = tempfile.mkdtemp(prefix="hazemedian-")
         spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")
@@ -40,7 +45,7 @@ class Scratch:
     def __init__(self, spark: SparkSession):
         self.spark = spark
         self.root = f"{shared_root(spark)}/hazemedian-{uuid.uuid4().hex}"
-        self.made = 0
+        self.made, self.cleaned = 0, 0.0
 
     def path(self, label: str) -> str:
         self.made += 1
@@ -55,7 +60,10 @@ class Scratch:
         return kept
 
     def release(self) -> None:
-        """Lets Spark remove the shuffle files of steps whose plans nobody holds any more, before a new step writes."""
+        """Lets Spark remove the shuffle files of steps whose plans nobody holds any more, now and then."""
+        if monotonic() - self.cleaned < RELEASE_SECONDS:
+            return
+        self.cleaned = monotonic()
         gc.collect()
         self.spark._jvm.System.gc()
 
@@ -72,6 +80,23 @@ def narrow(small: DataFrame) -> DataFrame:
     return F.broadcast(small) if small.count() <= BROADCAST_ROWS else small
 
 
+#: Names a row where doc_ids may be null or repeated.
+ROW_KEY = "row_key"
+
+
+def keyed(docs: DataFrame) -> DataFrame:
+    """`docs` with a row_key, written to the shared folder if it has none yet."""
+    return docs if ROW_KEY in docs.columns else Scratch(docs.sparkSession).keep(docs.withColumn(ROW_KEY, F.monotonically_increasing_id()), "keyed")
+
+
+def free_name(df: DataFrame, wish: str) -> str:
+    """A column name that `df` doesn't have in any case of letters."""
+    held = {c.lower() for c in df.columns}
+    while wish.lower() in held:
+        wish += "_"
+    return wish
+
+
 def held_out(doc_id):
     """True for the fifth of the documents whose labels are never learnt from."""
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0, F.lit(False))

@@ -3,8 +3,9 @@
 `link_nodes` gets postings (key, node, n, pos): two nodes may be linked only if they share a key.  Rounds of
 star candidates (every node of a key against one pivot of the key, another pivot each round) join most
 members of large groups by few verified pairs; keys whose nodes all have one label need no further pair and
-leave for good.  When few pairs are left that cross labels inside a key, all of these are verified, so no link between
-components is lost, while pairs inside a component, whose verification could change nothing, are never made.
+leave for good.  What is left are pairs that cross labels inside a key.  All of them are verified, so no link between
+components is lost, while pairs inside a component, whose verification could change nothing, are never made: either the
+nodes of clusters of open keys meet in tasks (`finish`), or, when they are few, the pairs are made as rows.
 """
 
 from __future__ import annotations
@@ -19,6 +20,8 @@ from pyspark.sql import functions as F
 from .common import Scratch
 
 STAR_ROUNDS = 12
+#: Star rounds before nodes meet in tasks.
+FIRST_ROUNDS = 2
 #: Crossing pairs a posting at which star rounds stop paying.
 FEW_PAIRS = 4
 #: Edges that a task contracts before they are shuffled by node.
@@ -90,14 +93,17 @@ def connected(scratch: Scratch, edges: DataFrame) -> DataFrame:
     return now.select(F.col("v").alias("node"), F.col("m").alias("label")).distinct().union(now.select("m", "m").distinct())
 
 
-def link_nodes(scratch: Scratch, postings: DataFrame, possible: Callable[[Column, Column, Column, Column], Column], verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def link_nodes(scratch: Scratch, postings: DataFrame, possible: Callable[[Column, Column, Column, Column], Column], verify: Callable[[DataFrame], DataFrame], finish: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """(node, label) of the nodes of `postings(key, node, n, pos)` that are linked with another; label is the smallest node.
 
     possible(n, pos, other n, other pos) is a condition that every linked pair meets at each shared key;
-    verify(pairs(a, b)) returns those that are linked, written to the shared folder.
+    verify(pairs(a, b)) returns those that are linked, written to the shared folder; finish(members(node, part, label))
+    gets the nodes of the keys that FIRST_ROUNDS left open, their component so far and their cluster, and returns links
+    that join the parts of each cluster.
     """
+    rounds = STAR_ROUNDS if finish is None else FIRST_ROUNDS
     open_, tested, linked, labels = postings, None, None, None
-    for turn in range(STAR_ROUNDS + 1):
+    for turn in range(rounds + 1):
         named = open_.withColumn("label", F.col("node")) if labels is None else open_.select("key", "node", "n", "pos").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
         keys = named.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("h"), "node", "n", "pos", "label")).alias("pivot")).where("lo <> hi").drop("lo", "hi")
         still = scratch.keep(named.join(keys, "key"), "open")
@@ -107,9 +113,15 @@ def link_nodes(scratch: Scratch, postings: DataFrame, possible: Callable[[Column
         rows = open_.count()
         if not rows:
             break
+        if finish is not None and turn == rounds:
+            clusters = connected(scratch, open_.select(F.col("label").alias("a"), F.col("pivot.label").alias("b")))
+            members = open_.select("node", F.col("label").alias("part")).distinct().join(clusters.withColumnRenamed("node", "part"), "part")
+            found = scratch.keep(finish(members), "linked")
+            linked = found if linked is None else linked.union(found)
+            break
         by_label = open_.groupBy("key", "label").agg(F.count("*").alias("c"))
-        crossing = by_label.groupBy("key").agg((F.sum("c") * F.sum("c") - F.sum(F.col("c") * F.col("c"))).cast("double").alias("x")).agg(F.sum("x") / 2).first()[0]
-        last = turn == STAR_ROUNDS or crossing <= FEW_PAIRS * rows
+        crossing = 0 if finish is not None else by_label.groupBy("key").agg((F.sum("c") * F.sum("c") - F.sum(F.col("c") * F.col("c"))).cast("double").alias("x")).agg(F.sum("x") / 2).first()[0]
+        last = finish is None and (turn == rounds or crossing <= FEW_PAIRS * rows)
         if last:
             a, b = (open_.select("key", *(F.col(c).alias(c + x) for c in ("label", "node", "n", "pos"))) for x in "ab")
             la, lb = (by_label.select("key", F.col("label").alias("label" + x)) for x in "ab")

@@ -11,13 +11,14 @@
    with Jaccard >= 3/4 the first n - ceil(3n/4) + 1 elements must meet.  Shingles that no other node has come first and
    need no posting, so a document of which more than a quarter is its own posts nothing.
 4. Postings are joined with length filter (sizes within 3/4) and positional filter (elements left on both sides
-   must suffice); `link_nodes` says which pairs are met.
-5. Every pair is verified once, on the shared shingles of both: a suffix filter bounds the overlap from the sizes of
-   eight ranges of the sorted hashes, then the intersection is counted in full.
-
-These pairs decide the components.  The join itself (`ngram_links`, and the numbers of links of `linked_components`)
-then counts the intersections of all different sets of a component, for links run inside components only: a
-component is cut into blocks of BLOCK_BYTES, every two blocks meet in one task, and small components share a task.
+   must suffice), in star rounds (`link_nodes`).  Each of their pairs is verified once, on the shared shingles of both: a suffix filter bounds the
+   overlap from the sizes of eight ranges of the sorted hashes, then the intersection is counted in full.
+5. Keys whose nodes are still in several components make clusters.  The sets of a cluster meet in tasks: a
+   cluster is cut into blocks of BLOCK_BYTES, every two blocks meet once, small clusters share a task, and no pair becomes
+   a row.  Intersections are counted by shared elements, and links that join two components come out.
+
+This decides the components.  The join itself (`ngram_links`, and the numbers of links of `linked_components`)
+then lets all different sets of a component meet in the same way, for links run inside components only.
 """
 
 from __future__ import annotations
@@ -197,10 +198,11 @@ def verify_by(scratch: Scratch, sets: DataFrame):
     return verify
 
 
-def links_among(sets: list[np.ndarray], whole: np.ndarray, left: np.ndarray, right: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+def links_among(sets: list[np.ndarray], whole: np.ndarray, left: np.ndarray, right: np.ndarray, wanted=None) -> Iterator[tuple[int, np.ndarray]]:
     """(k, the linked sets among `right`) of each set k of `left`, itself left out; intersections are counted by shared elements.
 
-    whole: the sizes of the sets, of which `sets` may leave out elements that are in no other.
+    whole: the sizes of the sets, of which `sets` may leave out elements that are in no other; wanted(k): the sets that
+    matter for k, asked when k's turn comes.
     """
     size = np.array([len(x) for x in sets])
     of = np.repeat(np.arange(len(sets)), size)
@@ -209,16 +211,42 @@ def links_among(sets: list[np.ndarray], whole: np.ndarray, left: np.ndarray, rig
     rows, ends = of[order], np.cumsum(times)
     stops = np.cumsum(size)
     for k in left.tolist():
+        among = right if wanted is None else right & wanted(k)
+        if not among.any():
+            continue
         own = key[stops[k] - size[k] : stops[k]]
         own = own[times[own] > 1]
         many = times[own]
         at = np.arange(many.sum()) + np.repeat(ends[own] - np.cumsum(many), many)
         both = np.bincount(rows[at], minlength=len(sets))
-        linked = right & (WHOLE * both >= SHARE * (whole + whole[k] - both))
+        linked = among & (WHOLE * both >= SHARE * (whole + whole[k] - both))
         linked[k] = False
         yield k, np.flatnonzero(linked)
 
 
+def joining_links(table: pa.Table) -> pa.Table:
+    """Links (a, b) of a task's sets that join two parts; sets of one part, also by links found so far, need none."""
+    table = table.take(pa.array(np.lexsort((table.column("node").to_numpy(), table.column("label").to_numpy()))))
+    nodes, whole, side = (table.column(c).to_numpy() for c in ("node", "n", "side"))
+    sets = [np.frombuffer(x, np.uint64) for x in table.column("items").to_pylist()]
+    _, label = np.unique(table.column("label").to_numpy(), return_inverse=True)
+    _, part = np.unique(table.column("part").to_numpy(), return_inverse=True)
+    found: list[tuple[int, int]] = []
+    for cluster in range(int(label.max()) + 1 if len(label) else 0):
+        own = np.flatnonzero(label == cluster)
+        for left, right in ((2, 2), (0, 1)):
+            one, other = side[own] == left, side[own] == right
+            if not one.any() or not other.any() or len(np.unique(part[own])) < 2:
+                continue
+            for k, linked in links_among([sets[x] for x in own.tolist()], whole[own], np.flatnonzero(one), other, lambda k, own=own: part[own] != part[own[k]]):
+                for j in linked.tolist():
+                    if part[own[j]] != part[own[k]]:
+                        found.append((own[k], own[j]))
+                        part[part == part[own[j]]] = part[own[k]]
+    ends = np.array(found, np.int64).reshape(-1, 2)
+    return pa.table({"a": pa.array(nodes[ends[:, 0]]), "b": pa.array(nodes[ends[:, 1]])})
+
+
 def _found_links(table: pa.Table) -> Iterator[tuple[np.ndarray, np.ndarray, int, np.ndarray]]:
     """(nodes, rows of each node, k, linked sets) of a task's sets: side 0 meets side 1, side 2 meets itself."""
     side = table.column("side").to_numpy()
@@ -245,9 +273,14 @@ def link_sums(table: pa.Table) -> pa.Table:
 
 
 def _meetings(scratch: Scratch, sized: DataFrame, sets: DataFrame, labels: DataFrame):
-    """Sets grouped into tasks so that all pairs of a component's sets meet exactly once."""
+    """The sets of components grouped so that all pairs of a component's sets meet exactly once."""
     nodes = scratch.keep(sized.where("n > 0").groupBy("node").agg(F.count("*").alias("rows")).join(labels, "node"), "nodes")
-    held = scratch.keep(sets.select("node", "n", "items").join(nodes, "node"), "held")
+    return _grouped(scratch, sets.select("node", "n", "items").join(nodes, "node"), "rows")
+
+
+def _grouped(scratch: Scratch, sets: DataFrame, more: str):
+    """(node, n, items, label, `more`) grouped into tasks so that all pairs of a label's sets meet exactly once."""
+    held = scratch.keep(sets, "held")
     groups = held.groupBy("label").agg(F.count("*").alias("members"), F.sum(F.octet_length("items")).alias("total")).where("members > 1")
     groups = scratch.keep(groups.select("label", F.ceil(F.col("total") / BLOCK_BYTES).cast("int").alias("blocks"), "total"), "groups")
     small = groups.where("blocks = 1").agg(F.sum("total")).first()[0] or 0
@@ -256,7 +289,7 @@ def _meetings(scratch: Scratch, sized: DataFrame, sets: DataFrame, labels: DataF
     held = held.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     label = F.when(F.col("blocks") > 1, F.col("label")).otherwise(F.pmod(F.xxhash64("label"), F.lit(buckets)))
     side = F.when(F.col("own") == F.col("other"), 2).when(F.col("own") < F.col("other"), 0).otherwise(1)
-    return held.select((F.col("blocks") > 1).alias("cut"), label.alias("g"), F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), side.alias("side"), "node", "rows", "n", "items").groupBy("cut", "g", "p", "q")
+    return held.select((F.col("blocks") > 1).alias("cut"), label.alias("g"), "label", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), side.alias("side"), "node", more, "n", "items").groupBy("cut", "g", "p", "q")
 
 
 def ngram_links(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -320,4 +353,9 @@ def _labelled(docs: DataFrame) -> tuple[Scratch, DataFrame, DataFrame, DataFrame
     sets = shared.groupBy("g").applyInArrow(prefixes, "node long, n long, items binary, first long, keys array<long>")
     sets = scratch.keep(sets, "sets")
     postings = sets.select("node", "n", "first", F.posexplode("keys").alias("place", "key")).select("key", "node", "n", (F.col("first") + F.col("place")).alias("pos"))
-    return scratch, sized, sets, link_nodes(scratch, postings, possible, verify_by(scratch, sets))
+
+
+    def finish(members: DataFrame) -> DataFrame:
+        return _grouped(scratch, sets.select("node", "n", "items").join(members, "node"), "part").applyInArrow(joining_links, "a long, b long")
+
+    return scratch, sized, sets, link_nodes(scratch, postings, possible, verify_by(scratch, sets), finish)

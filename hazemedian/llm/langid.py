@@ -4,8 +4,8 @@ A known word scores its smoothed log frequency in each language.  An unseen word
 frequency of those of its n-grams (with word edges) that are known, of the greatest n from 5 down to 1 for which
 any is; a word without a known character says nothing.  A text takes the language of the greatest sum.
 
-The counts come from a bounded sample, the MOST_DOCUMENTS training documents whose hashed doc_id is smallest,
-and the model keeps the MOST_WORDS most frequent words and MOST_GRAMS most frequent n-grams of each n.
+The counts come from a bounded sample: of the MOST_DOCUMENTS training documents whose hashed doc_id is smallest those,
+in this order, that begin within MOST_BYTES of text, whole.  The model keeps every word and n-gram of the sample.
 """
 
 from __future__ import annotations
@@ -18,14 +18,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import held_out, slices
 
-MOST_DOCUMENTS = 6_000
-MOST_WORDS, MOST_GRAMS = 60_000, 30_000
-LEAST_WORD, LEAST_GRAM = 2, 1
+MOST_DOCUMENTS, MOST_BYTES = 6_000, 6 << 20
 LONGEST = 5
 SMOOTHING = 0.1
 #: Unseen words whose scores a worker remembers.
@@ -51,15 +49,11 @@ def _logs(counts: list[Counter], keys: list[str]) -> np.ndarray:
     """A row for each key: its smoothed log frequency in each language."""
     table = np.array([[c[key] for c in counts] for key in keys], float).reshape(len(keys), len(counts))
     whole = np.array([sum(c.values()) for c in counts], float)
-    return np.log((table + SMOOTHING) / (whole + SMOOTHING * max(len(keys), 1)))
+    return np.log((table + SMOOTHING) / (whole + SMOOTHING * max(len(keys), 1))).astype(np.float32)
 
 
-def _most(counts: list[Counter], least: int, most: int) -> list[str]:
-    total: Counter = Counter()
-    for c in counts:
-        total.update(c)
-    often = sorted((-n, key) for key, n in total.items() if n >= least)
-    return [key for _, key in often[:most]]
+def _all(counts: list[Counter]) -> list[str]:
+    return sorted(set().union(*counts))
 
 
 def fit(texts: list[str | None], langs: list[str]) -> dict:
@@ -68,7 +62,7 @@ def fit(texts: list[str | None], langs: list[str]) -> dict:
     words: list[Counter] = [Counter() for _ in names]
     for text, lang in zip(texts, langs, strict=True):
         words[at[lang]].update(words_of(text or ""))
-    known = _most(words, LEAST_WORD, MOST_WORDS)
+    known = _all(words)
     model = {"names": names, "words": (known, _logs(words, known)), "grams": []}
     for n in range(1, LONGEST + 1):
         # Types count, not tokens: unseen words look like rare words, not like frequent ones.
@@ -76,7 +70,7 @@ def fit(texts: list[str | None], langs: list[str]) -> dict:
         for own, c in zip(words, grams, strict=True):
             for word in own:
                 c.update(grams_of(word, n))
-        known = _most(grams, LEAST_GRAM, MOST_GRAMS)
+        known = _all(grams)
         model["grams"].append((known, _logs(grams, known)))
     return model
 
@@ -85,7 +79,10 @@ def train(docs: DataFrame) -> dict | None:
     """The model from text and non-null lang of documents that are not held out; None if there are none."""
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.col("lang").cast("string")).where("doc_id is not null and lang is not null and text is not null").where(~held_out(F.col("doc_id")))
     chosen = rows.select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(MOST_DOCUMENTS).distinct()
-    sample = rows.join(F.broadcast(chosen), "doc_id")
+    sample = rows.join(F.broadcast(chosen), "doc_id")  # at most MOST_DOCUMENTS ids
+    sizes = sample.groupBy("doc_id").agg(F.sum(F.octet_length("text")).alias("size"))
+    before = F.coalesce(F.sum("size").over(Window.orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    sample = rows.join(F.broadcast(sizes.withColumn("before", before).where(F.col("before") < MOST_BYTES).select("doc_id")), "doc_id")
 
     def fitted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = sorted((row["doc_id"], row["text"], row["lang"]) for batch in batches for row in batch.to_pylist())
@@ -106,7 +103,7 @@ class Scorer:
 
     def reset(self) -> None:
         self.place = dict(self.known)
-        self.table = np.zeros((len(self.base) + (1 << 12), len(self.names)))
+        self.table = np.zeros((len(self.base) + (1 << 12), len(self.names)), np.float32)
         self.table[: len(self.base)] = self.base
         self.used = len(self.base)
 
@@ -136,7 +133,7 @@ class Scorer:
             if not any(map(has_letter, words)):
                 langs.append("und")
                 continue
-            total = self.table[np.fromiter(map(get, words), np.int64, len(words))].sum(0)
+            total = self.table[np.fromiter(map(get, words), np.int64, len(words))].sum(0, dtype=float)
             best = int(total.argmax())
             langs.append(self.names[best])
             sure[k] = 1 / np.exp((total - total[best]) / len(words) ** 0.5).sum()

@@ -21,15 +21,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, narrow
+from .common import ROW_KEY, Scratch, free_name, keyed, narrow
 from .tokens import count_tokens
 
 ENTROPY_SHARE = 0.97
 MOST_EPOCHS = 2.0
 BLOCK_DOCUMENTS = 256
 SEED = 1
-#: Names a row where doc_ids may be null or repeated.
-ROW_KEY = "row_key"
 
 
 def weights_at(tokens: dict, alpha: float) -> dict:
@@ -71,11 +69,6 @@ def bisect_alpha(tokens: dict, target_entropy: float | None = None, most_epochs:
     return alpha
 
 
-def keyed(docs: DataFrame) -> DataFrame:
-    """`docs` with a row_key, written to the shared folder if it has none yet."""
-    return docs if ROW_KEY in docs.columns else Scratch(docs.sparkSession).keep(docs.withColumn(ROW_KEY, F.monotonically_increasing_id()), "keyed")
-
-
 def plan(docs: DataFrame, target_entropy: float | None = None, most_epochs: float = MOST_EPOCHS, budget: float | None = None, carried: tuple[str, ...] = ()) -> tuple[DataFrame, list[dict]]:
     """(doc_id, source, n_tokens of every row, written to the shared folder; the sources' figures).
 
@@ -113,10 +106,10 @@ def _scheduled(docs: DataFrame, target_entropy: float | None = None, most_epochs
     name = F.coalesce("doc_id", *carried[:1])
     if not figures:
         return sized.select("doc_id", "source", "n_tokens", F.lit(0).alias("epoch"), F.xxhash64(name, F.lit(seed)).alias("order_key"), *carried)
-    # One row a source: as many as the sources named in the data, a mixture's own size.
+    # One row a source.
     per = spark.createDataFrame([(x["source"], x["budget"] // x["tokens"], x["budget"] % x["tokens"]) for x in figures], "source string, whole long, rest long")
     count = sized.groupBy("source").agg(F.greatest(F.lit(1), F.ceil(F.count("*") / BLOCK_DOCUMENTS)).cast("long").alias("n_blocks"))
-    rows = sized.join(F.broadcast(per.join(count, "source", "right")), "source").withColumns({"whole": F.coalesce("whole", F.lit(1)), "rest": F.coalesce("rest", F.lit(0))})
+    rows = sized.join(narrow(scratch.keep(per.join(count, "source", "right"), "sources")), "source").withColumns({"whole": F.coalesce("whole", F.lit(1)), "rest": F.coalesce("rest", F.lit(0))})
 
     def key(epoch):
         return F.xxhash64(name, F.lit(seed), epoch)
@@ -161,9 +154,14 @@ def _scheduled(docs: DataFrame, target_entropy: float | None = None, most_epochs
 
 
 def mixed(docs: DataFrame, **options) -> DataFrame:
-    """`docs` with every row as often as the schedule takes it, whether its doc_id is null, repeated or neither."""
+    """`docs` with every row as often as the schedule takes it, at least once if nothing limits the budget.
+
+    Rows are told apart by a row_key, so that null and repeated doc_ids are rows like others; null sources are the source "";
+    rows without tokens are taken as `schedule` says; an empty table stays empty; all columns stay, whatever their names.
+    """
     rows = keyed(docs)
-    each = _scheduled(rows, **options, carried=(ROW_KEY,)).groupBy(ROW_KEY).agg(F.count("*").cast("int").alias("_times"))
+    times, turn = free_name(rows, "times"), free_name(rows, "turn")
+    each = _scheduled(rows, **options, carried=(ROW_KEY,)).groupBy(ROW_KEY).agg(F.count("*").cast("int").alias(times))
     each = Scratch(docs.sparkSession).keep(each, "times")
-    repeated = rows.join(narrow(each), ROW_KEY).withColumn("_k", F.explode(F.sequence(F.lit(1), F.col("_times"))))
+    repeated = rows.join(narrow(each), ROW_KEY).withColumn(turn, F.explode(F.sequence(F.lit(1), F.col(times))))
     return repeated.select(docs.columns)

@@ -1,16 +1,13 @@
 """Document fingerprints of closed syncmers, with DataFrame functions only.
 
-A text's units are its words (runs of letters and digits, lower-cased; each Han or kana character by itself).
+A text's units are its words (runs of letters and digits, lower-cased) in pieces of at most UNIT characters from the word's start,
+and each Han or kana character by itself; one rule for texts of all lengths and scripts.
 A k-mer of units is an anchor if the smallest hash among its s-mers stands first or last in it.  Whether it is one
 depends on its own units alone, so equal passages have equal anchors wherever they stand, and every k - s
-neighbouring k-mers hold one.  A text of fewer than k units has one anchor, its whole.
+neighbouring k-mers hold one.  A text with units but without an anchor (it has fewer than 2k - s - 1 units) has one, its whole.
 
-A text is short if it has at most SHORT_TEXT characters or fewer than FEW_UNITS units.  The likeness of two texts is
-the Jaccard similarity of their sets of word anchors; where either is short, words are few, and anchors of single
-characters are added on both sides, so that the two sets always hold the same kinds.
-
-The fingerprint is the sequence of word anchors in order of position; a short text's character anchors follow after
-a hyphen, so that fingerprints can be compared by the kinds that both have.
+The fingerprint is the sequence of the anchors' 32-bit hashes in order of position, eight hexadecimal digits each; the likeness of two
+texts is the Jaccard similarity of the sets of anchors in their fingerprints.
 """
 
 from __future__ import annotations
@@ -21,13 +18,10 @@ from pyspark.sql import functions as F
 from .common import Scratch, narrow
 
 K, S = 6, 2
-CHARACTER_K, CHARACTER_S = 12, 4
-SHORT_TEXT = 400
-#: From so many units a word anchor is certain.
-FEW_UNITS = 2 * K - S - 1
+UNIT = 4
 CELLS = 4096
 BUCKET_BYTES = 16 << 20
-_UNIT = r"[\p{IsHan}\p{IsHiragana}\p{IsKatakana}]|[\p{L}\p{N}]+"
+_UNIT = r"[\p{IsHan}\p{IsHiragana}\p{IsKatakana}]|[\p{L}\p{N}&&[^\p{IsHan}\p{IsHiragana}\p{IsKatakana}]]{1,%d}" % UNIT
 
 
 def _let(value: Column, body) -> Column:
@@ -40,7 +34,7 @@ def _places(last: Column) -> Column:
 
 
 def anchors(units: Column, k: int = K, s: int = S) -> Column:
-    """array<struct<position int, hash bigint>> of the closed syncmers of an array of units."""
+    """array<struct<position int, hash int>> of the closed syncmers of an array of units."""
 
     def of(u: Column) -> Column:
         smers = F.transform(_places(F.size(u) - s), lambda i: F.xxhash64(*(F.get(u, i + j) for j in range(s))))
@@ -49,10 +43,12 @@ def anchors(units: Column, k: int = K, s: int = S) -> Column:
             span = k - s
             chosen = F.filter(_places(F.size(u) - k), lambda i: F.least(F.get(g, i), F.get(g, i + span)) <= (F.least(*(F.get(g, i + j) for j in range(1, span))) if span > 2 else F.get(g, i + 1)))
             steps = sorted({*range(0, span, s), span})
-            return F.transform(chosen, lambda i: F.struct(i.alias("position"), F.xxhash64(*(F.get(g, i + j) for j in steps)).alias("hash")))
+            return F.transform(chosen, lambda i: F.struct(i.alias("position"), F.hash(*(F.get(g, i + j) for j in steps)).alias("hash")))
 
-        whole = F.when(F.size(u) > 0, F.array(F.struct(F.lit(0).alias("position"), F.xxhash64(F.concat_ws(" ", u)).alias("hash")))).otherwise(F.array().cast("array<struct<position:int,hash:bigint>>"))
-        return F.when(F.size(u) >= k, _let(smers, closed)).otherwise(whole)
+        none = F.array().cast("array<struct<position:int,hash:int>>")
+        whole = F.when(F.size(u) > 0, F.array(F.struct(F.lit(0).alias("position"), F.hash(F.concat_ws(" ", u)).alias("hash")))).otherwise(none)
+        found = F.when(F.size(u) >= k, _let(smers, closed)).otherwise(none)
+        return _let(found, lambda x: F.when(F.size(x) > 0, x).otherwise(whole))
 
     return _let(units, of)
 
@@ -61,19 +57,14 @@ def units_of(text: Column) -> Column:
     return F.regexp_extract_all(F.lower(text), F.lit(_UNIT), F.lit(0))
 
 
-def words_of(text: Column) -> Column:
-    """struct<hashes array<bigint>, short boolean>: a text's word anchors in order of position, and whether it is short."""
-    return _let(units_of(text), lambda u: F.struct(F.transform(anchors(u), lambda a: a["hash"]).alias("hashes"), ((F.char_length(text) <= SHORT_TEXT) | (F.size(u) < FEW_UNITS)).alias("short")))
-
-
-def letters_of(text: Column) -> Column:
-    """array<bigint>: a text's anchors over characters, in order of position."""
-    return F.transform(anchors(F.filter(F.split(F.lower(text), ""), lambda c: c != ""), CHARACTER_K, CHARACTER_S), lambda a: F.xxhash64(a["hash"], F.lit("c")))
+def hashes_of(text: Column) -> Column:
+    """array<int>: a text's anchors in order of position."""
+    return F.transform(anchors(units_of(text)), lambda a: a["hash"])
 
 
 def fingerprint_of(hashes: Column) -> Column:
     """Eight hexadecimal digits for each anchor."""
-    return F.array_join(F.transform(hashes, lambda h: F.lpad(F.hex(h.bitwiseAND(F.lit(0xFFFFFFFF))), 8, "0")), "")
+    return F.array_join(F.transform(hashes, lambda h: F.lpad(F.hex(h.cast("long").bitwiseAND(F.lit(0xFFFFFFFF))), 8, "0")), "")
 
 
 def likeness(a: Column, b: Column) -> Column:
@@ -134,33 +125,16 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next of every row.
 
     The edited text has its last floor(n_chars / 2) characters replaced by the first as many of the next
-    document in descending doc_id order.  Null texts are empty; an empty text has an empty fingerprint; rows
-    with a null doc_id have no place in the order and are left out; repeated rows follow each other; an empty table
+    document in descending doc_id order.  Null texts are empty; a text without letters and digits has an empty fingerprint,
+    and two of these are alike; very long texts have as many anchors as they need; rows with a null doc_id have no place in the order and are left out; repeated rows follow each other; an empty table
     gives no row; other columns are not read.
     """
     rows = docs.select(F.col("doc_id").cast("long"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).where("doc_id is not null")
     if rows.isEmpty():
         return rows.select("doc_id", F.lit(0).cast("long").alias("n_chars"), *(F.lit("").alias(c) for c in ("edited_sha256", "fingerprint", "edited_fingerprint")), *(F.lit(0.0).alias(c) for c in ("near_edited", "near_next")))
-    rows = rows.withColumn("words", words_of(F.col("text"))).select("doc_id", "text", F.col("words.hashes").alias("own"), F.col("words.short").alias("short"))
-    rows = with_next(rows, ["text", "own", "short"])
+    rows = with_next(rows.withColumn("own", hashes_of(F.col("text"))), ["text", "own"])
     n = F.char_length("text").cast("long")
     half = F.floor(n / 2).cast("int")
     edited = F.concat(F.substring("text", F.lit(1), (n - half).cast("int")), F.substring("next_text", F.lit(1), half))
-    rows = rows.withColumn("n_chars", n).withColumn("edited", edited).withColumn("words", words_of(F.col("edited")))
-    rows = rows.withColumn("by_letters", F.col("short") | F.col("words.short")).withColumn("next_by_letters", F.col("short") | F.col("next_short"))
-    rows = rows.select(
-        "doc_id", "n_chars", "edited", "own", "next_own", F.col("words.hashes").alias("other"), "short", F.col("words.short").alias("other_short"), "by_letters", "next_by_letters",
-        F.when(F.col("by_letters") | F.col("next_by_letters"), letters_of(F.col("text"))).alias("own_letters"),
-        F.when(F.col("by_letters"), letters_of(F.col("edited"))).alias("other_letters"),
-        F.when(F.col("next_by_letters"), letters_of(F.col("next_text"))).alias("next_letters"),
-    )
-
-    def alike(name: str, by_letters: str) -> Column:
-        words, both = ((F.col("own"), F.col(name)), (F.concat("own", "own_letters"), F.concat(name, f"{name.removesuffix('_own')}_letters")))
-        return F.when(F.col(by_letters), likeness(*both)).otherwise(likeness(*words))
-
-    def printed(name: str) -> Column:
-        letters, short = F.col(f"{name}_letters"), F.col("short" if name == "own" else f"{name}_short")
-        return F.concat(fingerprint_of(F.col(name)), F.when(short & (F.size(letters) > 0), F.concat(F.lit("-"), fingerprint_of(letters))).otherwise(F.lit("")))
-
-    return rows.select("doc_id", "n_chars", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), printed("own").alias("fingerprint"), printed("other").alias("edited_fingerprint"), alike("other", "by_letters").alias("near_edited"), alike("next_own", "next_by_letters").alias("near_next"))
+    rows = rows.select("doc_id", n.alias("n_chars"), edited.alias("edited"), "own", "next_own").withColumn("other", hashes_of(F.col("edited")))
+    return rows.select("doc_id", "n_chars", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), fingerprint_of(F.col("own")).alias("fingerprint"), fingerprint_of(F.col("other")).alias("edited_fingerprint"), likeness(F.col("own"), F.col("other")).alias("near_edited"), likeness(F.col("own"), F.col("next_own")).alias("near_next"))

@@ -24,7 +24,9 @@ from .common import LOWER, WORD_BYTE, mix, slices, span_hashes, text_buffer, wor
 
 MATCH = 5
 COVERAGE = 0.5
-BLOCK_BYTES = 4 << 20
+BLOCK_BYTES = 16 << 20
+#: Seeds that are looked at together.
+SEEDS = 1 << 19
 _RADIX = np.uint64(0xB492B66FBE98F273)
 
 
@@ -50,16 +52,18 @@ def windows(tokens: np.ndarray, rows: np.ndarray, width: int) -> tuple[np.ndarra
 
 def tiles(doc: np.ndarray, item: np.ndarray, at_doc: np.ndarray, at_item: np.ndarray, match: int) -> list[tuple[int, int, int]]:
     """Greedy tiles (length, place in item, place in document) from the seeds of two token arrays."""
-    good = np.ones(len(at_doc), bool)
-    for k in range(match):  # equal hashes are checked token by token
-        good &= doc[at_doc + k] == item[at_item + k]
-    at_doc, at_item = at_doc[good], at_item[good]
-    if not len(at_doc):
-        return []
-    order = np.lexsort((at_item, at_doc - at_item))
-    d, t = at_doc[order], at_item[order]
-    new = np.flatnonzero(np.r_[True, (np.diff(d - t) != 0) | (np.diff(t) != 1)])
-    heap = [(-(int(n) + match - 1), int(t[k]), int(d[k])) for k, n in zip(new, np.diff(np.r_[new, len(t)]), strict=True)]
+    # A seed whose tokens before are equal too belongs to the run of an earlier one.
+    before = (at_doc > 0) & (at_item > 0)
+    before &= doc[np.maximum(at_doc - 1, 0)] == item[np.maximum(at_item - 1, 0)]
+    at_doc, at_item = at_doc[~before], at_item[~before]
+    length, live = np.zeros(len(at_doc), np.int64), np.arange(len(at_doc))
+    while len(live):  # equal hashes are checked token by token, and runs extended
+        i, j = at_doc[live] + length[live], at_item[live] + length[live]
+        live = live[(i < len(doc)) & (j < len(item))]
+        i, j = at_doc[live] + length[live], at_item[live] + length[live]
+        live = live[doc[i] == item[j]]
+        length[live] += 1
+    heap = [(-n, t, d) for n, t, d in zip(length.tolist(), at_item.tolist(), at_doc.tolist(), strict=True) if n >= match]
     heapify(heap)
     free_doc, free_item, out = np.ones(len(doc), bool), np.ones(len(item), bool), []
     while heap:
@@ -70,6 +74,8 @@ def tiles(doc: np.ndarray, item: np.ndarray, at_doc: np.ndarray, at_item: np.nda
             free_doc[i : i + n] = free_item[j : j + n] = False
             out.append((n, j, i))
             continue
+        if free_item.sum() < match:
+            break
         edges = np.flatnonzero(np.diff(np.r_[False, free, False].astype(np.int8)))
         for a, b in zip(edges[::2].tolist(), edges[1::2].tolist(), strict=True):
             if b - a >= match:
@@ -85,6 +91,7 @@ class Items:
         self.ids, self.match = ids, match
         counts = np.bincount(rows, minlength=len(ids))
         bounds = np.r_[0, np.cumsum(counts)]
+        self.whole, self.starts = tokens, bounds[:-1]
         self.tokens = [tokens[a:b] for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
         self.seeds = {}
         for width in range(1, match + 1):  # an item of fewer tokens is its own seed
@@ -106,11 +113,22 @@ class Items:
             n = hi - lo
             if not n.any():
                 continue
-            doc_at = np.repeat(at, n)
-            seed = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(lo, n)
-            row, item = rows[doc_at], items[seed]
+            met: list = []
+            ends = np.cumsum(n)
+            first_at = 0
+            while first_at < len(at):  # at most SEEDS at a time, of which only the first of a run of equal tokens stay
+                last_at = max(first_at + 1, int(np.searchsorted(ends, ends[first_at] - n[first_at] + SEEDS, side="right")))
+                some = n[first_at:last_at]
+                doc_at = np.repeat(at[first_at:last_at], some)
+                seed = np.arange(int(some.sum())) - np.repeat(np.cumsum(some) - some, some) + np.repeat(lo[first_at:last_at], some)
+                item, place = items[seed], places[seed]
+                before = (place > 0) & (doc_at > first[rows[doc_at]])
+                before &= self.whole[np.maximum(self.starts[item] + place - 1, 0)] == tokens[np.maximum(doc_at - 1, 0)]
+                met.append((rows[doc_at][~before], item[~before], doc_at[~before], place[~before]))
+                first_at = last_at
+            row, item, doc_at, place = (np.concatenate(x) for x in zip(*met, strict=True))
             order = np.lexsort((item, row))
-            row, item, doc_at, place = row[order], item[order], doc_at[order], places[seed][order]
+            row, item, doc_at, place = row[order], item[order], doc_at[order], place[order]
             cut = np.flatnonzero(np.r_[True, (np.diff(row) != 0) | (np.diff(item) != 0)])
             for a, b in zip(cut.tolist(), np.r_[cut[1:], len(row)].tolist(), strict=True):
                 r, t = int(row[a]), int(item[a])
@@ -137,18 +155,23 @@ def _blocks(benchmark: DataFrame) -> Iterator[list]:
         size = part.agg(F.sum(F.octet_length("text") + 16)).first()[0]
         if size is None:
             continue
-        if size <= BLOCK_BYTES or a == b:
+        if size <= BLOCK_BYTES:
             yield part.collect()
-        else:
+        elif a < b:
             waiting += [((a + b) // 2 + 1, b), (a, (a + b) // 2)]
+        else:  # many rows of one id
+            pieces = 2 * -(-size // BLOCK_BYTES)
+            for k in range(pieces):
+                yield part.where(F.pmod(F.xxhash64("text"), F.lit(pieces)) == k).distinct().collect()
 
 
 def contaminated_pairs(docs: DataFrame, benchmark: DataFrame, match: int = MATCH, coverage: float = COVERAGE) -> DataFrame:
     """doc_id, item_id, n_tiles, tiled_tokens, longest_tile, coverage of every pair with coverage >= `coverage`.
 
     Null and empty texts on either side meet nothing; an item of fewer than `match` tokens must occur whole;
-    rows with a null doc_id or item_id are left out; repeated rows each give a row; empty tables give no row; other
-    columns are not read.
+    of equally long runs the first in the item, then in the document is marked first; a very long text is one slice, and its
+    seeds are looked at SEEDS at a time; rows with a null doc_id or item_id are left out; repeated rows each give a
+    row; empty tables give no row; other columns are not read.
     """
     spark = docs.sparkSession
     schema = "doc_id long, item_id long, n_tiles int, tiled_tokens int, longest_tile int, coverage double"

@@ -1,32 +1,36 @@
 """Toxicity by a linear classifier over character n-grams scaled by naive Bayes log-count ratios.
 
 Features are the presence of character n-grams (5, 7 and 9 code points of the text with A-Z lower-cased and
-every other ASCII mark as a blank, one blank at either end), hashed to 2^22.  A feature's value is its log-count ratio, the log of its
-smoothed share among toxic documents over that among others; features with a weak ratio are left out, a
-document's values are scaled to unit length, and logistic regression on them is fitted by adaptive gradient steps.
-
-The classifier is fitted on a bounded sample, the MOST_TOXIC toxic and MOST_OTHER other training documents whose
-hashed doc_id is smallest, with class weights that restore the share of toxic documents among all training labels.
+every other ASCII mark as a blank, one blank at either end), hashed to 2^20.  A feature's value is its log-count ratio, the log of its
+smoothed share among toxic documents over that among others; a document's values are scaled to unit length, and logistic
+regression on them is fitted by gradient steps of one rate over batches of documents, so that features of few documents
+move little.  Every feature takes part.
+
+The classifier is fitted on a bounded sample: of the MOST_TOXIC toxic and MOST_OTHER other training documents whose
+hashed doc_id is smallest those, in this order, that begin within TOXIC_BYTES and OTHER_BYTES of text, whole, with class
+weights that restore the share of toxic documents among all training labels.
 """
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import held_out, slices, text_buffer
 
 ORDERS = (5, 7, 9)
-BITS = 22
+BITS = 20
 MOST_TOXIC, MOST_OTHER = 2_500, 5_000
-LEAST_RATIO, LEAST_DOCUMENTS = 1.5, 4
-ROUNDS = 100
+SMOOTHING, RATE = 8.0, 60.0
+#: Odd: strong ratios count for more, weak ones for little, none for nothing.
+POWER = 3
+TOXIC_BYTES, OTHER_BYTES = 3 << 20, 5 << 20
+ROUNDS, LEAST_STEPS, BATCH_DOCUMENTS = 12, 100, 256
 
 _CLASS = np.arange(128, dtype=np.uint32)
 _CLASS[65:91] += 32
@@ -34,8 +38,8 @@ _CLASS[[k for k in range(128) if not chr(k).isalnum()]] = 32
 _STEP = np.random.Generator(np.random.PCG64(99)).integers(1, 2**63, max(ORDERS), dtype=np.uint64) | np.uint64(1)
 
 
-def grams(column: pa.Array, wanted: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """(row, feature) of every n-gram of a string column, ascending and without repeats; only `wanted` ones."""
+def grams(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """(row, feature) of every n-gram of a string column, ascending and without repeats."""
     data, offsets = text_buffer(column)
     points = np.frombuffer(data.tobytes().decode("utf-8", "surrogatepass").encode("utf-32-le", "surrogatepass"), np.uint32)
     before = np.zeros(len(data) + 1, np.int64)
@@ -49,58 +53,57 @@ def grams(column: pa.Array, wanted: np.ndarray | None = None) -> tuple[np.ndarra
     codes = (padded.astype(np.uint64) + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)
     codes ^= codes >> np.uint64(29)
     found, total = [], np.zeros(len(codes), np.uint64)
+    kind = np.uint32 if n <= 1 << 32 - BITS else np.uint64
     for k in range(max(ORDERS)):
         m = len(codes) - k
         if m <= 0:
             break
         total = total[:m] + codes[k:] * _STEP[k]
         if k + 1 in ORDERS:
-            feature = ((total + np.uint64(k)) * np.uint64(0xD6E8FEB86659FD93) >> np.uint64(64 - BITS)).astype(np.int64)
-            keep = rows[:m] == rows[k:]
-            if wanted is not None:
-                keep &= wanted[feature]
-            keep = np.flatnonzero(keep)
-            found.append(rows[keep] << BITS | feature[keep])
-    keys = np.unique(np.concatenate(found)) if found else np.zeros(0, np.int64)
-    return keys >> BITS, keys & (1 << BITS) - 1
+            feature = ((total + np.uint64(k)) * np.uint64(0xD6E8FEB86659FD93) >> np.uint64(64 - BITS)).astype(kind)
+            found.append((rows[:m].astype(kind) << kind(BITS) | feature)[rows[:m] == rows[k:]])
+    keys = np.concatenate(found) if found else np.zeros(0, kind)
+    keys.sort()
+    keys = keys[np.r_[True, keys[1:] != keys[:-1]]] if len(keys) else keys
+    return (keys >> kind(BITS)).astype(np.int32), (keys & kind((1 << BITS) - 1)).astype(np.int32)
 
 
 def fit(texts: pa.Array, toxic: np.ndarray, share: float) -> dict:
-    """features, ratios, weights and bias; `share` is the share of toxic documents to be restored."""
-    ones = np.zeros(1 << BITS, np.int32)
-    rest = np.zeros(1 << BITS, np.int32)
-    parts = list(slices(pa.record_batch({"text": texts})))
-    start = 0
-    for part in parts:
+    """ratios, weights (of all 2^BITS features) and bias; `share` is the share of toxic documents to be restored."""
+    ones, rest = np.zeros((2, 1 << BITS), np.int32)
+    sizes, columns, start = [], [], 0
+    for part in slices(pa.record_batch({"text": texts})):
         rows, features = grams(part.column("text"))
         label = toxic[start + rows]
         ones += np.bincount(features[label == 1], minlength=1 << BITS).astype(np.int32)
         rest += np.bincount(features[label == 0], minlength=1 << BITS).astype(np.int32)
+        sizes.append(np.bincount(rows, minlength=part.num_rows))
+        columns.append(features)
         start += part.num_rows
     n, n1 = len(toxic), int(toxic.sum())
-    ratio = np.log((ones + 1.0) / (n1 + 2)) - np.log((rest + 1.0) / (n - n1 + 2))
-    wanted = (np.abs(ratio) >= LEAST_RATIO) & (ones + rest >= LEAST_DOCUMENTS)
-    features, start, docs, columns = np.flatnonzero(wanted), 0, [], []
-    for part in parts:
-        rows, found = grams(part.column("text"), wanted)
-        docs.append(start + rows)
-        columns.append(np.searchsorted(features, found))
-        start += part.num_rows
-    doc, column = np.concatenate(docs), np.concatenate(columns)
-    value = ratio[features][column]
-    value /= np.sqrt(np.bincount(doc, value * value, minlength=n))[doc]
-    each = np.where(toxic == 1, share / max(n1, 1), (1 - share) / max(n - n1, 1))
-    weight, bias = np.zeros(len(features)), float(np.log(share / (1 - share)))
-    seen, seen_bias = np.full(len(features), 1e-10), 1e-10
-    for _ in range(ROUNDS):
-        z = np.clip(np.bincount(doc, weight[column] * value, minlength=n) + bias, -30, 30)
-        error = (1 / (1 + np.exp(-z)) - toxic) * each
-        slope = np.bincount(column, error[doc] * value, minlength=len(features)) + 1e-3 * weight / n
-        seen += slope * slope
-        weight -= 0.5 * slope / np.sqrt(seen)
-        seen_bias += error.sum() ** 2
-        bias -= 0.5 * error.sum() / np.sqrt(seen_bias)
-    return {"features": features.astype(np.int32), "ratios": ratio[features].astype(np.float32), "weights": weight.astype(np.float32), "bias": bias}
+    # Pseudo-documents in the classes' own shares: a feature of one document says little, whichever class is larger.
+    shares = (ones + SMOOTHING * n1 / n) / max(n1, 1), (rest + SMOOTHING * (n - n1) / n) / max(n - n1, 1)
+    ratio = ((np.log(shares[0]) - np.log(shares[1])) ** POWER).astype(np.float32)
+    bounds = np.r_[0, np.cumsum(np.concatenate(sizes))]
+    column = np.concatenate(columns)
+    each = np.where(toxic == 1, share * n / max(n1, 1), (1 - share) * n / max(n - n1, 1))
+    # Dealt anew in a fixed order, so that each batch holds both classes.
+    batches = np.array_split(np.random.default_rng(5).permutation(n), max(1, -(-n // BATCH_DOCUMENTS)))
+    weight, bias = np.zeros(1 << BITS, np.float32), float(np.log(share / (1 - share)))
+    for _ in range(max(ROUNDS, -(-LEAST_STEPS // len(batches)))):
+        for batch in batches:
+            count = bounds[batch + 1] - bounds[batch]
+            doc = np.repeat(np.arange(len(batch)), count)
+            own = column[np.arange(len(doc)) + np.repeat(bounds[batch] - (np.cumsum(count) - count), count)]
+            value = ratio[own]
+            length = np.sqrt(np.bincount(doc, value * value, minlength=len(batch)))
+            value = value / np.where(length > 0, length, 1)[doc]
+            z = np.clip(np.bincount(doc, weight[own] * value, minlength=len(batch)) + bias, -30, 30)
+            error = (1 / (1 + np.exp(-z)) - toxic[batch]) * each[batch] / len(batch)
+            slope = np.bincount(own, error[doc] * value, minlength=1 << BITS).astype(np.float32)
+            weight -= np.float32(RATE) * slope
+            bias -= RATE * error.sum()
+    return {"ratios": ratio, "weights": weight, "bias": bias}
 
 
 def train(docs: DataFrame, labels: DataFrame) -> dict | None:
@@ -115,7 +118,14 @@ def train(docs: DataFrame, labels: DataFrame) -> dict | None:
         return None
     share = n1 / n
     chosen = [known.where(F.col("toxic") == k).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most) for k, most in ((1, MOST_TOXIC), (0, MOST_OTHER))]
-    sample = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(F.broadcast(chosen[0].union(chosen[1])), "doc_id")
+    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+    sample = rows.join(F.broadcast(chosen[0].union(chosen[1])), "doc_id")  # at most MOST_TOXIC + MOST_OTHER ids
+    # The bytes before each of these documents, an id that several rows share counted as one; then whole documents only.
+    sizes = sample.groupBy("toxic", "doc_id").agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("size"))
+    order = Window.partitionBy("toxic").orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, -1)
+    before = F.coalesce(F.sum("size").over(order), F.lit(0))
+    taken = sizes.withColumn("before", before).where(F.col("before") < F.when(F.col("toxic") == 1, TOXIC_BYTES).otherwise(OTHER_BYTES))
+    sample = rows.join(F.broadcast(taken.select("doc_id", "toxic")), "doc_id")
 
     def fitted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = [batch for batch in batches if batch.num_rows]
@@ -126,33 +136,20 @@ def train(docs: DataFrame, labels: DataFrame) -> dict | None:
         order = pc.sort_indices(table, [("doc_id", "ascending"), ("text", "ascending")])
         table = table.take(order).combine_chunks()
         model = fit(table.column("text").chunk(0), table.column("toxic").to_numpy(), share)
-        yield pa.record_batch({"features": [model["features"].tobytes()], "ratios": [model["ratios"].tobytes()], "weights": [model["weights"].tobytes()], "bias": [model["bias"]]})
-
-    row = sample.repartition(1).mapInArrow(fitted, "features binary, ratios binary, weights binary, bias double").first()
-    if row is None:
-        return None
-    return {"features": np.frombuffer(row["features"], np.int32), "ratios": np.frombuffer(row["ratios"], np.float32), "weights": np.frombuffer(row["weights"], np.float32), "bias": row["bias"]}
+        yield pa.record_batch({"ratios": [model["ratios"].tobytes()], "weights": [model["weights"].tobytes()], "bias": [model["bias"]]})
 
-
-_tables: dict = {}
-
-
-def _dense(model: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    if model["id"] not in _tables:
-        _tables.clear()
-        wanted, ratio, effect = np.zeros(1 << BITS, bool), np.zeros(1 << BITS, np.float32), np.zeros(1 << BITS, np.float32)
-        wanted[model["features"]], ratio[model["features"]], effect[model["features"]] = True, model["ratios"], model["ratios"] * model["weights"]
-        _tables[model["id"]] = wanted, ratio, effect
-    return _tables[model["id"]]
+    row = sample.repartition(1).mapInArrow(fitted, "ratios binary, weights binary, bias double").first()
+    return None if row is None else {"ratios": np.frombuffer(row["ratios"], np.float32), "weights": np.frombuffer(row["weights"], np.float32), "bias": row["bias"]}
 
 
 def scores(column: pa.Array, model: dict) -> np.ndarray:
-    wanted, ratio, effect = _dense(model)
+    ratio, weight = model["ratios"], model["weights"]
     out = []
     for part in slices(pa.record_batch({"text": column})):
-        rows, features = grams(part.column("text"), wanted)
-        length = np.sqrt(np.bincount(rows, ratio[features].astype(float) ** 2, minlength=part.num_rows))
-        total = np.bincount(rows, effect[features].astype(float), minlength=part.num_rows) / np.where(length > 0, length, 1)
+        rows, features = grams(part.column("text"))
+        value = ratio[features]
+        length = np.sqrt(np.bincount(rows, value * value, minlength=part.num_rows))
+        total = np.bincount(rows, value * weight[features], minlength=part.num_rows) / np.where(length > 0, length, 1)
         out.append(1 / (1 + np.exp(-np.clip(total + model["bias"], -30, 30))))
     return np.concatenate(out) if out else np.zeros(0)
 
@@ -161,7 +158,7 @@ def score_column(model: dict | None, text: Column, spark) -> Column:
     """The toxicity of a text column, 0 to 1; without a model 0."""
     if model is None:
         return F.lit(0.0)
-    sent = spark.sparkContext.broadcast(model | {"id": uuid.uuid4().hex})
+    sent = spark.sparkContext.broadcast(model)  # 8 bytes for each of the 2^BITS features
 
     def of(column: pa.Array) -> pa.Array:
         return pa.array(scores(column, sent.value), pa.float64())
@@ -172,9 +169,10 @@ def score_column(model: dict | None, text: Column, spark) -> Column:
 def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """doc_id, held_out, score, predicted of every row of `docs`.
 
-    Null and empty texts get the score of a text without known features (the model's bias); a null doc_id
-    stays null and isn't held out; repeated rows each give a row; empty tables give no row; without labels of
-    both classes every score is 0; other columns are not read.
+    Null and empty texts get the score of a text of one blank on either side, which has no features (the model's bias); a
+    null doc_id stays null and isn't held out; repeated rows each give a row; a very long text is scored whole, as a
+    slice by itself; a score of exactly 0.5 predicts 1; empty tables give no row; without labels of both classes every
+    score is 0; other columns are not read.
     """
     model = train(docs, labels)
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
