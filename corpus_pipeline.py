@@ -10,9 +10,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hazemedian.llm.common import Scratch, narrow
+from hazemedian.llm.common import ROW_KEY, Scratch, keyed, narrow
 from hazemedian.llm.jaccard import ngram_components
-from hazemedian.llm.mixing import ROW_KEY, keyed, mixed
+from hazemedian.llm.mixing import mixed
 from hazemedian.llm.tiling import contaminated_pairs
 from hazemedian.llm.token_files import token_file_digests
 from hazemedian.llm.toxicity import score_column, train
@@ -29,9 +29,10 @@ def _by_key(docs: DataFrame) -> DataFrame:
 
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the rows whose text scores below 0.5, and gives them a row_key; null texts stay; without usable labels all stay."""
+    """Keeps the rows whose text scores below 0.5, and gives them a row_key; null and empty texts stay; without usable labels all stay."""
     model = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return docs.where(F.coalesce(score_column(model, F.col("text"), spark), F.lit(0.0)) < 0.5).withColumn(ROW_KEY, F.monotonically_increasing_id())
+    silent = F.coalesce(F.length("text"), F.lit(0)) == 0
+    return docs.where(silent | (score_column(model, F.col("text"), spark) < 0.5)).withColumn(ROW_KEY, F.monotonically_increasing_id())
 
 
 def near_copies_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
