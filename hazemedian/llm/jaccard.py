@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blocks import GROUP_BYTES, group_of, pack, packed, several, sorted_runs, unpacked
+from .blocks import group_of, pack, packed, several, sorted_runs, unpacked
 from .common import LOWER, SPACE, Scratch, mix, narrow, row_sets, shingle_hashes, slices, span_hashes, text_buffer, word_spans
 from .components import link_nodes
 
@@ -41,6 +41,8 @@ COUNTERS = 1 << 20
 #: Class of hot shingles; others have eight times the logarithm (base 2) of the number of their nodes, below this.
 HOT = 255
 _CHUNK = 1 << 16
+#: Shingles that a key group's task gets, in bytes; the larger, the longer the runs of a document in a block.
+GROUP_BYTES = 16 << 20
 #: Bytes of sets in a block of the join inside components.
 BLOCK_BYTES = 2 << 20
 
