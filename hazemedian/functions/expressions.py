@@ -54,14 +54,15 @@ def portable_uniform(seed: int | Column, name: Column | str, draw: int | Column
     return F.conv(F.substring(F.md5(text.cast("binary")), 1, 8), 16, 10).cast("long") / F.lit(4294967296.0)
 
 
-def power_class(value: Column | str, radius: Column | float, closed_low: bool, most: int = 40) -> Column:
-    """0 below the radius, h from 2^(h-1) radius: by comparisons with exact powers of two, never by a logarithm.
+def power_class(value: Column | str, radius: Column | float, closed_low: bool) -> Column:
+    """0 below the radius, h from 2^(h-1) radius: by comparisons with exact powers of two; a logarithm only tells which three to try.
 
     closed_low: the edge 2^(h-1) R belongs to class h (open balls); otherwise to h - 1.
     """
     value, radius = column(value), radius if isinstance(radius, Column) else F.lit(float(radius))
     above = (lambda edge: value >= edge) if closed_low else (lambda edge: value > edge)
-    counted = F.aggregate(F.sequence(F.lit(0), F.lit(most - 1)), F.lit(0), lambda n, h: n + above(radius * F.pow(F.lit(2.0), h)).cast("int"))
+    first = F.greatest(F.coalesce(F.floor(F.log2(F.when(value > 0, value) / radius)).cast("int"), F.lit(0)) - 1, F.lit(0))
+    counted = sum((above(radius * F.pow(F.lit(2.0), first + h)).cast("int") for h in range(3)), first)
     return F.when(radius <= 0, 0).otherwise(counted)
 
 

@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..kernels import iterative_medians
 
@@ -41,7 +42,8 @@ class DrawPoints:
             yield t, int(md5(f"{seed}:draw:{t}".encode()).hexdigest()[:8], 16) / 4294967296.0
 
 
-@F.pandas_udf("array<double>")
+# Types as objects: workers import this module, and only a session can read a type's name.
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def node_median(coords: pd.Series, prob: pd.Series) -> pd.Series:
     """The node median (two or more updates by the step-ratio rule) of packed coords and probabilities."""
     counts = coords.map(len).to_numpy()
@@ -52,7 +54,7 @@ def node_median(coords: pd.Series, prob: pd.Series) -> pd.Series:
     return pd.Series(list(map(list, y)))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def weighted_median_1d(value: pd.Series, weight: pd.Series) -> float:
     """Grouped aggregate: the exact weighted median on a line."""
     order = np.argsort(value.to_numpy(), kind="stable")

@@ -129,6 +129,20 @@ def iterative_medians(x: np.ndarray, w: np.ndarray, offsets: np.ndarray, stop: s
     steps, status, before = np.zeros(n, int), np.full(n, 2), np.zeros(n)
     single = (counts == 1) | (extent == 0)
     y[single], status[single] = x[starts[single]], 0
+    # Closed forms: the heavier of two locations (their middle on a tie), the weighted median on a line.
+    two = np.flatnonzero((counts == 2) & ~single)
+    first, second = w[starts[two]], w[starts[two] + 1]
+    y[two] = np.where((first == second)[:, None], y[two], x[starts[two] + (second > first)])
+    status[two] = 0
+    if x.shape[1] == 1 and n:
+        segment = np.repeat(np.arange(n), counts)
+        order = np.lexsort((x[:, 0], segment))
+        before = np.cumsum(w[order])
+        base = np.r_[0, before][starts]
+        half = base + _sums(w, starts) / 2
+        at = np.minimum(np.searchsorted(before, half * (1 - 1e-12)), offsets[1:] - 1)
+        y[:, 0], status[:] = x[order[at], 0], 0
+    single = status == 0
     live = np.flatnonzero(~single)
     while len(live):
         own = counts[live]
@@ -156,8 +170,11 @@ def iterative_medians(x: np.ndarray, w: np.ndarray, offsets: np.ndarray, stop: s
 
 
 def copies_of(pair_weight: np.ndarray, prob: np.ndarray, weight: np.ndarray, eps: float) -> np.ndarray:
-    """Multiplicity of each location in the unweighted multiset that stands for a weighted one."""
-    return np.floor(pair_weight / (min(weight.min(), 1.0) * prob[prob > 0].min() * eps))
+    """Multiplicity of each location in the unweighted multiset that stands for a weighted one; nodes of weight 0 have none."""
+    some, there = weight[weight > 0], prob[prob > 0]
+    if not len(some) or not len(there):
+        return np.zeros(len(prob))
+    return np.floor(pair_weight / (min(some.min(), 1.0) * there.min() * eps))
 
 
 def sampled_median(x: np.ndarray, copies: np.ndarray, rng: np.random.Generator, confidence: float = 0.9, gamma: float = 0.5, n_eval: int = 64, repeats: int = 1, candidates: str = "support", eps: float = 0.5) -> np.ndarray:
@@ -191,17 +208,27 @@ def support_median(x: np.ndarray, w: np.ndarray) -> int:
 
 
 def node_medians(block: Block, profile: Profile, seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(medians, spreads, steps, status) of all nodes; a spread is the mean distance to the median, by mass."""
-    y, steps, status = iterative_medians(block.coords, block.prob, block.offsets, profile.stop, profile.ratio, profile.max_steps)
-    large = np.diff(block.offsets) > profile.dense_threshold
-    again = np.flatnonzero((status != 0) & ((status == 4) | large | (profile.median == "sampled")))
+    """(medians, spreads, steps, status) of all nodes; a spread is the mean distance to the median, by mass.
+
+    Nodes that are to be sampled (all under 'sampled', those of more than dense_threshold locations else) are never iterated,
+    so that their cost doesn't depend on their support.
+    """
+    counts = np.diff(block.offsets)
+    sampled = (counts > 1) & ((counts > profile.dense_threshold) | (profile.median == "sampled"))
+    y, steps, status = np.zeros((len(block), block.coords.shape[1])), np.zeros(len(block), int), np.full(len(block), 4)
+    rest = np.flatnonzero(~sampled)
+    if len(rest):
+        own = block.take(rest) if sampled.any() else block
+        y[rest], steps[rest], status[rest] = iterative_medians(own.coords, own.prob, own.offsets, profile.stop, profile.ratio, profile.max_steps)
+    again = np.flatnonzero(status == 4)
     if len(again):
         copies = copies_of(block.pair_weight, block.prob, block.weight, profile.eps)
+        repeats = profile.repeats_for(len(block))
         for k in again:
             a, b = block.offsets[k], block.offsets[k + 1]
             rng = np.random.default_rng([seed, int(block.node_id[k]) & 0x7FFFFFFF])
-            y[k] = sampled_median(block.coords[a:b], copies[a:b], rng, profile.confidence, repeats=profile.repeats)
-            status[k] = 4
+            often = copies[a:b] if copies[a:b].sum() > 0 else block.prob[a:b]  # a weight of 0 cancels in a median
+            y[k] = sampled_median(block.coords[a:b], often, rng, profile.confidence, repeats=repeats, candidates=profile.candidates, eps=profile.eps)
     return y, spreads(block, y), steps, status
 
 
@@ -234,8 +261,9 @@ def grouped_medians(x: np.ndarray, w: np.ndarray, label: np.ndarray, k: int, old
     have, first = np.unique(label[order], return_index=True)
     offsets = np.r_[first, len(order)]
     y, _, status = iterative_medians(x[order], w[order], offsets, profile.stop, profile.ratio, profile.max_steps)
-    for j in np.flatnonzero(status == 4):
-        y[j] = old[have[j]]
+    for j in np.flatnonzero(status == 4):  # an iterate on a location: the sampled median of the group
+        a, b = offsets[j], offsets[j + 1]
+        y[j] = sampled_median(x[order[a:b]], w[order[a:b]], np.random.default_rng([int(have[j]), len(order)]), profile.confidence, repeats=profile.repeats_for(len(have)))
     if guard:
         own = np.repeat(np.arange(len(have)), np.diff(offsets))
         cost = [_sums(w[order] * np.sqrt(((x[order] - c[own]) ** 2).sum(1)), offsets[:-1]) for c in (y, old[have])]
@@ -399,7 +427,7 @@ def reduce_block(block: Block, k: int, profile: Profile, seed: int) -> Block:
     if len(block) <= profile.per_k * k:  # the budget takes everything
         return block
     search = sampled_bicriteria if profile.centres == "sampled_bicriteria" else kmedian_lloyd
-    found = [search(block.median, block.weight, k, seed + 101 * r, profile) for r in range(profile.repeats)]
+    found = [search(block.median, block.weight, k, seed + 101 * r, profile) for r in range(profile.repeats_for(len(block)))]
     cost = [(block.weight * distances(block.median, c).min(1)).sum() for c in found] if len(found) > 1 else [0]
     of, _ = cells(block, found[int(np.argmin(cost))], profile)
     level = int(block.level.max(initial=0)) + 1

@@ -7,6 +7,7 @@ support (packed form).  `mass` is the chance that it is realised at all, at most
 from __future__ import annotations
 
 from dataclasses import dataclass, replace
+from math import ceil, log2
 
 SUPPORT = "array<struct<loc_id:bigint,coords:array<double>,prob:double>>"
 NODES = f"node_id long, weight double, mass double, support {SUPPORT}"
@@ -33,7 +34,8 @@ class Profile:
     max_steps: int = 15
     dense_threshold: int = 100_000
     confidence: float = 0.9
-    repeats: int = 1
+    repeats: int = 1  # of sampled medians and of the centre search; 0: the logarithm of the nodes over delta
+    candidates: str = "support"  # of the sampled median; or 'lattice'
     eps: float = 0.5
     delta: float = 0.1
     centres: str = "lloyd"
@@ -50,10 +52,15 @@ class Profile:
     compress_support: bool = False
     capacity: int = 0
 
+    def repeats_for(self, n: int) -> int:
+        return self.repeats or max(1, ceil(log2(max(n, 2) / self.delta)))
+
     def capacity_for(self, k: int) -> int:
         """Nodes of a ladder bucket; more than the budget, or nothing would shrink."""
         return self.capacity or max(2 * self.per_k * k, 1024)
 
 
 PRACTICAL = Profile()
-REFERENCE = replace(PRACTICAL, median="sampled", centres="sampled_bicriteria", repeats=4, compress_support=True)
+REFERENCE = replace(PRACTICAL, median="sampled", centres="sampled_bicriteria", repeats=0, compress_support=True)
+#: The centre search as it is described for the practical summariser: seeds by distance alone, centres always moved.
+LITERAL = replace(PRACTICAL, weighted_seeding=False, guard=False)

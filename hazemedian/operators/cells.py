@@ -10,6 +10,9 @@ from .centres import assign_points
 
 SCALE = 1_000_000
 
+#: Ranges of node ids whose masses are summed before those inside them.
+RUNS = 1024
+
 
 def radius_unit(assigned: DataFrame, alpha: float = 4.0, basis: str = "location_spread") -> DataFrame:
     """One row (radius): estimated expected cost over alpha times the expected weight."""
@@ -53,18 +56,28 @@ def draw_cells(cells: DataFrame, k: int, per_k: int = 200, allotment: str = "eve
     """(cell, node_id, copies, draws): draws with replacement in every cell by integer-scaled running sums.
 
     A draw's uniform depends on seed, cell and number alone, so any partitioning and any retry draw the same nodes.
+    Running sums go over RUNS ranges of the ids first and inside a cell's range then, so a cell of any size is many windows.
     """
-    own = Window.partitionBy(*CELL)
-    upto = F.sum("m").over(own.orderBy("node_id").rowsBetween(Window.unboundedPreceding, 0))
-    sums = cells.withColumn("m", F.round(_chance(draw_mass) * SCALE).cast("long")).withColumn("upto", upto).withColumn("total", F.sum("m").over(own))
-    spans = sums.select(*CELL, "node_id", (F.col("upto") - F.col("m")).alias("low"), "upto")
-    totals = sums.groupBy(*CELL).agg(F.max("total").alias("total"))
+    run, place = [*CELL, "run"], Window.unboundedPreceding
+    edge = cells.agg(F.min("node_id").alias("_low"), F.max("node_id").alias("_high"))
+    width = F.expr("CAST((CAST(_high AS DECIMAL(20)) - _low) / %d AS DECIMAL(20)) + 1" % RUNS)
+    rows = cells.crossJoin(F.broadcast(edge)).withColumn("run", F.floor((F.col("node_id").cast("decimal(20)") - F.col("_low")) / width).cast("int"))
+    rows = rows.select(*run, "node_id", F.round(_chance(draw_mass) * SCALE).cast("long").alias("m"))
+    runs = rows.groupBy(*run).agg(F.sum("m").alias("rm"))
+    runs = runs.withColumn("start", F.sum("rm").over(Window.partitionBy(*CELL).orderBy("run").rowsBetween(place, 0)) - F.col("rm"))
+    totals = runs.groupBy(*CELL).agg(F.sum("rm").alias("total"))
+    upto = F.sum("m").over(Window.partitionBy(*run).orderBy("node_id").rowsBetween(place, 0)) + F.col("start")
+    spans = rows.join(runs, run).withColumn("upto", upto).select(*run, "node_id", (F.col("upto") - F.col("m")).alias("low"), "upto")
     name = F.concat_ws("/", *CELL)
     tries = draw_counts(cells, k, per_k, allotment).join(totals, CELL).select(*CELL, "total", "draws", F.explode(F.sequence(F.lit(1), F.col("draws"))).alias("t"))
     tries = tries.withColumn("at", F.floor(portable_uniform(seed, name, F.col("t")) * F.col("total")).cast("long")).select(*CELL, "draws", "t", "at")
-    # As-of match without a cross product: draws and spans of a cell in one order, each draw takes the span it stands in.
-    marks = spans.select(*CELL, F.col("low").alias("x"), F.lit(0).alias("kind"), "node_id", F.lit(None).cast("long").alias("draws")).where("upto > low").unionByName(tries.select(*CELL, F.col("at").alias("x"), F.lit(1).alias("kind"), F.lit(None).cast("long").alias("node_id"), "draws"))
-    last = F.last("node_id", ignorenulls=True).over(own.orderBy("x", "kind").rowsBetween(Window.unboundedPreceding, 0))
+    # As-of match without a cross product: draws and spans in one order, each draw takes the run, then the span it stands in.
+    none = F.lit(None).cast("long")
+    heads = runs.where("rm > 0").select(*CELL, F.col("start").alias("x"), F.lit(0).alias("kind"), "run", none.alias("draws"))
+    last = F.last("run", ignorenulls=True).over(Window.partitionBy(*CELL).orderBy("x", "kind").rowsBetween(place, 0))
+    placed = heads.unionByName(tries.select(*CELL, F.col("at").alias("x"), F.lit(1).alias("kind"), F.lit(None).cast("int").alias("run"), "draws")).withColumn("run", last).where("kind = 1")
+    marks = spans.where("upto > low").select(*run, F.col("low").alias("x"), F.lit(0).alias("kind"), "node_id", none.alias("draws")).unionByName(placed.select(*run, "x", "kind", none.alias("node_id"), "draws"))
+    last = F.last("node_id", ignorenulls=True).over(Window.partitionBy(*run).orderBy("x", "kind").rowsBetween(place, 0))
     hits = marks.withColumn("hit", last).where("kind = 1")
     return hits.groupBy(*CELL, F.col("hit").alias("node_id")).agg(F.count("*").alias("copies"), F.max("draws").alias("draws"))
 

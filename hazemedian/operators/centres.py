@@ -6,7 +6,7 @@ Each seed and each round is one job over the points with k centres as a literal
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .. import kernels
@@ -16,7 +16,9 @@ from .medians import group_centroids, group_updates
 
 #: Distances are summed as whole numbers of this fraction, so that prefix sums are exact in any order.
 SCALE = 1_000_000
-BUCKET = 4096
+RANGES = 4096
+#: Points of a range that are sorted for the end of a draw.
+FEW_POINTS = 10_000
 
 
 def first_centre(points: DataFrame, seed: int, key: str = "node_id") -> list:
@@ -28,17 +30,36 @@ def first_centre(points: DataFrame, seed: int, key: str = "node_id") -> list:
 def prefix_pick(points: DataFrame, mass: Column, u: float, key: str = "node_id") -> list | None:
     """The first point in key order whose running sum of whole-number masses exceeds u times the total.
 
-    Sums of runs of keys first, then the one run with the hit: no sort of all points.
+    Sums of RANGES equal ranges of the keys come to the driver, the range with the hit is cut again until it holds few
+    points, and only these are sorted: no task sees a run of unknown length, however the keys lie.
     """
-    rows = points.select(F.col(key).alias("k"), "coords", mass.cast("long").alias("m")).withColumn("b", F.floor(F.col("k") / BUCKET))
-    runs = rows.groupBy("b").agg(F.sum("m").alias("m"))
-    runs = runs.withColumn("upto", F.sum("m").over(Window.orderBy("b"))).withColumn("total", F.sum("m").over(Window.partitionBy()))
-    hit = runs.where(F.col("upto") > F.col("total") * F.lit(u)).orderBy("b").limit(1).first()
-    if hit is None or not hit["total"]:
+    rows = points.select(F.col(key).alias("k"), "coords", mass.cast("long").alias("m"))
+    low, high = rows.agg(F.min("k"), F.max("k")).first()
+    if low is None:
         return None
-    inside = rows.where(F.col("b") == hit["b"]).withColumn("upto", F.sum("m").over(Window.orderBy("k").rowsBetween(Window.unboundedPreceding, 0)) + F.lit(hit["upto"] - hit["m"]))
-    row = inside.where(F.col("upto") > F.lit(hit["total"]) * F.lit(u)).orderBy("k").limit(1).first()
-    return [row["k"], list(row["coords"])]
+    before, goal = 0, None
+    while True:
+        width = (high - low) // RANGES + 1
+        inside = rows.where(F.col("k").between(low, high))
+        place = F.floor((F.col("k").cast("decimal(38,0)") - F.lit(low)) / F.lit(width)).cast("long")
+        runs = sorted(inside.groupBy(place.alias("b")).agg(F.sum("m").alias("m"), F.count("*").alias("n")).collect())
+        if goal is None:
+            total = sum(x["m"] for x in runs)
+            if not total:
+                return None
+            goal = total * u
+        for hit in runs:
+            if before + hit["m"] > goal:
+                break
+            before += hit["m"]
+        low, high = low + hit["b"] * width, min(high, low + (hit["b"] + 1) * width - 1)
+        if hit["n"] <= FEW_POINTS or width == 1:
+            break
+    for row in rows.where(F.col("k").between(low, high)).select("k", "m").orderBy("k").toLocalIterator():
+        before += row["m"]
+        if before > goal:
+            break
+    return [row["k"], list(rows.where(F.col("k") == row["k"]).select("coords").first()["coords"])]
 
 
 def seed_centres(points: DataFrame, k: int, d: int, power: int = 1, weight: Column | None = None, seed: int = 7, key: str = "node_id") -> list[list]:
@@ -101,7 +122,7 @@ def kmeanspp(points: DataFrame, k: int, d: int, seed: int = 7, rounds: int = 10,
     return lloyd(points, [c for _, c in seed_centres(points, k, d, 2, weight, seed)], d, rounds, means=True, weight=weight)[0]
 
 
-def local_points(points: DataFrame, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
+def local_points(points: DataFrame, most: int = 2_000_000) -> tuple[np.ndarray, np.ndarray]:
     """A sample of checked size as arrays."""
     rows = points.select("coords", "weight").limit(most + 1).collect()
     if len(rows) > most:
@@ -117,9 +138,10 @@ def sampled_bicriteria(points: DataFrame, k: int, d: int, seed: int = 7, profile
     if size == n:
         return first
     far = points.withColumn("dist", nearest("coords", first.tolist(), d)["dist"])
-    share = min(1.0, max(2 * k, n * k * max(1.0, np.log(k)) / size) / n)
-    edge = far.agg(F.percentile_approx("dist", F.lit(1 - share), F.lit(10_000)).alias("e")).first()["e"]
-    tail = kernels.kmedian_lloyd(*local_points(far.where(F.col("dist") >= edge)), k, seed + 1, profile)
+    worst = min(n, max(2 * k, int(np.ceil(n * k * max(1.0, np.log(k)) / size))))
+    # Exactly so many, however many points are equally far: ties go by the hashed key.
+    tail = far.orderBy(F.col("dist").desc(), portable_uniform(seed, key, F.lit("tail")), key).limit(worst)
+    tail = kernels.kmedian_lloyd(*local_points(tail), k, seed + 1, profile)
     return np.concatenate([first, tail])
 
 

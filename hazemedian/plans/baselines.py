@@ -29,6 +29,8 @@ def full_solver(nodes: DataFrame, k: int, d: int, seed: int = 1, rounds: int = 1
     """
     real = kept(unpack(nodes), "realisations")
     score = real.groupBy("coords").agg(F.min("loc_id").alias("node_id"), F.sum(F.col("weight") * F.col("prob")).alias("weight"))
+    if real.isEmpty():
+        return [], []
     found = [c for _, c in centre_ops.seed_centres(score, k, d, 1, F.col("weight"), seed)]
     old, moved = None, []
     for _ in range(rounds):
@@ -144,6 +146,8 @@ def _solved_points(parts: DataFrame, k: int, seed: int, size: int) -> tuple[np.n
         width = -(-width // 16)
         parts = kept(parts.coalesce(width).mapInArrow(merge, POINT))
     rows = parts.orderBy("coords").collect()  # at most `size` rows
+    if not rows:
+        return np.zeros((0, 0)), 0
     x, w = np.array([r["coords"] for r in rows]), np.array([r["weight"] for r in rows])
     return kernels.kmeans(x, w, k, seed), len(x)
 

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from .. import kernels
 from ..model import PRACTICAL, Profile
 from ..operators.costs import best_assigned_cost
+from ..sources.tables import kept
 from . import baselines
 from .summarise import cluster_uncertain, solve_local
 
@@ -41,6 +42,8 @@ def run_method(nodes: DataFrame, d: int, method: str, k: int, seed: int, profile
         centres, rows = baselines.feature_tree(baselines.node_points(nodes), k, seed, profile.per_k * k)
         cost = float("nan")
     elif method == "kmeanspp":
+        centres, rows, cost = baselines.kmeans_points(kept(baselines.node_points(nodes), "points"), k, d, seed), nodes.count(), float("nan")
+    elif method == "kmeans_library":  # parallel seeding of Spark's own KMeans, as a cross-check
         centres, rows, cost = baselines.kmeans_library(baselines.node_points(nodes), k, seed), nodes.count(), float("nan")
     elif method == "collapse_medians":
         from ..operators.medians import node_medians
@@ -51,7 +54,7 @@ def run_method(nodes: DataFrame, d: int, method: str, k: int, seed: int, profile
     else:
         raise ValueError(method)
     seconds = perf_counter() - t
-    full = best_assigned_cost(nodes, {0: [list(map(float, c)) for c in centres]}).first()["cost"]
+    full = best_assigned_cost(nodes, {0: [list(map(float, c)) for c in centres]}).first()["cost"] if len(centres) else 0.0
     return full, cost, rows, seconds
 
 
@@ -70,6 +73,48 @@ def run(spark: SparkSession, nodes: DataFrame, d: int, name: str, methods: list[
     return spark.createDataFrame(rows, MEASURES)
 
 
+def repeated(nodes: DataFrame, k: int, runs: int = 100, profile: Profile = PRACTICAL) -> DataFrame:
+    """(seed, cost_full, cost_summary, gap, summary_rows) of `runs` repetitions of summary and solver, each one task.
+
+    Every repetition reads all nodes through its own ladder, so that the input must be small enough for that many copies
+    in the shuffle; a task holds one ladder and evaluates its centres on its own copy.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    def one(key: tuple, table: pa.Table) -> pa.Table:
+        seed = key[0].as_py()
+        block = kernels.from_arrow(table.drop_columns(["seed"]))
+        block = block.take(np.argsort(block.node_id, kind="stable"))
+        ladder = kernels.Ladder(k, profile, seed)
+        for at in range(0, len(block), 1024):
+            ladder.add(block.take(np.arange(at, min(at + 1024, len(block)))))
+        small = ladder.finish()
+        centres, cost, _ = kernels.solve_assigned(small, k, seed, profile, 1)
+        gap = kernels.distances(block.coords, centres) * block.prob[:, None]
+        full = float((np.add.reduceat(gap, block.offsets[:-1], axis=0).min(1) * block.weight).sum())
+        return pa.table({"seed": pa.array([seed], pa.int32()), "cost_full": [full], "cost_summary": [float(cost)], "gap": [abs(float(cost) - full) / full if full else 0.0], "summary_rows": pa.array([len(small)], pa.int64())})
+
+    rows = nodes.select("node_id", "weight", "mass", "support").withColumn("seed", F.explode(F.sequence(F.lit(1), F.lit(runs))))
+    return rows.groupBy("seed").applyInArrow(one, "seed int, cost_full double, cost_summary double, gap double, summary_rows long")
+
+
+def memory_of(nodes: DataFrame) -> DataFrame:
+    """One row: nodes, (node, location) pairs and the bytes of both as numbers: coordinates, chance and id of a pair, three numbers a node."""
+    d = F.size(F.get("support", F.lit(0))["coords"])
+    pairs = F.size("support").cast("long")
+    return nodes.agg(F.count("*").alias("n"), F.sum(pairs).alias("pairs"), (F.sum(pairs * (d + 2)) * 8 + F.count("*") * 24).alias("bytes"))
+
+
+def memory_table(nodes: DataFrame, summary: DataFrame, k: int, profile: Profile = PRACTICAL) -> DataFrame:
+    """Bytes of input and summary, and a bound of the ladder of one task: a full bucket and a summary at each level."""
+    n = memory_of(nodes).select(F.lit("input").alias("what"), "n", "pairs", "bytes")
+    u = memory_of(summary).select(F.lit("summary").alias("what"), "n", "pairs", "bytes")
+    held = n.select(F.lit("ladder at most").alias("what"), F.least("n", F.lit(profile.capacity_for(k)) + F.lit(profile.per_k * k) * F.ceil(F.log2(F.greatest(F.col("n") / profile.capacity_for(k), F.lit(2.0))))).cast("long").alias("n"), "pairs", "bytes", F.col("n").alias("whole"))
+    share = F.col("n") / F.col("whole")
+    return n.unionByName(u).unionByName(held.select("what", "n", (F.col("pairs") * share).cast("long").alias("pairs"), (F.col("bytes") * share).cast("long").alias("bytes")))
+
+
 def run_statistics(measures: DataFrame, value: str = "cost_full") -> DataFrame:
     """Mean, median and variation coefficient over the repetitions."""
     v = F.col(value)

@@ -142,22 +142,28 @@ def solve_local(nodes: DataFrame, k: int, seed: int = 1, profile: Profile = PRAC
         c, cost, rounds = (solver or kernels.solve_assigned)(block, k, seed, profile, restarts)
         return pa.table({"centres": pa.array([c.ravel()], pa.list_(pa.float64())), "k": pa.array([len(c)], pa.int32()), "cost": [float(cost)], "rounds": pa.array([rounds], pa.int32())})
 
-    columns = [c for c in nodes.columns if c in ("node_id", "weight", "mass", "support", "median", "spread", "level", "copies", "cell")]
+    columns = [c for c in ("node_id", "weight", "mass", "support", "median", "spread", "level", "copies", "cell") if c in nodes.columns]
     columns = columns if "cell" in columns else columns[:4]
     row = nodes.select(columns).withColumn("g", F.lit(0)).groupBy("g").applyInArrow(run, "centres array<double>, k int, cost double, rounds int").first()
+    if row is None:  # no nodes: no centres, at no cost
+        return np.zeros((0, 0)), 0.0, 0
     return np.array(row["centres"]).reshape(row["k"], -1), row["cost"], row["rounds"]
 
 
-def cluster_uncertain(nodes: DataFrame, k: int, profile: Profile = PRACTICAL, seed: int = 1, restarts: int = 1, ladder: bool = True) -> Result:
-    """End to end: summary in one pass, solver on the summary, one more pass to evaluate."""
+def cluster_uncertain(nodes: DataFrame, k: int, profile: Profile = PRACTICAL, seed: int = 1, restarts: int = 1, ladder: bool = True, solver=None) -> Result:
+    """End to end: summary in one pass, solver on the summary, one more pass to evaluate.
+
+    solver(block, k, seed, profile, restarts) -> (centres, cost, rounds) takes the place of the whole-node solver.  Without
+    nodes there are no centres and all costs are 0.
+    """
     from time import perf_counter
 
     t0 = perf_counter()
     summary = summarise(nodes, k, profile, seed) if ladder else kept(summarise_at_once(nodes, k, profile, seed))
     t1 = perf_counter()
-    centres, cost, rounds = solve_local(summary, k, seed, profile, restarts)
+    centres, cost, rounds = solve_local(summary, k, seed, profile, restarts, solver)
     t2 = perf_counter()
-    full = best_assigned_cost(nodes, {0: centres.tolist()}).first()["cost"]
+    full = best_assigned_cost(nodes, {0: centres.tolist()}).first()["cost"] if len(centres) else 0.0
     t3 = perf_counter()
     return Result(centres, summary, full, cost, rounds, {"summarise": t1 - t0, "solve": t2 - t1, "evaluate": t3 - t2})
 

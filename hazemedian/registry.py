@@ -755,3 +755,4 @@ def stream_stateful(spark, d):
     return newest.select("shard", "s.seen", "s.rows", F.round("s.weight", 3).alias("weight"))
 
 
+from . import registry_weighted  # noqa: E402, F401  (adds its queries to the two tables above)

@@ -17,8 +17,12 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """A new folder under the cluster's shared one; a local one only where none is set."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="hazemedian-")
+    """A new folder under the cluster's shared one; a local one only in local mode, where none is needed."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        root = tempfile.mkdtemp(prefix="hazemedian-")
     return f"{root.rstrip('/')}/hazemedian-{uuid.uuid4().hex}"
 
 

@@ -100,7 +100,7 @@ def descriptor_points(spark: SparkSession, sf_dir: str, pair: bool = False) -> D
 def order_realisations(spark: SparkSession, sf_dir: str, absent: bool = False) -> DataFrame:
     """A node for each order: lines by their share of the quantity; with `absent` realised with chance 1 - discount and weighted by price."""
     orders = table(spark, sf_dir, "orders", "o_orderkey", "o_totalprice").withColumnRenamed("o_orderkey", "l_orderkey")
-    rows = lines(spark, sf_dir).withColumn("loc", F.col("l_orderkey") * 1000 + F.col("l_linenumber") * 100 + F.pmod("l_partkey", F.lit(100)))
+    rows = lines(spark, sf_dir).withColumn("loc", F.col("l_orderkey") * 100_000_000 + F.col("l_linenumber") * 10_000_000 + F.col("l_partkey"))
     rows = rows.withColumn("there", F.lit(1.0) - (F.col("l_discount") + 0.0))
     if not absent:
         return keyed_realisations(rows, "l_orderkey", line_coords(), "loc", share_of="l_quantity")
@@ -149,6 +149,7 @@ WORKLOADS = {
     "census": (68, lambda s, d: pack(chunk_realisations(census_points(s, d), LINE_KEY, F.col("coords")))),
     "cross": (57, lambda s, d: pack(chunk_realisations(big_cross_points(s, d), ["p_partkey", "s_suppkey"], F.col("coords")))),
     "descriptors": (64, lambda s, d: pack(chunk_realisations(descriptor_points(s, d), ["vec_id"], F.col("coords")))),
+    "descriptors_pair": (128, lambda s, d: pack(chunk_realisations(descriptor_points(s, d, True), ["vec_id"], F.col("coords")))),
     "lines": (4, lambda s, d: pack(line_realisations(s, d))),
     "orders": (4, lambda s, d: pack(order_realisations(s, d))),
     "orders_absent": (4, lambda s, d: pack(order_realisations(s, d, True))),

@@ -225,3 +225,36 @@ def test_cost_scales_moves_and_adds_up():
 
 def replace_coords(b, coords):
     return K.Block(b.node_id, b.weight, b.mass, b.offsets, b.loc_id, coords, b.prob)
+
+
+def test_closed_forms():
+    b = block([[((0, 0), 0.3), ((1, 0), 0.2)], [((0, 0), 0.25), ((2, 0), 0.25)], [((0, 0), 0.1), ((1, 0), 0.1), ((0, 1), 0.1)]])
+    y, _, status = K.iterative_medians(b.coords, b.prob, b.offsets)
+    assert y[0].tolist() == [0, 0] and y[1].tolist() == [1, 0] and status[:2].tolist() == [0, 0] and status[2] != 0
+    line = np.array([[5.0], [1.0], [2.0], [9.0], [7.0]])
+    y, _, status = K.iterative_medians(line, np.array([1.0, 1, 5, 1, 1]), np.array([0, 4, 5]))
+    assert y.ravel().tolist() == [2, 7] and (status == 0).all()
+
+
+def test_sampled_nodes_are_never_iterated(monkeypatch):
+    """The cost of a sampled median doesn't grow with the support."""
+    rng = np.random.default_rng(1)
+    b = block([[(tuple(rng.normal(size=2)), 1 / 500) for _ in range(500)] for _ in range(3)])
+    seen = []
+    real = K.distances
+    monkeypatch.setattr(K, "distances", lambda x, c: (seen.append(len(x) * len(c)), real(x, c))[1])
+    monkeypatch.setattr(K, "iterative_medians", lambda *a: pytest.fail("iterated"))
+    K.node_medians(b, replace(PRACTICAL, median="sampled"), 1)
+    small = max(seen)
+    for profile in (replace(PRACTICAL, dense_threshold=100), replace(PRACTICAL, median="sampled", candidates="lattice", repeats=0)):
+        _, spread, _, status = K.node_medians(b, profile, 1)
+        assert (status == 4).all() and (spread < 3).all()
+    assert small < 500 * 500
+
+
+def test_nodes_of_weight_zero():
+    b = block([[((0, 0), 0.4), ((1, 0), 0.2), ((2, 0), 0.4)], [((0, 0), 0.5), ((5, 1), 0.5)]])
+    b.weight[:] = 0
+    for profile in (PRACTICAL, REFERENCE):
+        y, spread, _, _ = K.node_medians(b, profile, 1)
+        assert np.isfinite(y).all() and np.isfinite(spread).all()
