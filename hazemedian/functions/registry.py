@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..kernels import iterative_medians
+from ..kernels import Block, iterative_medians, reduce_block
+from ..model import PRACTICAL
 
 
 class LadderLevels:
@@ -62,8 +65,30 @@ def weighted_median_1d(value: pd.Series, weight: pd.Series) -> float:
     return float(value.to_numpy()[order][np.searchsorted(np.cumsum(w), w.sum() / 2)]) if len(w) else float("nan")
 
 
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
+def weighted_centroid(coords: pd.Series, weight: pd.Series) -> list:
+    """Grouped aggregate: the centre of gravity of weighted points; empty without weight."""
+    w = weight.to_numpy(float)
+    return (np.stack(coords.to_numpy()).astype(float) * w[:, None]).sum(0) / w.sum() if len(w) and w.sum() > 0 else np.zeros(0)
+
+
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
+def summarise_agg(node_id: pd.Series, weight: pd.Series, coords: pd.Series, prob: pd.Series, k: pd.Series, per_k: pd.Series) -> list:
+    """Grouped aggregate: a summary of a bounded group of nodes as id, weight, id, weight, ... of the chosen ones."""
+    order = np.argsort(node_id.to_numpy(), kind="stable")
+    counts = coords.map(len).to_numpy()[order]
+    x = np.array([p for i in order for p in coords.iloc[i]], float)
+    p = np.concatenate([np.asarray(prob.iloc[i], float) for i in order])
+    offsets = np.r_[0, np.cumsum(counts)]
+    block = Block(node_id.to_numpy()[order], weight.to_numpy(float)[order], np.add.reduceat(p, offsets[:-1]), offsets, np.arange(len(x)), x, p)
+    out = reduce_block(block, int(k.iloc[0]), replace(PRACTICAL, per_k=int(per_k.iloc[0])), 1)
+    return np.stack([out.node_id.astype(float), out.weight], 1).ravel()
+
+
 def register(spark: SparkSession) -> None:
     """Makes everything callable from SQL in this session."""
+    spark.udf.register("weighted_centroid", weighted_centroid)
+    spark.udf.register("summarise_agg", summarise_agg)
     spark.udtf.register("ladder_levels", F.udtf(LadderLevels, returnType="level: int, nodes: bigint"))
     spark.udtf.register("ring_edges", F.udtf(RingEdges, returnType="class: int, low: double, high: double"))
     spark.udtf.register("draw_points", F.udtf(DrawPoints, returnType="draw: int, u: double"))
@@ -71,5 +96,12 @@ def register(spark: SparkSession) -> None:
     spark.udf.register("weighted_median_1d", weighted_median_1d)
     spark.sql("""CREATE OR REPLACE TEMPORARY FUNCTION point_distance(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE
         RETURN sqrt(aggregate(zip_with(a, b, (x, y) -> (x - y) * (x - y)), 0D, (s, x) -> s + x))""")
+    # A node is given by the arrays of its locations and their chances.
+    spark.sql("""CREATE OR REPLACE TEMPORARY FUNCTION node_distance(x ARRAY<ARRAY<DOUBLE>>, p ARRAY<DOUBLE>, c ARRAY<DOUBLE>) RETURNS DOUBLE
+        RETURN aggregate(zip_with(x, p, (a, w) -> w * sqrt(aggregate(zip_with(a, c, (u, v) -> (u - v) * (u - v)), 0D, (s, t) -> s + t))), 0D, (s, t) -> s + t)""")
+    spark.sql("""CREATE OR REPLACE TEMPORARY FUNCTION node_spread(x ARRAY<ARRAY<DOUBLE>>, p ARRAY<DOUBLE>, y ARRAY<DOUBLE>) RETURNS DOUBLE
+        RETURN node_distance(x, p, y) / aggregate(p, 0D, (s, t) -> s + t)""")
+    spark.sql("""CREATE OR REPLACE TEMPORARY FUNCTION assigned_cost(w DOUBLE, x ARRAY<ARRAY<DOUBLE>>, p ARRAY<DOUBLE>, centres ARRAY<ARRAY<DOUBLE>>) RETURNS DOUBLE
+        RETURN w * array_min(transform(centres, c -> aggregate(zip_with(x, p, (a, q) -> q * sqrt(aggregate(zip_with(a, c, (u, v) -> (u - v) * (u - v)), 0D, (s, t) -> s + t))), 0D, (s, t) -> s + t)))""")
     spark.sql("""CREATE OR REPLACE TEMPORARY FUNCTION portable_uniform(seed BIGINT, name STRING, draw BIGINT) RETURNS DOUBLE
         RETURN CAST(conv(substring(md5(concat_ws(':', CAST(seed AS STRING), name, CAST(draw AS STRING))), 1, 8), 16, 10) AS BIGINT) / 4294967296D""")

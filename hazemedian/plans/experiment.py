@@ -118,7 +118,7 @@ def memory_table(nodes: DataFrame, summary: DataFrame, k: int, profile: Profile
 def run_statistics(measures: DataFrame, value: str = "cost_full") -> DataFrame:
     """Mean, median and variation coefficient over the repetitions."""
     v = F.col(value)
-    return measures.groupBy("workload", "method", "k").agg(F.count(v).alias("runs"), F.avg(v).alias("mean"), F.median(v).alias("median"), (F.stddev_samp(v) / F.avg(v)).alias("variation"))
+    return measures.groupBy("workload", "method", "k").agg(F.count(v).alias("runs"), F.avg(v).alias("mean"), F.median(v).alias("median"), F.try_divide(F.stddev_samp(v), F.avg(v)).alias("variation"))
 
 
 def quality_ratio(measures: DataFrame, baseline: str = "full_solver") -> DataFrame:

@@ -32,7 +32,8 @@ def partition_ladders(nodes: DataFrame, k: int, profile: Profile = PRACTICAL, se
         for block in packed_batches(batches):
             ladder.add(block)
         out = ladder.finish()
-        if out is not None:
+        if out is not None:  # one budget leaves the task, so that a group of the tree holds at most fan_in budgets
+            out = kernels.reduce_block(out, k, profile, seed * 15_485_863 + shard)
             for at in range(0, len(out), 4096):
                 batch = kernels.to_arrow(out.take(np.arange(at, min(at + 4096, len(out)))))
                 yield batch.append_column("shard", pa.array([shard] * batch.num_rows, pa.int64()))
@@ -59,7 +60,11 @@ def summarise(nodes: DataFrame, k: int, profile: Profile = PRACTICAL, seed: int
 
     With no more nodes than the budget the summary is the input itself and its error 0.
     """
-    found = kept(partition_ladders(nodes, k, profile, seed), "ladders")
+    return merge_tree(kept(partition_ladders(nodes, k, profile, seed), "ladders"), k, profile, seed, fan_in)
+
+
+def merge_tree(found: DataFrame, k: int, profile: Profile, seed: int, fan_in: int = FAN_IN) -> DataFrame:
+    """Summaries with their `shard`, merged level by level until one is left."""
     shards = (found.agg(F.max("shard")).first()[0] or 0) + 1
     turn = 1
     while True:

@@ -8,6 +8,7 @@ from __future__ import annotations
 
 from dataclasses import replace
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from . import oracles as o
@@ -138,6 +139,20 @@ def absent_summary_error(spark, d):
     return found.select(F.round("cost_full", 3).alias("cost_full"), F.round("cost_summary", 3).alias("cost_summary"), F.round("relative_gap", 6).alias("gap"))
 
 
+@query(f"{o.USERS} SELECT node_id, CAST(count(*) AS INTEGER) AS n, round(sum(prob), 6) AS mass FROM real GROUP BY node_id")
+def stream_assembled_nodes(spark, d):
+    """Nodes assembled from a stream of consecutive pairs, in slices that cut nodes, equal those of the whole table."""
+    from .sources.tables import shared_folder
+    from .streaming import ladder_stream as s
+
+    root = shared_folder(spark)
+    pairs = w.user_realisations(spark, d).withColumn("pairs", F.count("*").over(Window.partitionBy("node_id")).cast("int"))
+    pairs.repartitionByRange(5, "loc_id").write.parquet(f"{root}/pairs")
+    stream = spark.readStream.schema("node_id long, loc_id long, coords array<double>, prob double, weight double, pairs int").option("maxFilesPerTrigger", 2).parquet(f"{root}/pairs")
+    s.stream_assembled(stream, f"{root}/nodes", f"{root}/checkpoint").awaitTermination()
+    return spark.read.parquet(f"{root}/nodes/closed").select("node_id", F.size("support").alias("n"), F.round("mass", 6).alias("mass"))
+
+
 # --- whole runs ----------------------------------------------------------------------------------------------------------------
 
 

@@ -11,6 +11,10 @@ from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 
+#: Versions of a snapshot that stay, for readers of the ones before the newest.
+KEPT_VERSIONS = 3
+
+
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df
@@ -46,6 +50,11 @@ def write_snapshot(df: DataFrame, folder: str, version: int) -> None:
     spark = df.sparkSession
     df.write.mode("overwrite").parquet(f"{folder}/v={version}")
     spark.createDataFrame([(json.dumps({"version": version}),)], "value string").coalesce(1).write.mode("overwrite").text(f"{folder}/_pointers/{version:012d}")
+    path = spark._jvm.org.apache.hadoop.fs.Path
+    fs = path(folder).getFileSystem(spark._jsc.hadoopConfiguration())
+    for old in sorted(int(x.getPath().getName()) for x in fs.listStatus(path(f"{folder}/_pointers")))[:-KEPT_VERSIONS]:
+        fs.delete(path(f"{folder}/_pointers/{old:012d}"), True)
+        fs.delete(path(f"{folder}/v={old}"), True)
 
 
 def read_snapshot(spark: SparkSession, folder: str) -> tuple[int, DataFrame | None]:

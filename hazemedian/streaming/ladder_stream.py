@@ -14,9 +14,10 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from .. import kernels
 from ..model import PRACTICAL, SUMMARY, Profile
 from ..operators.costs import assign_nodes
-from ..sources.tables import read_snapshot, write_snapshot
+from ..operators.nodes import pack
+from ..sources.tables import kept, read_snapshot, write_snapshot
 from ..sources.workloads import event_coords
-from ..plans.summarise import merged, partition_ladders, solve_local
+from ..plans.summarise import merge_tree, merged, partition_ladders, solve_local
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -58,7 +59,7 @@ def fold_batch(batch: DataFrame, batch_id: int, folder: str, k: int, profile: Pr
     done, stored = read_snapshot(spark, folder)
     if batch_id <= done or batch.isEmpty():
         return
-    carry = merged(partition_ladders(batch, k, profile, seed + batch_id), k, profile, seed + batch_id, fan_in=1 << 30).drop("shard").withColumn("rung", F.lit(1))
+    carry = merge_tree(kept(partition_ladders(batch, k, profile, seed + batch_id), "ladders"), k, profile, seed + batch_id).withColumn("rung", F.lit(1))
     if stored is not None:
         taken = {x["rung"] for x in stored.select("rung").distinct().collect()}
         rung = 1
@@ -130,14 +131,50 @@ def score_stream(nodes: DataFrame, centres) -> DataFrame:
     return assign_nodes(nodes, centres)
 
 
-def windowed_summaries(nodes: DataFrame, k: int, profile: Profile = PRACTICAL, seed: int = 1) -> DataFrame:
-    """One summary for each tumbling pane; a sliding window is the union of its panes' summaries."""
+def windowed_summaries(nodes: DataFrame, k: int, profile: Profile = PRACTICAL, seed: int = 1, shards: int = 16) -> DataFrame:
+    """One summary for each tumbling pane: a ladder for each of a pane's shards, then one reduction of their summaries."""
 
     def run(key: tuple, table: pa.Table) -> pa.Table:
-        block = kernels.from_arrow(table.drop_columns(["pane"]))
-        out = kernels.to_arrow(kernels.reduce_block(block.take(block.node_id.argsort()), k, profile, seed))
-        return pa.Table.from_batches([out.append_column("pane", pa.array([key[0].as_py()] * out.num_rows, pa.timestamp("us", "UTC")))])
+        block = kernels.from_arrow(table.drop_columns(["pane", "shard"]))
+        block = block.take(block.node_id.argsort(kind="stable"))
+        if block.median is None:
+            ladder = kernels.Ladder(k, profile, seed * 7919 + int(key[1].as_py()))
+            ladder.add(block)
+            block = ladder.finish()
+        out = kernels.to_arrow(kernels.reduce_block(block, k, profile, seed))
+        out = out.append_column("pane", pa.array([key[0].as_py()] * out.num_rows, pa.timestamp("us", "UTC")))
+        return pa.Table.from_batches([out.append_column("shard", pa.array([0] * out.num_rows, pa.int32()))])
 
-    return nodes.select("node_id", "weight", "mass", "support", "pane").groupBy("pane").applyInArrow(run, SUMMARY + ", pane timestamp")
+    schema = SUMMARY + ", pane timestamp, shard int"
+    rows = nodes.select("node_id", "weight", "mass", "support", "pane", F.pmod(F.xxhash64("node_id"), F.lit(shards)).cast("int").alias("shard"))
+    return rows.groupBy("pane", "shard").applyInArrow(run, schema).groupBy("pane", "shard").applyInArrow(run, schema).drop("shard")
+
+
+def sliding_summary(panes: DataFrame, until, length: str = "7 days") -> DataFrame:
+    """The summary of the window of `length` that ends at `until`: the union of its panes' summaries, whose errors don't add up."""
+    return panes.where((F.col("pane") < F.lit(until)) & (F.col("pane") >= F.lit(until) - F.expr(f"INTERVAL {length}"))).drop("pane")
+
+
+def assemble_batch(batch: DataFrame, batch_id: int, folder: str) -> None:
+    """Pairs of a micro-batch, with those of still open nodes, become packed nodes as soon as all of a node's pairs are there.
+
+    batch(node_id, loc_id, coords, prob, weight, pairs): `pairs` is the number of pairs of the node.  Complete nodes go to
+    `folder`/closed, one part for each batch; the open pairs are the snapshot that the next batch starts from.  A replayed batch writes the
+    same parts again, and one that the snapshot holds already changes nothing.
+    """
+    spark = batch.sparkSession
+    done, held = read_snapshot(spark, f"{folder}/open")
+    if batch_id <= done:
+        return
+    rows = batch.select("node_id", "loc_id", "coords", "prob", "weight", "pairs")
+    rows = kept(rows if held is None else rows.unionByName(held), "pairs")
+    full = rows.groupBy("node_id").agg(F.count("*").alias("n"), F.max("pairs").alias("p")).where("n >= p").select("node_id")
+    pack(rows.join(full, "node_id", "left_semi")).write.mode("overwrite").parquet(f"{folder}/closed/batch={batch_id}")
+    write_snapshot(rows.join(full, "node_id", "left_anti"), f"{folder}/open", batch_id)
+
+
+def stream_assembled(pairs: DataFrame, folder: str, checkpoint: str, **trigger):
+    """A query that assembles nodes from a stream of their pairs."""
+    return pairs.writeStream.foreachBatch(lambda batch, batch_id: assemble_batch(batch, batch_id, folder)).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
 
 

@@ -59,6 +59,55 @@ def test_sql_surface(spark):
     assert [tuple(r) for r in spark.sql("SELECT * FROM ladder_levels(43, 8)").collect()] == [(0, 3), (1, 8), (3, 32)]
     assert spark.sql("SELECT node_median(array(array(1D, 2D)), array(1D)) AS y").first()["y"] == [1, 2]
     assert spark.sql("SELECT count(*) AS n FROM draw_points(5, 1)").first()["n"] == 5
+    node = "array(array(0D, 0D), array(3D, 4D)), array(0.25D, 0.25D)"
+    got = spark.sql(f"SELECT node_distance({node}, array(0D, 0D)) AS a, node_spread({node}, array(0D, 0D)) AS b, assigned_cost(2D, {node}, array(array(9D, 9D), array(0D, 0D))) AS c").first()
+    assert tuple(got) == (1.25, 2.5, 2.5)
+    assert spark.sql("SELECT weighted_centroid(x, w) AS y FROM VALUES (array(0D, 2D), 1D), (array(4D, 2D), 3D) t(x, w)").first()["y"] == [3, 2]
+    flat = spark.sql("SELECT summarise_agg(id, 1D, array(array(CAST(id AS DOUBLE))), array(1D), 1, 3) AS s FROM range(40)").first()["s"]
+    assert sum(flat[1::2]) == pytest.approx(40) and len(flat) // 2 <= 12
+
+
+def test_portable_uniforms_in_sql(spark):
+    from hazemedian.functions.registry import register
+
+    register(spark)
+    assert 0 <= spark.sql("SELECT portable_uniform(7, 'a', 1) AS u").first()["u"] < 1
+
+
+def test_power_classes_have_no_upper_limit(spark):
+    from pyspark.sql import functions as F
+
+    from hazemedian.functions.expressions import power_class
+
+    edges = [0.0, 0.5, 1.0, 1.5, 2.0, 3.0, 4.0, 2.0**45, 2.0**45 * 1.5]
+    df = spark.createDataFrame([(x,) for x in edges], "x double")
+    got = df.select("x", power_class("x", 1.0, True).alias("a"), power_class("x", 1.0, False).alias("b")).collect()
+    for r in got:
+        assert r["a"] == sum(r["x"] >= 2.0**h for h in range(80)) and r["b"] == sum(r["x"] > 2.0**h for h in range(80))
+
+
+def test_empty_inputs_give_empty_results(spark):
+    from hazemedian.model import NODES
+    from hazemedian.plans import baselines, experiment, summarise
+
+    none = spark.createDataFrame([], NODES)
+    assert summarise.cluster_uncertain(none, 3).cost_full == 0 and baselines.full_solver(none, 3, 2) == ([], [])
+    for method in ("summary", "stream_kmeanspp", "feature_tree"):
+        assert experiment.run_method(none, 2, method, 3, 1)[0] == 0
+
+
+def test_equal_points_and_a_given_solver(spark):
+    import numpy as np
+
+    from hazemedian.operators.centres import sampled_bicriteria
+    from hazemedian.plans.summarise import cluster_uncertain
+    from hazemedian.sources import workloads as w
+
+    same = spark.range(3000).selectExpr("id AS node_id", "array(1D, 2D) AS coords", "1D AS weight")
+    assert np.allclose(sampled_bicriteria(same, 2, 2), [1, 2])
+    packed, _ = w.workload(spark, SF, "tower")
+    mine = lambda block, k, seed, profile, restarts: (np.full((1, 3), 0.5), 1.0, 0)
+    assert cluster_uncertain(packed, 3, solver=mine).centres.tolist() == [[0.5] * 3]
 
 
 def test_validation_names_every_problem(spark):
