@@ -19,11 +19,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blocks import GROUP_BYTES, group_of, pack, shared_keys, sorted_runs
-from .common import LOWER, WORD_CODE, Scratch, mix, narrow, slices, span_hashes, text_buffer, word_spans
+from .common import LOWER, ROW_KEY, WORD_CODE, Scratch, free_name, keyed, mix, narrow, slices, span_hashes, text_buffer, word_spans
 from .components import connected, link_nodes
 from .jaccard import SHARE, WHOLE
 
@@ -32,7 +33,7 @@ BANDS, BAND_BINS = 12, 3
 BINS = BANDS * BAND_BINS
 #: Lines of a key whose pairs one task tests, bytes of lines of such a task.
 KEY_LINES = 4096
-TASK_BYTES = 4 << 20
+TASK_BYTES = 2 << 20
 _BORROW = np.random.Generator(np.random.PCG64(77)).integers(0, BINS, (64, BINS))
 _NEWLINE = np.zeros(256, bool)
 _NEWLINE[10] = True
@@ -228,11 +229,14 @@ def verified_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
 
 
 def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Every line; `row` tells rows of one doc_id apart, by task and place."""
+    seen = TaskContext.get().partitionId() << 33
     for batch in batches:
         for part in slices(batch):
             _, starts, _, rows, number, ids = _lines(part)
+            seen += part.num_rows
             if len(starts):
-                yield pa.record_batch({"doc_id": part.column("doc_id").take(pa.array(rows)), "line_no": pa.array(number, pa.int64()), "node": pa.array(ids)})
+                yield pa.record_batch({"doc_id": part.column("doc_id").take(pa.array(rows)), "row": pa.array(seen - part.num_rows + rows, pa.int64()), "line_no": pa.array(number, pa.int64()), "node": pa.array(ids)})
 
 
 def _first_of_each(ids: np.ndarray) -> np.ndarray:
@@ -241,10 +245,10 @@ def _first_of_each(ids: np.ndarray) -> np.ndarray:
 
 def line_components(docs: DataFrame) -> DataFrame:
     """Every line that has an equal or near-equal one: doc_id, line_no (from 0, as the text is cut at newlines),
-    keep_doc_id, keep_line_no (the first line of its component by doc_id and line number), kept boolean.
+    keep_doc_id, keep_line_no (the first line of its component by doc_id, row and line number), kept boolean.
 
-    Lines that stand alone give no row.  Null, empty and blank lines are no lines; repeated rows count as one
-    occurrence each; rows with a null doc_id are left out; a very long line is a line like others; an empty table gives
+    Lines that stand alone give no row.  Null, empty and blank lines are no lines; repeated rows and rows that share a doc_id
+    are rows like others, of which only the first keeps its lines; rows with a null doc_id are left out; a very long line is a line like others; an empty table gives
     no row; other columns are not read.
     """
     spark = docs.sparkSession
@@ -268,8 +272,8 @@ def line_components(docs: DataFrame) -> DataFrame:
         return pack(parts())
 
     postings = scratch.keep(shared_keys(rows.mapInArrow(blocks, "g long, block binary")), "postings")
-    occurrences = scratch.keep(rows.mapInArrow(_occurrences, "doc_id long, line_no long, node long"), "lines")
-    firsts = scratch.keep(occurrences.groupBy("node").agg(F.min(F.struct("doc_id", "line_no")).alias("first"), F.count("*").alias("times")), "firsts")
+    occurrences = scratch.keep(rows.mapInArrow(_occurrences, "doc_id long, row long, line_no long, node long"), "lines")
+    firsts = scratch.keep(occurrences.groupBy("node").agg(F.min(F.struct("doc_id", "row", "line_no")).alias("first"), F.count("*").alias("times")), "firsts")
     wanted = scratch.keep(firsts.join(postings.select("node").distinct(), "node", "left_semi").select("node", "first.doc_id"), "wanted")
 
     def as_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -303,11 +307,17 @@ def line_components(docs: DataFrame) -> DataFrame:
     groups_ = named.groupBy("label").agg(F.min("first").alias("keep"), F.sum("times").alias("times")).where("times > 1")
     of = scratch.keep(named.join(groups_.select("label", "keep"), "label").select("node", "keep"), "of")
     found = occurrences.join(of, "node")
-    return found.select("doc_id", "line_no", F.col("keep.doc_id").alias("keep_doc_id"), F.col("keep.line_no").alias("keep_line_no"), (F.struct("doc_id", "line_no") == F.col("keep")).alias("kept"))
+    return found.select("doc_id", "line_no", F.col("keep.doc_id").alias("keep_doc_id"), F.col("keep.line_no").alias("keep_line_no"), (F.struct("doc_id", "row", "line_no") == F.col("keep")).alias("kept"))
 
 
 def without_repeated_lines(docs: DataFrame) -> DataFrame:
-    """`docs` with every line removed that another kept line stands for."""
-    gone = line_components(docs).where("not kept").groupBy("doc_id").agg(F.collect_set("line_no").alias("_gone"))
-    kept = F.filter(F.split("text", "\n"), lambda line, k: ~F.array_contains(F.coalesce("_gone", F.array().cast("array<bigint>")), k.cast("long")))
-    return docs.join(gone, "doc_id", "left").withColumn("text", F.array_join(kept, "\n")).drop("_gone").select(docs.columns)
+    """`docs` with every line removed that another kept line stands for, the first one in the order of the rows.
+
+    Rows are told apart by a row_key, so that null and repeated doc_ids are rows like others and a row loses its own lines
+    only; null texts stay null, blank lines stay; empty tables stay empty; all columns stay, whatever their names.
+    """
+    rows = keyed(docs)
+    name = free_name(rows, "gone")
+    gone = line_components(rows.select(F.col(ROW_KEY).alias("doc_id"), "text")).where("not kept").groupBy(F.col("doc_id").alias(ROW_KEY)).agg(F.collect_set("line_no").alias(name))
+    kept = F.filter(F.split("text", "\n"), lambda line, k: ~F.array_contains(F.coalesce(F.col(name), F.array().cast("array<bigint>")), k.cast("long")))
+    return rows.join(gone, ROW_KEY, "left").withColumn("text", F.array_join(kept, "\n")).select(docs.columns)

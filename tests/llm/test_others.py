@@ -90,20 +90,26 @@ def test_fingerprints(frame, words):
     assert one["near_next"] == 1 and one["edited_sha256"] == hashlib.sha256(edited_text([(5, words(40, 1))], 0).encode()).hexdigest()
 
 
-def test_near_copies_astride_the_short_text_limit_stay_alike(frame, words):
-    def text(n, seed):
-        return (words(90, seed)[: n - 1]).rstrip().ljust(n - 1, "a") + "z"
-
-    base, solid = text(395, 1), "".join(random.Random(2).choices("abcdefgh", k=395))
-    for short, long in ((base, base + " new words"), (solid, solid + "0123456789")):
-        assert (len(short), len(long)) == (395, 405)
-        got = {r["doc_id"]: r for r in fingerprints(frame([(2, short), (1, long)])).collect()}
-        assert got[2]["near_next"] == got[1]["near_next"] > 0.8
-        assert "-" in got[2]["fingerprint"]
-    assert "-" not in fingerprints(frame([(1, base + " new words")])).first()["fingerprint"]
-    # The edited form of a text of 760 characters has 380 + 10: half of its anchors of both kinds are its own.
-    got = {r["doc_id"]: r for r in fingerprints(frame([(2, words(300, 4)[:760]), (1, "0123456789")])).collect()}
-    assert 0.4 < got[2]["near_edited"] < 0.6 and got[2]["near_next"] < 0.1
+def test_likeness_follows_one_rule_at_all_lengths(frame, words):
+    for n in (60, 150, 395, 399, 401, 900):
+        base = words(400, n)[:n].rsplit(" ", 1)[0]
+        got = {r["doc_id"]: r for r in fingerprints(frame([(2, base), (1, base + " new")])).collect()}
+        assert got[2]["near_next"] == got[1]["near_next"] > 0.6, n
+    solid = "".join(random.Random(2).choices("กขฃคฅฆงจฉชซฌญ", k=900))  # a script without blanks
+    got = {r["doc_id"]: r for r in fingerprints(frame([(2, solid), (1, solid[:880] + solid[5:20])])).collect()}
+    assert got[2]["near_next"] > 0.8 and len(got[2]["fingerprint"]) > 8 * 40
+    assert 0.2 < fingerprints(frame([(2, solid), (1, solid[::-1])])).where("doc_id = 2").first()["near_edited"] < 0.6
+
+
+def test_likeness_is_that_of_the_fingerprints(frame, words):
+    docs = [(k, words(30 + k, k // 2) + " " + words(k, 50 + k)) for k in range(20)] + [(100, "one two"), (101, "one two"), (102, "!")]
+    got = {r["doc_id"]: r for r in fingerprints(frame(docs)).collect()}
+    cut = lambda x: {x[k : k + 8] for k in range(0, len(x), 8)}
+    jaccard = lambda a, b: len(a & b) / len(a | b) if a | b else 1.0
+    order = sorted(got, reverse=True)
+    for k, d in enumerate(order):
+        own, after = cut(got[d]["fingerprint"]), cut(got[order[(k + 1) % len(order)]]["fingerprint"])
+        assert got[d]["near_next"] == pytest.approx(jaccard(own, after)) and got[d]["near_edited"] == pytest.approx(jaccard(own, cut(got[d]["edited_fingerprint"])))
 
 
 def brute_syncmers(units, k, s):
@@ -121,7 +127,7 @@ def test_syncmers_equal_brute_force(spark):
     hashes = spark.range(1).select(F.transform(F.sequence(F.lit(0), F.lit(78)), lambda i: F.xxhash64(F.get(F.lit(units), i), F.get(F.lit(units), i + 1))).alias("h")).first()["h"]
     want = [i for i in range(75) if min(hashes[i : i + 5]) in (hashes[i], hashes[i + 4])]
     got = [a["position"] for a in spark.range(1).select(anchors(F.lit(units)).alias("a")).first()["a"]]
-    assert got == want
+    assert got == want == brute_syncmers([(x,) for x in hashes], 5, 1)
     assert all(b - a <= 4 for a, b in zip(got, got[1:], strict=False))  # a guaranteed anchor in every window
 
 
@@ -190,3 +196,79 @@ def test_shares_are_of_tokens_not_of_words(frame, words):
     tokens = {f["source"]: f["tokens"] for f in figures}
     assert tokens == {"solid": sum(n[k] for k in range(8)), "spaced": sum(n[100 + k] for k in range(8))}
     assert tokens["solid"] > 4 * tokens["spaced"]
+
+
+def test_repetitive_texts_need_bounded_memory_and_time(spark, frame):
+    from time import perf_counter
+
+    from hazemedian.llm import tiling
+
+    item = "a " * 1000
+    start = perf_counter()
+    got = list(tiling.Items([7], [item], 5).pairs(__import__("pyarrow").array(["a " * 20_000, "b"])))
+    assert [(r, t, tiled) for r, t, _, tiled, _, _ in got] == [(0, 7, 1000)] and perf_counter() - start < 60
+
+
+def test_many_benchmark_rows_of_one_id_come_in_blocks(spark, frame, words, monkeypatch):
+    from hazemedian.llm import tiling
+
+    monkeypatch.setattr(tiling, "BLOCK_BYTES", 900)
+    bench = spark.createDataFrame([(1, words(30, k)) for k in range(20)], BENCH)
+    got = contaminated_pairs(frame([(k, words(30, k)) for k in range(25)]), bench).collect()
+    assert sorted(r["doc_id"] for r in got) == list(range(20)) and {r["item_id"] for r in got} == {1}
+
+
+def brute_pairs(docs, items, match, coverage):
+    import re
+
+    cut = lambda t: re.findall(r"[0-9a-z]+", (t or "").lower())
+    for d, t in docs:
+        for i, u in items:
+            doc, item = cut(t), cut(u)
+            if item:
+                tiled = sum(x[0] for x in brute_tiles(doc, item, min(match, len(item))))
+                if tiled / len(item) >= coverage:
+                    yield d, i, tiled
+
+
+def test_contaminated_pairs_equal_brute_force(spark, frame, words):
+    items = [(k, words(12 + k, 300 + k)) for k in range(6)] + [(20, "two words"), (21, None)]
+    docs = []
+    for k in range(40):
+        rng, w = random.Random(k), items[k % 6][1].split()
+        at = rng.randrange(1, len(w))
+        docs.append((k, " ".join([*words(5, k).split(), *w[at:], *(words(2, 7).split() if k % 2 else []), *w[: rng.randrange(1, len(w))]]) + (" two words" if k % 5 == 0 else "")))
+    got = {(r["doc_id"], r["item_id"], r["tiled_tokens"]) for r in contaminated_pairs(frame(docs), spark.createDataFrame(items, BENCH)).collect()}
+    assert got == set(brute_pairs(docs, items, 5, 0.5)) and len(got) > 20
+
+
+def brute_budgets(tokens, share):
+    """The largest exponent of a fine grid whose weights keep the entropy, and the budgets of the smallest mixture with every document."""
+    best = max((a / 4000 for a in range(4001) if entropy(weights_at(tokens, a / 4000)) >= share * math.log(len(tokens))), default=0.0)
+    w = weights_at(tokens, best)
+    whole = max(tokens[k] / w[k] for k in tokens)
+    return {k: w[k] * whole for k in tokens}
+
+
+def test_budgets_equal_a_search_over_all_exponents(frame, words):
+    docs = frame([(k, words(40, k)) for k in range(60)], source="a").union(frame([(100 + k, words(40, k)) for k in range(25)], source="b"))
+    _, figures = plan(docs, most_epochs=1e9)
+    want = brute_budgets({f["source"]: float(f["tokens"]) for f in figures}, 0.97)
+    for f in figures:
+        assert f["budget"] == pytest.approx(want[f["source"]], rel=2e-3)
+
+
+def test_mixing_keeps_clashing_columns_and_repeated_ids(spark, words):
+    rows = [(None, words(9, 1), "a", 1, 2), (5, words(9, 2), "a", 3, 4), (5, words(9, 2), "a", 5, 6), (6, words(90, 3), "b", 7, 8)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, times int, turn int")
+    out = mixed(docs)
+    assert out.columns == docs.columns and {tuple(r)[3:] for r in out.collect()} == {(1, 2), (3, 4), (5, 6), (7, 8)}
+
+
+def test_toxicity_stage_keeps_silent_rows(spark, tmp_path, frame):
+    import corpus_pipeline
+
+    rows = [(k, f"you utter nincompoop {k}") for k in range(60)] + [(100 + k, f"calm words here {k}") for k in range(10)] + [(500, None), (501, ""), (None, "calm words here")]
+    spark.createDataFrame([(d, int(d < 60)) for d, _ in rows if d is not None and d < 500], "doc_id long, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    got = {r["doc_id"] for r in corpus_pipeline.toxicity_stage(spark, frame(rows), str(tmp_path)).collect()}
+    assert {500, 501} <= got and {100 + k for k in range(10)} <= got and not got & set(range(60))

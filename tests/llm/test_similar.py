@@ -177,3 +177,81 @@ def test_a_repeat_beside_a_first_occurrence_is_cut(frame, words):
     assert clean[4].startswith(own) and len(clean[4]) < len(rows[3][1]) - 150
     for r in repeated_passages(frame(rows)).collect():
         assert sum(x["stop"] - x["begin"] for x in r["removed"]) == r["removed_bytes"]
+
+
+def test_copies_of_every_length_are_found(frame):
+    """Equal texts from 64 bytes up repeat whole, the short last chunk too."""
+    rng = random.Random(9)
+    texts = ["".join(rng.choice("abcdefghij klmnoüé") for _ in range(n)) for n in [*range(64, 100, 3), 150, 400]]
+    rows = [(2 * k + j, t) for k, t in enumerate(texts) for j in (0, 1)]
+    found = {r["doc_id"]: (r["begin"], r["stop"], r["removed_bytes"]) for r in repeated_passages(frame(rows)).collect()}
+    for k, t in enumerate(texts):
+        n = len(t.encode())
+        assert found[2 * k] == (0, n, 0) and found[2 * k + 1] == (0, n, n)
+
+
+def brute_passages(texts):
+    """Repeats of chunks straight from their definition: the bytes of each text that an earlier chunk stands for."""
+    import numpy as np
+
+    seen, removed = set(), []
+    for t in texts:
+        raw, last, gone = t.encode(), 0, 0
+        for end in chunk_ends(np.frombuffer(raw, np.uint8)):
+            gone += (end - last) * (raw[last:end] in seen)
+            seen.add(raw[last:end])
+            last = end
+        removed.append(gone)
+    return removed
+
+
+def test_passages_equal_brute_force(frame, words):
+    parts = [words(60, k) for k in range(6)]
+    texts = [" ".join(random.Random(k).sample(parts, 3)) + " " + words(30, 100 + k) for k in range(25)] + ["日本語の文。" * 40, "日本語の文。" * 40]
+    got = {}
+    for r in repeated_passages(frame(list(enumerate(texts))), 1).collect():
+        got[r["doc_id"]] = got.get(r["doc_id"], 0) + r["removed_bytes"]
+    assert [got.get(k, 0) for k in range(len(texts))] == brute_passages(texts)
+
+
+def test_rows_of_one_id_lose_their_own_repeats_only(frame, words):
+    p, own = words(90, 1), words(80, 2)
+    rows = [(1, p + "\n" + words(30, 3)), (5, p + "\n" + own), (5, own.upper() + "z\n" + words(40, 4)), (None, p + "\nend " + words(9, 6)), (7, words(70, 7)), (7, words(70, 7)), (8, None)]
+    for clean in (without_repeated_passages, without_repeated_lines):
+        out = clean(frame(rows).coalesce(1))
+        assert out.columns == frame(rows).columns
+        texts = [r["text"] for r in out.collect()]
+        assert len(texts) == len(rows) and None in texts
+        whole = " ".join(t for t in texts if t)
+        for piece in (words(30, 3).split()[-5:], words(40, 4).split()[-5:], words(9, 6).split()[-3:], own.split()[10:15], words(70, 7).split()[20:25], p.split()[30:35]):
+            assert " ".join(piece) in whole
+        assert whole.count(" ".join(p.split()[30:35])) == 1 and whole.count(" ".join(words(70, 7).split()[20:25])) == 1
+
+
+def test_hot_keys_of_lines_give_the_same_components(frame, words, monkeypatch):
+    from hazemedian.llm import lines
+
+    base = words(40, 5)
+    rows = [(k, edited(base, (k % 12) / 40, k) + "\n" + words(12, k % 9)) for k in range(60)]
+    found = []
+    for most in (4096, 3):
+        monkeypatch.setattr(lines, "KEY_LINES", most)
+        found.append(sorted(map(tuple, line_components(frame(rows)).collect())))
+    assert found[0] == found[1] and len(found[0]) > 80
+
+
+def test_line_codes_are_exact_for_all_scripts():
+    import numpy as np
+
+    from hazemedian.llm.lines import line_sets
+
+    texts = ["abcdefgh", "abcdefghé", "日本語の長い一行です", "Ā" + "b" * 9, "Ă" + "b" * 9, "b" * 9, "short", "shor", "日本", "日", "\U0001f600 smile and more"]
+    raw = [x.encode() for x in texts]
+    ends = np.cumsum([len(x) for x in raw])
+    codes, bounds = line_sets(np.frombuffer(b"".join(raw), np.uint8), np.r_[0, ends[:-1]], ends)
+    sets = [set(codes[a:b].tolist()) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
+    want = [line_set(x) for x in texts]
+    assert [len(x) for x in sets] == [len(x) for x in want]
+    for x, a in zip(sets, want, strict=True):
+        for y, b in zip(sets, want, strict=True):
+            assert len(x & y) == len(a & b)
