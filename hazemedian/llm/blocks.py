@@ -13,6 +13,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from .common import tidy
+
 GROUP_BYTES = 8 << 20
 #: Elements that a map task holds before it packs them.
 FLUSH_ELEMENTS = 1 << 19
@@ -98,4 +100,4 @@ def shared_keys(blocks: DataFrame) -> DataFrame:
         keep, _ = several(keys, nodes)
         return pa.table({"key": pa.array(keys[keep]), "node": pa.array(nodes[keep]), "n": pa.array(sizes[keep])})
 
-    return blocks.groupBy("g").applyInArrow(shared, "key long, node long, n int")
+    return blocks.groupBy("g").applyInArrow(tidy(shared), "key long, node long, n int")

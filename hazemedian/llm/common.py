@@ -6,10 +6,14 @@ processed as one numpy buffer, so that no operator holds more than a slice of in
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
+from contextlib import suppress
+from functools import wraps
+from inspect import isgeneratorfunction
 from time import monotonic
 
 import numpy as np
@@ -75,6 +79,46 @@ class Scratch:
             path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def trim() -> None:
+    """Hands freed memory back to the system, which a worker's allocator would keep for its next task."""
+    with suppress(OSError, AttributeError):  # an allocator without this call
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
+def tidy(f):
+    """`f`, a function of a task or a generator of its batches, with `trim` at the end."""
+    if isgeneratorfunction(f):
+
+        @wraps(f)
+        def run(batches):
+            try:
+                yield from f(batches)
+            finally:
+                trim()
+    else:
+
+        @wraps(f)
+        def run(table):
+            try:
+                return f(table)
+            finally:
+                trim()
+
+    return run
+
+
+_held: dict = {}
+
+
+def held_by_worker(key: tuple, make):
+    """What `make` gives, held by the worker process for later tasks; another operator's tables leave for it."""
+    if key not in _held:
+        _held.clear()
+        trim()
+        _held[key] = make()
+    return _held[key]
+
+
 def narrow(small: DataFrame) -> DataFrame:
     """`small` with a broadcast hint if its counted rows are within the bound, else as it is."""
     return F.broadcast(small) if small.count() <= BROADCAST_ROWS else small

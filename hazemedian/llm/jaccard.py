@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blocks import group_of, pack, packed, several, sorted_runs, unpacked
-from .common import LOWER, SPACE, Scratch, mix, narrow, row_sets, shingle_hashes, slices, span_hashes, text_buffer, word_spans
+from .common import LOWER, SPACE, Scratch, mix, narrow, row_sets, shingle_hashes, slices, span_hashes, text_buffer, tidy, word_spans
 from .components import link_nodes
 
 WORDS = 5
@@ -300,13 +300,13 @@ def ngram_links(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     Edge cases are as in `ngram_components`.
     """
     scratch, sized, sets, labels = _labelled(docs)
-    return _meetings(scratch, sized, sets, labels).applyInArrow(link_pairs, "a long, b long"), sized.where("n > 0").select("doc_id", F.col("n").alias("n_shingles"), "node")
+    return _meetings(scratch, sized, sets, labels).applyInArrow(tidy(link_pairs), "a long, b long"), sized.where("n > 0").select("doc_id", F.col("n").alias("n_shingles"), "node")
 
 
 def linked_components(docs: DataFrame) -> DataFrame:
     """`ngram_components` with n_links: the other rows whose text links with the row's, equal ones included."""
     scratch, sized, sets, labels = _labelled(docs)
-    sums = _meetings(scratch, sized, sets, labels).applyInArrow(link_sums, "node long, links long").groupBy("node").agg(F.sum("links").alias("links"))
+    sums = _meetings(scratch, sized, sets, labels).applyInArrow(tidy(link_sums), "node long, links long").groupBy("node").agg(F.sum("links").alias("links"))
     equal = sized.where("n > 0").groupBy("node").agg((F.count("*") - 1).alias("equal"))
     links = scratch.keep(equal.join(sums, "node", "left").select("node", (F.col("equal") + F.coalesce("links", F.lit(0))).alias("n_links")).where("n_links > 0"), "links")
     named = _named(scratch, sized, labels).join(narrow(links), "node", "left")
@@ -339,7 +339,7 @@ def _labelled(docs: DataFrame) -> tuple[Scratch, DataFrame, DataFrame, DataFrame
     spark = docs.sparkSession
     scratch = Scratch(spark)
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null")
-    first = scratch.keep(rows.mapInArrow(_sizes_and_counts, _FIRST), "sizes")
+    first = scratch.keep(rows.mapInArrow(tidy(_sizes_and_counts), _FIRST), "sizes")
     sized = first.where(F.col("counts").isNull()).select("doc_id", "n", "node")
     counts = frequency_table(first)
     total = sized.agg(F.sum("n")).first()[0] or 0
@@ -349,15 +349,15 @@ def _labelled(docs: DataFrame) -> tuple[Scratch, DataFrame, DataFrame, DataFrame
 
     def elements(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = sent.value
-        return pack(set_elements(part.column("text"), table, hot, groups) for batch in batches for part in slices(batch))
+        yield from pack(set_elements(part.column("text"), table, hot, groups) for batch in batches for part in slices(batch))
 
-    shared = rows.mapInArrow(elements, "g long, block binary").groupBy("g").applyInArrow(shared_elements(groups), "g long, block binary")
-    sets = shared.groupBy("g").applyInArrow(prefixes, "node long, n long, items binary, first long, keys array<long>")
+    shared = rows.mapInArrow(tidy(elements), "g long, block binary").groupBy("g").applyInArrow(tidy(shared_elements(groups)), "g long, block binary")
+    sets = shared.groupBy("g").applyInArrow(tidy(prefixes), "node long, n long, items binary, first long, keys array<long>")
     sets = scratch.keep(sets, "sets")
     postings = sets.select("node", "n", "first", F.posexplode("keys").alias("place", "key")).select("key", "node", "n", (F.col("first") + F.col("place")).alias("pos"))
 
 
     def finish(members: DataFrame) -> DataFrame:
-        return _grouped(scratch, sets.select("node", "n", "items").join(members, "node"), "part").applyInArrow(joining_links, "a long, b long")
+        return _grouped(scratch, sets.select("node", "n", "items").join(members, "node"), "part").applyInArrow(tidy(joining_links), "a long, b long")
 
     return scratch, sized, sets, link_nodes(scratch, postings, possible, verify_by(scratch, sets), finish)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import held_out, slices
+from .common import held_by_worker, held_out, slices, tidy
 
 MOST_DOCUMENTS, MOST_BYTES = 6_000, 6 << 20
 LONGEST = 5
@@ -89,7 +89,7 @@ def train(docs: DataFrame) -> dict | None:
         if found:
             yield pa.record_batch({"model": pa.array([pickle.dumps(fit([x[1] for x in found], [x[2] for x in found]))], pa.binary())})
 
-    row = sample.repartition(1).mapInArrow(fitted, "model binary").first()
+    row = sample.repartition(1).mapInArrow(tidy(fitted), "model binary").first()
     return None if row is None else pickle.loads(row["model"])
 
 
@@ -140,9 +140,6 @@ class Scorer:
         return langs, sure
 
 
-_scorers: dict = {}
-
-
 def predict_column(model: dict | None, text: Column, spark) -> Column:
     """struct(lang_pred, score) of a text column."""
     if model is None:
@@ -150,12 +147,10 @@ def predict_column(model: dict | None, text: Column, spark) -> Column:
     sent, name = spark.sparkContext.broadcast(model), uuid.uuid4().hex
 
     def of(column: pa.Array) -> pa.Array:
-        if name not in _scorers:
-            _scorers.clear()
-            _scorers[name] = Scorer(sent.value)
+        scorer = held_by_worker(("languages", name), lambda: Scorer(sent.value))
         langs, sure = [], [np.zeros(0)]
         for part in slices(pa.record_batch({"text": column})):
-            own = _scorers[name](part.column("text").to_pylist())
+            own = scorer(part.column("text").to_pylist())
             langs += own[0]
             sure.append(own[1])
         return pa.StructArray.from_arrays([pa.array(langs, pa.string()), pa.array(np.concatenate(sure))], ["lang_pred", "score"])

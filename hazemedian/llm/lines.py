@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blocks import GROUP_BYTES, group_of, pack, shared_keys, sorted_runs
-from .common import LOWER, ROW_KEY, WORD_CODE, Scratch, free_name, keyed, mix, narrow, slices, span_hashes, text_buffer, word_spans
+from .common import LOWER, ROW_KEY, WORD_CODE, Scratch, free_name, keyed, mix, narrow, slices, span_hashes, text_buffer, tidy, word_spans
 from .components import connected, link_nodes
 from .jaccard import SHARE, WHOLE
 
@@ -269,9 +269,9 @@ def line_components(docs: DataFrame) -> DataFrame:
                     keys = band_keys(signatures(*line_shingles(data, starts[once], ends[once]), len(once))).ravel().view(np.int64)
                     yield group_of(keys, groups), np.repeat(ids[once], BANDS), np.zeros(len(keys), np.int32), keys
 
-        return pack(parts())
+        yield from pack(parts())
 
-    postings = scratch.keep(shared_keys(rows.mapInArrow(blocks, "g long, block binary")), "postings")
+    postings = scratch.keep(shared_keys(rows.mapInArrow(tidy(blocks), "g long, block binary")), "postings")
     occurrences = scratch.keep(rows.mapInArrow(_occurrences, "doc_id long, row long, line_no long, node long"), "lines")
     firsts = scratch.keep(occurrences.groupBy("node").agg(F.min(F.struct("doc_id", "row", "line_no")).alias("first"), F.count("*").alias("times")), "firsts")
     wanted = scratch.keep(firsts.join(postings.select("node").distinct(), "node", "left_semi").select("node", "first.doc_id"), "wanted")
@@ -291,7 +291,7 @@ def line_components(docs: DataFrame) -> DataFrame:
     met = postings.join(narrow(often), "key", "left_anti").select("key", "node").join(texts, "node")
     size = postings.join(texts.select("node", F.octet_length("items").alias("size")), "node").agg(F.sum(F.col("size") + 64)).first()[0] or 0
     bucket = F.pmod(F.xxhash64("key"), F.lit(max(1, int(size // TASK_BYTES))))
-    links = scratch.keep(met.withColumn("bucket", bucket).groupBy("bucket").applyInArrow(key_links, "a long, b long"), "links")
+    links = scratch.keep(met.withColumn("bucket", bucket).groupBy("bucket").applyInArrow(tidy(key_links), "a long, b long"), "links")
     if not often.isEmpty():
 
         def verify(pairs: DataFrame) -> DataFrame:

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import slices, span_hashes, text_buffer
+from .common import held_by_worker, slices, span_hashes, text_buffer
 
 VOCABULARY = "byte_bpe_50k.json"
 TOKEN_LIMIT = 512
@@ -215,15 +215,9 @@ class PieceEncoder:
         return per, np.concatenate(parts) if self.ids else None
 
 
-_encoders: dict = {}
-
-
 def encoder(path: str, ids: bool) -> PieceEncoder:
-    """One for each worker process, so that later tasks find its pieces; another kind takes its place."""
-    if (path, ids) not in _encoders:
-        _encoders.clear()
-        _encoders[path, ids] = PieceEncoder(path, ids)
-    return _encoders[path, ids]
+    """One for each worker process, so that later tasks find its pieces."""
+    return held_by_worker(("encoder", path, ids), lambda: PieceEncoder(path, ids))
 
 
 def count_tokens(docs: DataFrame, vocabulary: str = VOCABULARY, limit: int = TOKEN_LIMIT, carried: tuple[str, ...] = ()) -> DataFrame:

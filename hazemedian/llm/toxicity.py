@@ -13,6 +13,7 @@ weights that restore the share of toxic documents among all training labels.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -21,7 +22,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import held_out, slices, text_buffer
+from .common import held_by_worker, held_out, slices, text_buffer, tidy
 
 ORDERS = (5, 7, 9)
 BITS = 20
@@ -29,8 +30,8 @@ MOST_TOXIC, MOST_OTHER = 2_500, 5_000
 SMOOTHING, RATE = 8.0, 60.0
 #: Odd: strong ratios count for more, weak ones for little, none for nothing.
 POWER = 3
-TOXIC_BYTES, OTHER_BYTES = 3 << 20, 5 << 20
-ROUNDS, LEAST_STEPS, BATCH_DOCUMENTS = 12, 100, 256
+TOXIC_BYTES, OTHER_BYTES = 2 << 20, 4 << 20
+ROUNDS, LEAST_STEPS, BATCH_DOCUMENTS = 8, 100, 96
 
 _CLASS = np.arange(128, dtype=np.uint32)
 _CLASS[65:91] += 32
@@ -86,6 +87,7 @@ def fit(texts: pa.Array, toxic: np.ndarray, share: float) -> dict:
     ratio = ((np.log(shares[0]) - np.log(shares[1])) ** POWER).astype(np.float32)
     bounds = np.r_[0, np.cumsum(np.concatenate(sizes))]
     column = np.concatenate(columns)
+    del columns
     each = np.where(toxic == 1, share * n / max(n1, 1), (1 - share) * n / max(n - n1, 1))
     # Dealt anew in a fixed order, so that each batch holds both classes.
     batches = np.array_split(np.random.default_rng(5).permutation(n), max(1, -(-n // BATCH_DOCUMENTS)))
@@ -128,17 +130,19 @@ def train(docs: DataFrame, labels: DataFrame) -> dict | None:
     sample = rows.join(F.broadcast(taken.select("doc_id", "toxic")), "doc_id")
 
     def fitted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held_by_worker(("fit",), dict)
         held = [batch for batch in batches if batch.num_rows]
         if not held:
             return
         table = pa.Table.from_batches(held)
+        del held
         # One order for any arrival of the rows, so that a retried task fits the same model.
         order = pc.sort_indices(table, [("doc_id", "ascending"), ("text", "ascending")])
         table = table.take(order).combine_chunks()
         model = fit(table.column("text").chunk(0), table.column("toxic").to_numpy(), share)
         yield pa.record_batch({"ratios": [model["ratios"].tobytes()], "weights": [model["weights"].tobytes()], "bias": [model["bias"]]})
 
-    row = sample.repartition(1).mapInArrow(fitted, "ratios binary, weights binary, bias double").first()
+    row = sample.repartition(1).mapInArrow(tidy(fitted), "ratios binary, weights binary, bias double").first()
     return None if row is None else {"ratios": np.frombuffer(row["ratios"], np.float32), "weights": np.frombuffer(row["weights"], np.float32), "bias": row["bias"]}
 
 
@@ -158,10 +162,12 @@ def score_column(model: dict | None, text: Column, spark) -> Column:
     """The toxicity of a text column, 0 to 1; without a model 0."""
     if model is None:
         return F.lit(0.0)
+    name = uuid.uuid4().hex
     sent = spark.sparkContext.broadcast(model)  # 8 bytes for each of the 2^BITS features
 
     def of(column: pa.Array) -> pa.Array:
-        return pa.array(scores(column, sent.value), pa.float64())
+        model = held_by_worker(("toxicity", name), lambda: sent.value)
+        return pa.array(scores(column, model), pa.float64())
 
     return F.arrow_udf(of, "double")(text.cast("string"))
 
