@@ -17,9 +17,10 @@ PARTITION_ROWS = 1_000_000
 def row_positions(df: DataFrame, order_by: Sequence[str], partitions: int | None = None) -> DataFrame:
     """`df` with `pos` from 0 in the order of a unique key, without a one-task sort.
 
-    Rows are sorted by ranges; a range's rows are numbered where they are, and the counts of the ranges before are added.  The
+    The input is written first, so that a join behind it runs once.  Rows are sorted by ranges; a range's rows are numbered where they are, and the counts of the ranges before are added.  The
     sorted ranges are written once, because a second evaluation could cut them elsewhere.
     """
+    df = kept(df, "points")
     partitions = partitions or max(1, -(-df.count() // PARTITION_ROWS))
     ranged = df.repartitionByRange(partitions, *order_by).sortWithinPartitions(*order_by)
     ranged = kept(ranged.withColumn("_m", F.monotonically_increasing_id()).withColumn("_p", F.shiftright("_m", 33)).withColumn("_m", F.col("_m") - F.shiftleft("_p", 33)), "ranged")

@@ -165,42 +165,53 @@ class FeatureTree:
     def clear(self) -> None:
         self.features, self.children = [], {(): []}
 
-    def insert(self, n: float, s: np.ndarray, q: float) -> None:
+    def insert(self, n: np.ndarray, s: np.ndarray, q: np.ndarray) -> None:
+        """A batch of features (count, sum, sum of squares), in order; the tree is rebuilt once it is beyond the budget."""
         if not self.features:
             self.clear()
-        path: tuple = ()
-        at = s / n
-        for level in range(self.depth):
-            own = self.children.setdefault(path, [])
-            radius = np.sqrt(self.threshold) * 4 / 2**level
-            if own:
-                refs = np.array([self.features[j][3] for j in own])
-                gap = ((refs - at) ** 2).sum(1)
-                near = int(gap.argmin())
-                if gap[near] <= radius**2:
-                    f = self.features[own[near]]
-                    m, t, r = f[0] + n, f[1] + s, f[2] + q
-                    if r - (t @ t) / m <= self.threshold or level == self.depth - 1:
-                        f[0], f[1], f[2] = m, t, r
-                        return
-                    path = (*path, own[near])
-                    continue
-            own.append(len(self.features))
-            self.features.append([n, s, q, at])
-            break
+        self._place((), 0, np.arange(len(n)), s / n[:, None], n, s, q)
         if len(self.features) > self.budget:
             self.rebuild()
 
+    def _place(self, path: tuple, level: int, rows: np.ndarray, at: np.ndarray, n: np.ndarray, s: np.ndarray, q: np.ndarray) -> None:
+        own = self.children.setdefault(path, [])
+        radius = np.sqrt(self.threshold) * 4 / 2**level
+        near, gap = np.full(len(rows), -1), np.full(len(rows), np.inf)
+        if own:
+            found = kernels.distances(at[rows], np.array([self.features[j][3] for j in own]))
+            near, gap = np.array(own)[found.argmin(1)], found.min(1)
+        while (gap > radius).any():  # the first point that no feature is near to becomes one, for those behind it too
+            first = int((gap > radius).argmax())
+            row = rows[first]
+            own.append(len(self.features))
+            self.features.append([float(n[row]), s[row].copy(), float(q[row]), at[row]])
+            later = np.arange(len(rows)) > first
+            rows, near, gap = (np.r_[x[:first], x[first + 1 :]] for x in (rows, near, gap))
+            later = np.delete(later, first)
+            to = np.sqrt(((at[rows] - at[row]) ** 2).sum(1))
+            closer = later & (to < gap)
+            near[closer], gap[closer] = own[-1], to[closer]
+        for j in np.unique(near).tolist():
+            members, f = rows[near == j], self.features[j]
+            m, t, r = f[0] + np.cumsum(n[members]), f[1] + np.cumsum(s[members], 0), f[2] + np.cumsum(q[members])
+            fits = r - (t * t).sum(1) / m <= self.threshold
+            taken = len(members) if level == self.depth - 1 or fits.all() else int(fits.argmin())
+            if taken:
+                f[0], f[1], f[2] = float(m[taken - 1]), t[taken - 1], float(r[taken - 1])
+            if taken < len(members):
+                self._place((*path, j), level + 1, members[taken:], at, n, s, q)
+
     def rebuild(self) -> None:
         old = self.features
-        if not self.threshold:
-            refs = np.array([f[3] for f in old[:256]])
-            gaps = kernels.distances(refs, refs)
-            self.threshold = float(np.median(np.sort(gaps, 1)[:, 1]) ** 2) or 1e-12
-        self.threshold *= 2
-        self.clear()
-        for n, s, q, _ in old:
-            self.insert(n, s, q)
+        while len(old) > self.budget:
+            if not self.threshold:
+                refs = np.array([f[3] for f in old[:256]])
+                gaps = kernels.distances(refs, refs)
+                self.threshold = float(np.median(np.sort(gaps, 1)[:, 1]) ** 2) or 1e-12
+            self.threshold *= 2
+            self.clear()
+            self._place((), 0, np.arange(len(old)), np.array([f[1] / f[0] for f in old]), *(np.array([f[k] for f in old]) for k in range(3)))
+            old = self.features
 
 
 def feature_tree(points: DataFrame, k: int, seed: int = 1, budget: int = 0) -> tuple[np.ndarray, int]:
@@ -211,8 +222,10 @@ def feature_tree(points: DataFrame, k: int, seed: int = 1, budget: int = 0) -> t
         tree = FeatureTree(budget)
         for batch in batches:
             x, w = _points(batch)
-            for p, weight in zip(x, w, strict=True):
-                tree.insert(float(weight), weight * p, float(weight * (p @ p)))
+            x, w = x[w > 0], w[w > 0]
+            for at in range(0, len(x), 512):
+                own, weight = x[at : at + 512], w[at : at + 512]
+                tree.insert(weight, weight[:, None] * own, weight * (own * own).sum(1))
         if tree.features:
             n = np.array([f[0] for f in tree.features])
             yield _rows(np.array([f[1] for f in tree.features]) / n[:, None], n)
