@@ -62,42 +62,56 @@ def pack(parts: Iterator[tuple[np.ndarray, ...]]) -> Iterator[pa.RecordBatch]:
         yield from packed(*(np.concatenate(x) for x in zip(*held, strict=True)))
 
 
-def unpacked(blocks: pa.ChunkedArray, *kinds: str) -> list[np.ndarray]:
-    """[nodes, sizes, values ...] of the elements of blocks."""
-    out: list[list] = [[np.zeros(0, np.int64)], [np.zeros(0, np.int32)], *([np.zeros(0, k)] for k in kinds)]
+def unpacked(blocks: pa.ChunkedArray, *kinds: str, once: bool = False) -> list[np.ndarray]:
+    """[runs, values ...] of the elements of blocks, in their order.
+
+    With `once` only the first run of each node stays: in a key group all runs of a node hold the same elements.
+    """
+    heads, parts = [np.zeros(0, RUN)], [[] for _ in kinds]
     for chunk in blocks.chunks:
         for x in chunk:
             raw = x.as_buffer()
             runs = np.frombuffer(raw, RUN, int(np.frombuffer(raw, np.int64, 1)[0]), 8)
-            out[0].append(np.repeat(runs["node"], runs["count"]))
-            out[1].append(np.repeat(runs["n"], runs["count"]))
+            heads.append(runs)
             at, count = 8 + runs.nbytes, int(runs["count"].sum())
             for k, kind in enumerate(kinds):
-                out[2 + k].append(np.frombuffer(raw, kind, count, at))
-                at += out[2 + k][-1].nbytes
-    return [np.concatenate(x) for x in out]
+                parts[k].append(np.frombuffer(raw, kind, count, at))
+                at += parts[k][-1].nbytes
+    runs = np.concatenate(heads)
+    if not once:
+        return [runs, *(np.concatenate([np.zeros(0, k), *x]) for k, x in zip(kinds, parts, strict=True))]
+    keep = np.zeros(len(runs), bool)
+    keep[np.unique(runs["node"], return_index=True)[1]] = True
+    ends, values = np.cumsum([len(x) for x in heads]), [[np.zeros(0, k)] for k in kinds]
+    for j in range(1, len(heads)):
+        own = keep[ends[j - 1] : ends[j]]
+        mask = None if own.all() else np.repeat(own, heads[j]["count"])
+        for k, x in enumerate(parts):
+            values[k].append(x[j - 1] if mask is None else x[j - 1][mask])
+    return [runs[keep], *map(np.concatenate, values)]
+
+
+def shared_places(runs: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(places, runs, nodes of the key) of the elements whose key at least two runs have, in order of key; each node has one run."""
+    order = np.argsort(keys, kind="stable")
+    first = sorted_runs(keys[order])
+    count = np.diff(np.r_[first, len(order)])
+    some = np.repeat(count > 1, count)
+    order, count = order[some], np.repeat(count[count > 1], count[count > 1])
+    of = np.repeat(np.arange(len(runs), dtype=np.int32), runs["count"])
+    return order, of[order], count
 
 
 def group_of(keys: np.ndarray, groups: int) -> np.ndarray:
     return ((keys.view(np.uint64) >> np.uint64(20)) % np.uint64(groups)).astype(np.int64)
 
 
-def several(keys: np.ndarray, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(places, in order of key and node, of the elements whose key at least two nodes have, each (key, node) once; nodes of their key)."""
-    order = np.lexsort((nodes, keys))
-    order = order[sorted_runs(keys[order], nodes[order])]
-    first = sorted_runs(keys[order])
-    count = np.diff(np.r_[first, len(order)])
-    count = np.repeat(count, count)
-    return order[count > 1], count[count > 1]
-
-
 def shared_keys(blocks: DataFrame) -> DataFrame:
     """(key, node, n) of the keys that at least two nodes have, each (key, node) once."""
 
     def shared(table: pa.Table) -> pa.Table:
-        nodes, sizes, keys = unpacked(table.column("block"), "<i8")
-        keep, _ = several(keys, nodes)
-        return pa.table({"key": pa.array(keys[keep]), "node": pa.array(nodes[keep]), "n": pa.array(sizes[keep])})
+        runs, keys = unpacked(table.column("block"), "<i8", once=True)
+        keep, of, _ = shared_places(runs, keys)
+        return pa.table({"key": pa.array(keys[keep]), "node": pa.array(np.ascontiguousarray(runs["node"][of])), "n": pa.array(np.ascontiguousarray(runs["n"][of]))})
 
     return blocks.groupBy("g").applyInArrow(tidy(shared), "key long, node long, n int")

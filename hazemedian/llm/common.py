@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 #: A side is broadcast only up to this many rows of one or two numbers; beyond it a shuffled join is used.
 BROADCAST_ROWS = 2_000_000
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 19
 #: Time between two clean-ups of shuffle files that no plan needs.
 RELEASE_SECONDS = 8
 

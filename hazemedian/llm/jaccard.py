@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blocks import group_of, pack, packed, several, sorted_runs, unpacked
+from .blocks import group_of, pack, packed, shared_places, sorted_runs, unpacked
 from .common import LOWER, SPACE, Scratch, mix, narrow, row_sets, shingle_hashes, slices, span_hashes, text_buffer, tidy, word_spans
 from .components import link_nodes
 
@@ -125,16 +125,15 @@ def shared_elements(groups: int):
     """The task of a key group: its shingles that several nodes have, packed for the tasks of their nodes."""
 
     def shared(table: pa.Table) -> pa.Table:
-        nodes, sizes, hashes = unpacked(table.column("block"), "<i8")
+        runs, hashes = unpacked(table.column("block"), "<i8", once=True)
         if table.column("g")[0].as_py() >= 0:
-            keep, count = several(hashes, nodes)
-            nodes, sizes, hashes = nodes[keep], sizes[keep], hashes[keep]
-            classes = np.minimum(8 * np.log2(count), HOT - 1).astype(np.uint8)
-            order = np.argsort(nodes, kind="stable")
-            nodes, sizes, hashes, classes = nodes[order], sizes[order], hashes[order], classes[order]
+            keep, of, count = shared_places(runs, hashes)
+            order = np.argsort(of, kind="stable")
+            hashes, of, classes = hashes[keep[order]], of[order], np.minimum(8 * np.log2(count[order]), HOT - 1).astype(np.uint8)
         else:
-            classes = np.full(len(hashes), HOT, np.uint8)
-        found = list(packed(group_of(nodes, groups), nodes, sizes, hashes, classes))
+            of, classes = np.repeat(np.arange(len(runs), dtype=np.int32), runs["count"]), np.full(len(hashes), HOT, np.uint8)
+        nodes = runs["node"][of]
+        found = list(packed(group_of(nodes, groups), nodes, runs["n"][of], hashes, classes))
         return pa.Table.from_batches(found) if found else table.slice(0, 0)
 
     return shared
@@ -145,7 +144,8 @@ def prefixes(table: pa.Table) -> pa.Table:
 
     items: all shared shingles, ascending; keys: those in the prefix, rarest first, whose first stands at place `first`.
     """
-    nodes, sizes, hashes, classes = unpacked(table.column("block"), "<i8", "u1")
+    runs, hashes, classes = unpacked(table.column("block"), "<i8", "u1")
+    nodes, sizes = np.repeat(runs["node"], runs["count"]), np.repeat(runs["n"], runs["count"])
     order = np.lexsort((hashes.view(np.uint64), classes, nodes))
     order = order[sorted_runs(nodes[order], hashes[order])]
     nodes, sizes, hashes = nodes[order], sizes[order].astype(np.int64), hashes[order]
