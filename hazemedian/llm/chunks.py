@@ -17,7 +17,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ROW_KEY, Scratch, free_name, keyed, slices, text_buffer
+from .common import ROW_KEY, Scratch, free_name, keyed, slices, text_buffer, tidy
 
 MIN_BYTES, MEAN_BITS, MAX_BYTES = 24, 5, 1024
 #: A passage is reported from so many repeated bytes.
@@ -106,7 +106,7 @@ def repeated_passages(docs: DataFrame, passage_bytes: int = PASSAGE_BYTES) -> Da
 def _passages(rows: DataFrame, passage_bytes: int) -> DataFrame:
     """`repeated_passages` of (doc_id, row, text), with `row`; null doc_ids come last."""
     scratch = Scratch(rows.sparkSession)
-    chunks = scratch.keep(rows.mapInArrow(_chunks, "doc_id long, row long, begin long, stop long, high long, low long"), "chunks")
+    chunks = scratch.keep(rows.mapInArrow(tidy(_chunks), "doc_id long, row long, begin long, stop long, high long, low long"), "chunks")
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row", "begin")
     firsts = chunks.groupBy("high", "low").agg(F.count("*").alias("times"), F.min(place).alias("first")).where("times > 1").drop("times")
     found = chunks.join(scratch.keep(firsts, "firsts"), ["high", "low"]).select("doc_id", "row", "begin", "stop", ((F.col("row") == F.col("first.row")) & (F.col("begin") == F.col("first.begin"))).alias("kept"), F.col("first.doc_id").alias("first_doc"))

@@ -80,7 +80,8 @@ class Scratch:
 
 
 def trim() -> None:
-    """Hands freed memory back to the system, which a worker's allocator would keep for its next task."""
+    """Hands freed memory back to the system, which a worker's allocators would keep for its next task."""
+    pa.default_memory_pool().release_unused()
     with suppress(OSError, AttributeError):  # an allocator without this call
         ctypes.CDLL("libc.so.6").malloc_trim(0)
 

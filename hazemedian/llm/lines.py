@@ -272,7 +272,7 @@ def line_components(docs: DataFrame) -> DataFrame:
         yield from pack(parts())
 
     postings = scratch.keep(shared_keys(rows.mapInArrow(tidy(blocks), "g long, block binary")), "postings")
-    occurrences = scratch.keep(rows.mapInArrow(_occurrences, "doc_id long, row long, line_no long, node long"), "lines")
+    occurrences = scratch.keep(rows.mapInArrow(tidy(_occurrences), "doc_id long, row long, line_no long, node long"), "lines")
     firsts = scratch.keep(occurrences.groupBy("node").agg(F.min(F.struct("doc_id", "row", "line_no")).alias("first"), F.count("*").alias("times")), "firsts")
     wanted = scratch.keep(firsts.join(postings.select("node").distinct(), "node", "left_semi").select("node", "first.doc_id"), "wanted")
 
@@ -284,7 +284,7 @@ def line_components(docs: DataFrame) -> DataFrame:
                 yield pa.record_batch({"node": pa.array(ids[once], pa.int64()), "items": pa.array([raw[a:b] for a, b in zip(starts[once].tolist(), ends[once].tolist(), strict=True)], pa.binary())})
 
     few = rows.join(narrow(wanted.select("doc_id").distinct()), "doc_id", "left_semi")
-    texts = few.mapInArrow(as_lines, "node long, items binary").join(narrow(wanted.select("node")), "node", "left_semi")
+    texts = few.mapInArrow(tidy(as_lines), "node long, items binary").join(narrow(wanted.select("node")), "node", "left_semi")
     texts = scratch.keep(texts.dropDuplicates(["node"]), "texts")
 
     often = scratch.keep(postings.groupBy("key").agg(F.count("*").alias("c")).where(F.col("c") > KEY_LINES).select("key"), "often")

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER, WORD_BYTE, mix, slices, span_hashes, text_buffer, word_spans
+from .common import LOWER, WORD_BYTE, mix, slices, span_hashes, text_buffer, tidy, word_spans
 
 MATCH = 5
 COVERAGE = 0.5
@@ -189,6 +189,6 @@ def contaminated_pairs(docs: DataFrame, benchmark: DataFrame, match: int = MATCH
                     kinds = pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.float64()
                     yield pa.record_batch([names, *(pa.array([x[k + 1] for x in found], kind) for k, kind in enumerate(kinds))], names=["doc_id", "item_id", "n_tiles", "tiled_tokens", "longest_tile", "coverage"])
 
-        one = rows.mapInArrow(met, schema)
+        one = rows.mapInArrow(tidy(met), schema)
         out = one if out is None else out.union(one)
     return spark.createDataFrame([], schema) if out is None else out

@@ -28,7 +28,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, narrow, slices
+from .common import Scratch, narrow, slices, tidy
 from .tokens import VOCABULARY, encoder, vocabulary_path
 
 END_ID = 2
@@ -161,7 +161,7 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str = VOCABULARY,
         if names:
             yield block()
 
-    ordered.mapInArrow(blocks, BLOCK_SCHEMA).write.mode("overwrite").parquet(path)
+    ordered.mapInArrow(tidy(blocks), BLOCK_SCHEMA).write.mode("overwrite").parquet(path)
 
 
 def _placed(spark: SparkSession, path: str) -> DataFrame:
@@ -198,7 +198,7 @@ def read_token_files(spark: SparkSession, path: str) -> DataFrame:
                         "ids": pa.array([raw[4 * a : 4 * b] for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary()),
                     })
 
-    return _placed(spark, path).mapInArrow(unpacked, "doc_id long, start long, n_tokens long, ids binary")
+    return _placed(spark, path).mapInArrow(tidy(unpacked), "doc_id long, start long, n_tokens long, ids binary")
 
 
 def read_documents(spark: SparkSession, path: str, doc_ids: list[int]) -> DataFrame:
@@ -239,4 +239,4 @@ def token_file_digests(docs: DataFrame, path: str | None = None, vocabulary: str
                 crc = [zlib.crc32(view[4 * a : 4 * b]) for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
                 yield pa.record_batch({"doc_id": pa.array(names, pa.int64()), "start": pa.array(starts, pa.int64()), "n_tokens": pa.array(np.diff(bounds), pa.int64()), "ids_crc32": pa.array(crc, pa.int64())})
 
-    return _placed(spark, path).mapInArrow(digested, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return _placed(spark, path).mapInArrow(tidy(digested), "doc_id long, start long, n_tokens long, ids_crc32 long")

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import held_by_worker, slices, span_hashes, text_buffer
+from .common import held_by_worker, slices, span_hashes, text_buffer, tidy
 
 VOCABULARY = "byte_bpe_50k.json"
 TOKEN_LIMIT = 512
@@ -238,4 +238,4 @@ def count_tokens(docs: DataFrame, vocabulary: str = VOCABULARY, limit: int = TOK
 
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), *carried)
     schema = T.StructType([T.StructField(c, T.LongType()) for c in ("doc_id", "n_bytes", "n_tokens")] + [rows.schema[c] for c in carried])
-    return rows.mapInArrow(counted, schema).withColumn("over_limit", F.col("n_tokens") > limit)
+    return rows.mapInArrow(tidy(counted), schema).withColumn("over_limit", F.col("n_tokens") > limit)

@@ -22,7 +22,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import held_by_worker, held_out, slices, text_buffer, tidy
+from .common import held_by_worker, held_out, slices, text_buffer, tidy, trim
 
 ORDERS = (5, 7, 9)
 BITS = 20
@@ -167,7 +167,9 @@ def score_column(model: dict | None, text: Column, spark) -> Column:
 
     def of(column: pa.Array) -> pa.Array:
         model = held_by_worker(("toxicity", name), lambda: sent.value)
-        return pa.array(scores(column, model), pa.float64())
+        found = pa.array(scores(column, model), pa.float64())
+        trim()
+        return found
 
     return F.arrow_udf(of, "double")(text.cast("string"))
 
