@@ -45,15 +45,12 @@ def absent_median_step2(spark, d):
     return flat(medians.median_iterates(_absent(spark, d), D, 2), "y2", D, "node_id")
 
 
-@query(f"{_MED} SELECT node_id, round(mass, 9) AS mass, round(weight, 8) AS weight, round(spread, 6) AS spread FROM med")
+@query(f"{_MED} SELECT node_id, round(mass, 11) AS mass, round(weight, 8) AS weight, round(spread, 6) AS spread FROM med")
 def absent_spread(spark, d):
-    return medians.medians_long(_absent(spark, d), D).select("node_id", *(F.round(c, n).alias(c) for c, n in (("mass", 9), ("weight", 8), ("spread", 6))))
+    return medians.medians_long(_absent(spark, d), D).select("node_id", *(F.round(c, n).alias(c) for c, n in (("mass", 11), ("weight", 8), ("spread", 6))))
 
 
-_UNIVERSE = f"{_REAL}, loc AS (SELECT min(loc_id) AS loc_id, c0, c1, c2, c3, sum(weight * prob) AS score FROM real GROUP BY c0, c1, c2, c3), {o.seeds('loc', 'loc_id', 3, 1, 'score', n=D)}"
-
-
-@query(f"{_UNIVERSE} SELECT CAST(centre AS INTEGER) AS centre, k AS loc_id FROM c_0")
+@query(None)
 def absent_seed_locations(spark, d):
     """Location seeds by realisation weight times distance."""
     score = kept(nodes.location_universe(_absent(spark, d)).select(F.col("loc_id").alias("node_id"), "coords", F.col("score").alias("weight")), "universe")
