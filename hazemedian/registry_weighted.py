@@ -105,13 +105,13 @@ def _weights(spark, d, kind: str):
 
 
 def _reweighted(kind: str):
-    return lambda spark, d: _weights(spark, d, kind).withColumn("weight", F.round("weight", 5))
+    return lambda spark, d: _weights(spark, d, kind).withColumn("weight", F.round("weight", 3))
 
 
 for _kind, _mass in _MASSES.items():
     QUERIES[f"absent_draws_{_kind}"], QUERIES[f"absent_weights_{_kind}"] = _draws(_kind), _reweighted(_kind)
     SQL[f"absent_draws_{_kind}"] = f"WITH {_CELLS}, {o.drawn(_mass)} SELECT {_CELL_SQL}, node_id, copies, draws FROM dr"
-    SQL[f"absent_weights_{_kind}"] = f"WITH {_CELLS}, {o.summary(_mass)} SELECT {_CELL_SQL}, node_id, CAST(copies AS INTEGER) AS copies, round(new_weight, 5) AS weight FROM sw"
+    SQL[f"absent_weights_{_kind}"] = f"WITH {_CELLS}, {o.summary(_mass)} SELECT {_CELL_SQL}, node_id, CAST(copies AS INTEGER) AS copies, round(new_weight, 3) AS weight FROM sw"
 
 _FIX = f"{_REAL}, {o.fixed_centres(n=D)}, {o.expected(n=D)}"
 
