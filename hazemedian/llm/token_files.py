@@ -32,8 +32,8 @@ from .common import Scratch, narrow, slices, tidy
 from .tokens import VOCABULARY, encoder, vocabulary_path
 
 END_ID = 2
-BLOCK_IDS = 1 << 20
-PARTITION_BYTES = 32 << 20
+BLOCK_IDS = 1 << 19
+PARTITION_BYTES = 16 << 20
 _SAMPLE = 512
 _BITS = np.array([bin(k).count("1") for k in range(256)], np.uint32)
 
