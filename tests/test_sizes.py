@@ -16,3 +16,34 @@ def test_packed_nodes_are_assigned_after_rounding(certain):
 
     rows = assign_nodes(certain([[0.1234564996], [5.0]]), [[0.0], [10.0 - 1e-13]]).orderBy("node_id").collect()
     assert [(r["centre_id"], r["expected_distance"]) for r in rows] == [(0, 0.1234565), (0, 5.0)]
+
+
+def _sql(folder, name):
+    import glob
+    import os
+
+    import duckdb
+
+    from hazemedian.registry import SQL
+
+    con = duckdb.connect()
+    for f in glob.glob(f"{folder}/*.parquet"):
+        con.sql(f"CREATE VIEW {os.path.basename(f)[:-8]} AS SELECT * FROM '{f}'")
+    return con.sql(SQL[name]).df()
+
+
+def _errors_follow_the_table(spark, tmp_path, name, table, columns, expected):
+    from hazemedian.registry import QUERIES
+
+    spark.createDataFrame(columns[0], columns[1]).write.parquet(f"{tmp_path}/{table}.parquet")
+    found = sorted(tuple(r) for r in QUERIES[name](spark, str(tmp_path)).collect())
+    assert found == expected
+    for folder in ("/root/testdata/sf0.001",):
+        ours, theirs = QUERIES[name](spark, folder).toPandas(), _sql(folder, name)
+        key = list(theirs.columns)
+        assert ours[key].sort_values(key).to_numpy().tolist() == theirs.sort_values(key).to_numpy().tolist()
+
+
+def test_composed_errors_come_from_lineitem(spark, tmp_path):
+    rows = [(1, 0.03), (1, 0.06), (2, 0.0), (3, 0.1)]
+    _errors_follow_the_table(spark, tmp_path, "composed_error", "lineitem", (rows, "l_orderkey long, l_discount double"), [(1, 0.0302), (2, 0.0), (3, 0.033333)])
