@@ -47,3 +47,9 @@ def _errors_follow_the_table(spark, tmp_path, name, table, columns, expected):
 def test_composed_errors_come_from_lineitem(spark, tmp_path):
     rows = [(1, 0.03), (1, 0.06), (2, 0.0), (3, 0.1)]
     _errors_follow_the_table(spark, tmp_path, "composed_error", "lineitem", (rows, "l_orderkey long, l_discount double"), [(1, 0.0302), (2, 0.0), (3, 0.033333)])
+
+
+def test_level_errors_come_from_events(spark, tmp_path):
+    rows = [(1,)] * 7 + [(2,)] * 16 + [(3,)] * 39
+    eps = [round(1.2 ** (1 / k) - 1, 9) for k in (1, 2, 3)]
+    _errors_follow_the_table(spark, tmp_path, "level_epsilon", "events", (rows, "user_id long"), [(1, 1, eps[0]), (2, 2, eps[1]), (3, 3, eps[2])])
