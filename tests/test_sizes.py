@@ -53,3 +53,21 @@ def test_level_errors_come_from_events(spark, tmp_path):
     rows = [(1,)] * 7 + [(2,)] * 16 + [(3,)] * 39
     eps = [round(1.2 ** (1 / k) - 1, 9) for k in (1, 2, 3)]
     _errors_follow_the_table(spark, tmp_path, "level_epsilon", "events", (rows, "user_id long"), [(1, 1, eps[0]), (2, 2, eps[1]), (3, 3, eps[2])])
+
+
+def test_full_data_solver_scans_what_no_task_can_hold(spark, monkeypatch):
+    """Scans give the same centres whatever the partitions, at the cost of the one-task solver, and the measures use them."""
+    import numpy as np
+
+    from hazemedian.plans import baselines, experiment
+    from hazemedian.plans.full_data import solve_full
+    from hazemedian.sources.workloads import workload
+
+    nodes, d = workload(spark, "/root/testdata/sf0.001", "orders_absent")
+    one, two = (solve_full(nodes.repartition(n), [(5, 1), (3, 2)]) for n in (1, 4))
+    assert all(np.allclose(one[r][0], two[r][0]) for r in one)
+    assert one[5, 1][1] <= 1.1 * baselines.full_solver_local(nodes, 5, 1)[1]
+    monkeypatch.setattr(experiment, "TASK_BYTES", 0)
+    monkeypatch.setattr(baselines, "full_solver_local", None)
+    m = experiment.run(spark, nodes, d, "orders", ["full_solver"], [5], [1]).first()
+    assert m["cost_full"] == pytest.approx(one[5, 1][1]) and m["gap"] == 0
