@@ -71,3 +71,19 @@ def test_full_data_solver_scans_what_no_task_can_hold(spark, monkeypatch):
     monkeypatch.setattr(baselines, "full_solver_local", None)
     m = experiment.run(spark, nodes, d, "orders", ["full_solver"], [5], [1]).first()
     assert m["cost_full"] == pytest.approx(one[5, 1][1]) and m["gap"] == 0
+
+
+def test_repetitions_never_shuffle_nodes(spark, monkeypatch):
+    """Only summaries meet: a group holds a few budgets, however many nodes there are, and every repetition reads all of them."""
+    from dataclasses import replace
+
+    from hazemedian.model import PRACTICAL
+    from hazemedian.plans import experiment
+
+    rows = [(i, 1.0, 1.0, [(i, [float(i % 7), float(i % 11)], 1.0)]) for i in range(9000)]
+    nodes, grouped = spark.createDataFrame(rows, NODES).repartition(4), []
+    kind, old = type(nodes), type(nodes).groupBy
+    monkeypatch.setattr(kind, "groupBy", lambda self, *c: grouped.append(self.count()) or old(self, *c))
+    found = experiment.repeated(nodes, 2, 12, replace(PRACTICAL, per_k=10, capacity=64)).collect()
+    assert sorted(r["seed"] for r in found) == list(range(1, 13)) and max(grouped) < 12 * len(rows)
+    assert all(r["summary_rows"] <= 16 * 64 + 20 and r["gap"] < 0.5 and r["cost_full"] > 0 for r in found)
