@@ -87,3 +87,69 @@ def test_repetitions_never_shuffle_nodes(spark, monkeypatch):
     found = experiment.repeated(nodes, 2, 12, replace(PRACTICAL, per_k=10, capacity=64)).collect()
     assert sorted(r["seed"] for r in found) == list(range(1, 13)) and max(grouped) < 12 * len(rows)
     assert all(r["summary_rows"] <= 16 * 64 + 20 and r["gap"] < 0.5 and r["cost_full"] > 0 for r in found)
+
+
+def test_links_are_those_of_all_pairs(spark, monkeypatch):
+    """Blocks dealt over tasks, copies, repeated and missing ids, missing blocks: the sums of the pairs, which are written out here."""
+    import numpy as np
+    from pyspark.sql import functions as F
+
+    from hazemedian.operators import nodes
+
+    rng = np.random.default_rng(3)
+    rows = [(i // 2 if i % 9 == 0 else i, rng.integers(0, 4, 3).astype(float).tolist(), "a" if i < 90 else "b") for i in range(140)]
+    rows += [(None, [1.0, 1.0, 1.0], "a"), (None, [0.0, 9.0, 0.0], "b"), (500, [0.0, 0.0, 0.0], None), (501, [7.0, 7.0, 7.0], "c")]
+    points = spark.createDataFrame(rows, "node_id long, coords array<double>, part string")
+    left = points.select("node_id", F.col("coords").alias("own"), "part")
+    score = F.lit(1.0) - F.lit(0.3) * sum(F.abs(F.get("own", F.lit(k)) - F.get("coords", F.lit(k))) for k in range(3))
+    packed = nodes.pack(nodes.match_nodes(left, points.withColumnRenamed("node_id", "loc_id"), "part", score))
+    expected = {r["node_id"]: (r["n"], r["mass"]) for r in packed.select("node_id", "mass", F.size("support").alias("n")).collect()}
+    assert None in expected and 500 not in expected
+    for size in (nodes.TASK_POINTS, 7):
+        monkeypatch.setattr(nodes, "TASK_POINTS", size)
+        found = nodes.match_links(points, "part", 0.3).collect()
+        assert {r["node_id"]: r["n"] for r in found} == {k: n for k, (n, _) in expected.items()} and len(found) == len(expected)
+        if size == 7:
+            assert {r["node_id"]: r["score"] for r in found} == pytest.approx(scores)
+        scores = {r["node_id"]: r["score"] for r in found}
+    least = {}
+    for i, x, part in rows:
+        if i is not None and part is not None:
+            least[part, *x] = min(i, least.get((part, *x), i))
+    own = {}
+    for i, x, part in rows:
+        own.setdefault(i, []).append(least.get((part, *x)))
+    assert all(r["class_id"] == min(own[r["node_id"]]) for r in found if r["node_id"] is not None)
+
+
+def test_match_totals_over_several_sides():
+    import numpy as np
+
+    from hazemedian import kernels
+
+    rng = np.random.default_rng(4)
+    x, y = rng.random((2 * kernels.PAIR_SIDE + 9, 4)), rng.random((kernels.PAIR_SIDE + 1, 4))
+    c, d = rng.integers(1, 5, len(x)), rng.integers(1, 5, len(y))
+    for y, d in ((x, c), (y, d)):
+        score = np.maximum(0.0, 1 - 1.5 * np.abs(x[:, None] - y[None]).sum(2))
+        of_x, of_y = kernels.match_totals(x, c, y, d, 1.5)
+        assert np.allclose(of_x, np.stack([score @ d, (score > 0) @ d], 1)) and np.allclose(of_y, np.stack([c @ score, c @ (score > 0)], 1))
+
+
+def test_matches_of_a_large_block_are_not_shuffled(spark, tmp_path):
+    """1,200 different documents of one length class, nearly all of them linked: a task writes its documents, not their 1.4 million pairs."""
+    from hazemedian.registry import QUERIES
+
+    words = [f"w{i}" for i in range(40)]
+    rows = [(i, " ".join([*words, *(words[:8] * 5)[i % 29 : i % 29 + 9], f"x{i}"]), "en", "a", 300) for i in range(1200)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+
+    def written():
+        spark._jsc.sc().listenerBus().waitUntilEmpty()
+        each = spark._jsc.sc().statusStore().executorList(True)
+        return sum(each.apply(k).totalShuffleWrite() for k in range(each.size()))
+
+    before = written()
+    found = QUERIES["match_nodes"](spark, str(tmp_path)).collect()
+    assert written() - before < 1000 * len(rows)
+    assert len(found) == len(rows) and sum(r["n"] for r in found) > 1e6
