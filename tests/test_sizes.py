@@ -153,3 +153,56 @@ def test_matches_of_a_large_block_are_not_shuffled(spark, tmp_path):
     found = QUERIES["match_nodes"](spark, str(tmp_path)).collect()
     assert written() - before < 1000 * len(rows)
     assert len(found) == len(rows) and sum(r["n"] for r in found) > 1e6
+
+
+def _shuffled(spark):
+    spark._jsc.sc().listenerBus().waitUntilEmpty()
+    each = spark._jsc.sc().statusStore().executorList(True)
+    return sum(each.apply(k).totalShuffleWrite() for k in range(each.size()))
+
+
+def test_stored_blocks_are_small_and_not_shuffled(spark, tmp_path):
+    """Messages and row groups hold a few blocks of BLOCK_PAIRS locations, which give all numbers back; a larger node is a block."""
+    import glob
+
+    import numpy as np
+    import pyarrow.parquet as pq
+
+    from hazemedian.plans import full_data
+
+    rng = np.random.default_rng(5)
+    point = lambda: [*rng.integers(0, 2, 30).astype(float).tolist(), 0.5, -1.0, float(rng.random())]
+    rows = [(i, 1.0, 1.0, [(10 * i + j, point(), 0.1) for j in range(10)]) for i in range(3000)]
+    rows.append((9999, 2.0, 1.0, [(10**6 + j, point(), 1 / 5000) for j in range(5000)]))
+    nodes, before = spark.createDataFrame(rows, NODES), _shuffled(spark)
+    blocks = full_data.stored_blocks(nodes)
+    assert _shuffled(spark) == before
+    found, sizes = {}, []
+    for row in blocks.collect():
+        x = full_data._wide(row.asDict(), len(row["prob"]) // 8)
+        found |= dict(zip(np.frombuffer(row["loc_id"], "<i8").tolist(), x.T.tolist(), strict=True))
+        sizes.append((x.shape[1], len(row["coords"])))
+    assert found == {i: x for _, _, _, support in rows for i, x, _ in support}
+    assert all(n <= full_data.BLOCK_PAIRS or n == 5000 for n, _ in sizes) and sum(b for _, b in sizes) < 35000 * 33 * 8 / 4
+    groups = [pq.ParquetFile(f).metadata for f in glob.glob(f"{blocks.inputFiles()[0].rsplit('/', 1)[0].removeprefix('file:').replace('//', '')}/*.parquet")]
+    assert max(m.row_group(i).total_byte_size for m in groups for i in range(m.num_row_groups)) < 4 * full_data.GROUP_BYTES
+
+
+def test_small_steps_end_and_ended_centres_are_not_scanned(spark, monkeypatch):
+    """Centres whose steps become a tenth each time end at SETTLED, where the further scans wouldn't move them."""
+    import numpy as np
+
+    from hazemedian.plans import full_data
+    from hazemedian.sources.workloads import workload
+
+    nodes, _ = workload(spark, "/root/testdata/sf0.001", "census")
+    asked, old = [], full_data.scanned
+    monkeypatch.setattr(full_data, "scanned", lambda blocks, questions: asked.append(questions) or old(blocks, questions))
+    runs = [(3, 1), (4, 2)]
+    found, few = full_data.solve_full(nodes, runs), len(asked)
+    assert any(len(q[1][1]) < len(q[1][0]) for x in asked for q in x if q[0] == "step")
+    monkeypatch.setattr(full_data, "SETTLED", 0)
+    whole = full_data.solve_full(nodes, runs)
+    assert few < 0.8 * (len(asked) - few)
+    for r in runs:
+        assert np.allclose(found[r][0], whole[r][0], atol=1e-7) and found[r][1] == pytest.approx(whole[r][1], rel=1e-9) and found[r][2] == whole[r][2]
