@@ -206,3 +206,16 @@ def test_small_steps_end_and_ended_centres_are_not_scanned(spark, monkeypatch):
     assert few < 0.8 * (len(asked) - few)
     for r in runs:
         assert np.allclose(found[r][0], whole[r][0], atol=1e-7) and found[r][1] == pytest.approx(whole[r][1], rel=1e-9) and found[r][2] == whole[r][2]
+
+
+def test_coordinates_of_chunks_are_made_behind_the_shuffles(spark):
+    from pyspark.sql import functions as F
+
+    from hazemedian.operators import nodes
+
+    points = spark.range(20003).select((F.col("id") * 7 % 20011).alias("id"), F.rand(3).alias("u"))
+    coords = F.array(*(F.col("u") * F.lit(1 / 7 + k) for k in range(150)))
+    before = _shuffled(spark)
+    found = nodes.chunk_nodes(points, ["id"], coords).select("node_id", "weight", "mass", "support").collect()
+    assert _shuffled(spark) - before < 20003 * 150
+    assert sorted(found) == sorted(nodes.pack(nodes.chunk_realisations(points, ["id"], coords)).collect())
