@@ -219,3 +219,37 @@ def test_coordinates_of_chunks_are_made_behind_the_shuffles(spark):
     found = nodes.chunk_nodes(points, ["id"], coords).select("node_id", "weight", "mass", "support").collect()
     assert _shuffled(spark) - before < 20003 * 150
     assert sorted(found) == sorted(nodes.pack(nodes.chunk_realisations(points, ["id"], coords)).collect())
+
+
+def test_pairs_of_the_product_are_made_in_several_tasks(spark):
+    from pyspark.sql import functions as F
+
+    from hazemedian.sources.workloads import big_cross_points
+
+    part, supplier = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet").select(F.pmod(F.xxhash64(k), F.lit(10)).alias(t)) for t, k in (("part", "p_partkey"), ("supplier", "s_suppkey")))
+    whole = part.crossJoin(supplier).where("part = supplier").count()
+    rows, _ = big_cross_points(spark, "/root/testdata/sf0.01")
+    each = [r["count"] for r in rows.groupBy(F.spark_partition_id()).count().collect()]
+    assert sum(each) == whole and len(each) >= 4 and max(each) < 0.5 * sum(each)
+
+
+def test_summary_runs_share_the_passes_over_a_large_input(spark, monkeypatch):
+    """One pass for all ladders and one for all costs, with the results of single runs."""
+    from dataclasses import replace
+
+    from hazemedian.model import PRACTICAL
+    from hazemedian.plans import experiment
+    from hazemedian.sources.workloads import workload
+
+    nodes, d = workload(spark, "/root/testdata/sf0.001", "orders_absent")
+    small = replace(PRACTICAL, per_k=10, capacity=128)
+    args = spark, nodes, d, "orders", ["summary"], [3, 5], [1, 2], small
+    one = experiment.run(*args).drop("seconds").collect()
+    monkeypatch.setattr(experiment, "TASK_BYTES", 0)
+    monkeypatch.setattr(experiment, "run_method", None)
+    kind, passes, old = type(nodes), [], type(nodes).mapInArrow
+    monkeypatch.setattr(kind, "mapInArrow", lambda self, *a, **b: passes.append(1) or old(self, *a, **b))
+    two = experiment.run(*args).drop("seconds").collect()
+    assert len(passes) == 2 and len(one) == len(two) == 4
+    for x, y in zip(one, two, strict=True):
+        assert x[:4] == y[:4] and x["summary_rows"] == y["summary_rows"] and y["cost_full"] == pytest.approx(x["cost_full"], rel=0.02) and y["cost_summary"] == pytest.approx(x["cost_summary"], rel=0.05)
